@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from skewroute.llm import simhash
+from skewroute.llm import packing, simhash
 
 QUERIES = {
     "op4_simhash": simhash.op4_simhash,
+    "op6_packing": packing.op6_packing,
 }
 
 ORACLES: dict[str, str] = {}
