@@ -17,7 +17,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -161,21 +161,21 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_i
     """``(row_id, doc_id, piece, start, length, ids_crc32)``: each text's ids and the end id, cut at ``capacity``."""
     end = np.array([end_id], "<u4").tobytes()
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokens = WordTokens(tokenizer_path)
+        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
         for b in batches:
             rows = []
-            for doc, key, ids in zip(b["i"], b["r"], tokens.ids([t or "" for t in b["t"]]), strict=True):
+            for doc, key, ids in zip(b.column("i").to_pylist(), b.column("r").to_pylist(), tokens.ids(b.column("t").to_pylist()), strict=True):
                 ids += end
                 for n, at in enumerate(range(0, len(ids), 4 * capacity)):
                     cut = ids[at : at + 4 * capacity]
                     rows.append((key, doc, n, at // 4, len(cut) // 4, zlib.crc32(cut)))
-            out = pd.DataFrame(rows, columns=["row_id", "doc_id", "piece", "start", "length", "ids_crc32"])
-            out["doc_id"] = out["doc_id"].astype("Int64")
-            yield out
+            columns = zip(*rows, strict=True) if rows else [()] * len(kinds)
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["row_id", "doc_id", "piece", "start", "length", "ids_crc32"])
 
     source = docs.select(F.col(id_col).cast("long").alias("i"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("r"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
-    return source.mapInPandas(run, "row_id long, doc_id long, piece int, start long, length long, ids_crc32 long")
+    return source.mapInArrow(run, "row_id long, doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def place(cut: DataFrame, caps: Capacities | None = None, rule: str = "norm") -> DataFrame:
@@ -193,21 +193,22 @@ def place(cut: DataFrame, caps: Capacities | None = None, rule: str = "norm") ->
     first = counts.selectExpr("length", "_shard", "sum(_n) OVER (PARTITION BY length ORDER BY _shard) - _n AS _first")
     ranked = dealt.selectExpr("*", "row_number() OVER (PARTITION BY length, _shard ORDER BY row_id, piece) - 1 AS _in_shard").join(first, ["length", "_shard"])
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            lengths, rank = b["length"].to_numpy(), b.pop("_rank").to_numpy()
-            sequence, offset = np.empty(len(b), np.int64), np.empty(len(b), np.int64)
+            lengths, rank = b.column("length").to_numpy(), b.column("_rank").to_numpy()
+            sequence, offset = np.empty(len(lengths), np.int64), np.empty(len(lengths), np.int64)
             for length in np.unique(lengths):
                 own = np.flatnonzero(lengths == length)
                 start, seq, each, off = slots.value[length]
                 at = np.searchsorted(start, rank[own], side="right") - 1
                 k = rank[own] - start[at]
                 sequence[own], offset[own] = seq[at] + k // each[at], off[at] + k % each[at] * length
-            yield b.assign(sequence_id=sequence, offset=offset)
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in kept), pa.array(sequence), pa.array(offset)], [*kept, "sequence_id", "offset"])
 
+    kept = cut.columns
     ranked = ranked.select(*cut.columns, (F.col("_first") + F.col("_in_shard")).alias("_rank"))
     schema = T.StructType([*cut.schema.fields, T.StructField("sequence_id", T.LongType()), T.StructField("offset", T.LongType())])
-    return ranked.mapInPandas(run, schema)
+    return ranked.mapInArrow(run, schema)
 
 
 def pack(docs: DataFrame, tokenizer_path: str, caps: Capacities | None = None, rule: str = "norm", end_id: int = END_ID) -> DataFrame:

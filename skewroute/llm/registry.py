@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from skewroute.llm import packing, simhash
+from skewroute.llm import packing, simhash, substring
 
 QUERIES = {
     "op4_simhash": simhash.op4_simhash,
     "op6_packing": packing.op6_packing,
+    "op7_substring": substring.op7_substring,
 }
 
 ORACLES: dict[str, str] = {}
