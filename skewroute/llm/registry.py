@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
-from skewroute.llm import packing, simhash, substring
+from skewroute.llm import packing, simhash, substring, telephony, topk, warc
 
 QUERIES = {
+    "op2_warc": warc.op2_warc,
     "op4_simhash": simhash.op4_simhash,
     "op6_packing": packing.op6_packing,
     "op7_substring": substring.op7_substring,
+    "op9_telephony": telephony.op9_telephony,
+    "op10_topk": topk.op10_topk,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op2_warc": warc.ORACLE,
+    "op10_topk": topk.ORACLE,
+}
