@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from skewroute.llm import packing, simhash, substring, telephony, topk, warc
+from skewroute.llm import chat, packing, simhash, substring, telephony, topk, warc
 
 QUERIES = {
     "op2_warc": warc.op2_warc,
+    "op5_chat": chat.op5_chat,
     "op4_simhash": simhash.op4_simhash,
     "op6_packing": packing.op6_packing,
     "op7_substring": substring.op7_substring,
@@ -15,5 +16,6 @@ QUERIES = {
 
 ORACLES: dict[str, str] = {
     "op2_warc": warc.ORACLE,
+    "op5_chat": chat.ORACLE,
     "op10_topk": topk.ORACLE,
 }
