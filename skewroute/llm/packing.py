@@ -18,6 +18,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -27,7 +28,7 @@ from skewroute.llm.common import input_partitions, materialize, read_table, word
 CAPACITY = 4096
 END_ID = 1
 TOKENIZER = "word_bpe_49k.json"
-_MEMO_WORDS = 400_000
+_MEMO_WORDS = 600_000
 
 
 @dataclass(frozen=True)
@@ -121,31 +122,55 @@ def _slots(plan: list[tuple[int, tuple[tuple[int, int], ...]]]) -> dict[int, tup
     return {length: tuple(np.array(c, np.int64) for c in zip(*r, strict=True)) for length, r in rows.items()}
 
 
-@functools.cache
-def _tokenizer(path: str):
-    from tokenizers import Tokenizer
+# Fixed values of the tokenizer: its pieces, and the printable stand-ins of bytes that byte-level BPE works on.
+_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+_PLAIN = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+_STAND_IN = {b: chr(b) for b in _PLAIN} | {b: chr(0x100 + i) for i, b in enumerate(b for b in range(256) if b not in set(_PLAIN))}
+
 
-    t = Tokenizer.from_file(path)
-    t.encode_special_tokens = False
-    return t
+@functools.cache
+def word_tokens(path: str) -> WordTokens:
+    """One memo for each Python worker, so that tasks after the first find most words known."""
+    return WordTokens(path)
 
 
 class WordTokens:
-    """Ids of whole texts through a bounded memo of words; exact because the tokenizer never joins over white space."""
+    """Ids of whole texts through a bounded memo of words; exact because the tokenizer never joins over white space.
+
+    A new word of Latin letters is split into the tokenizer's pieces here and each new piece goes to its BPE model; any
+    other word, and one that may hold a special token, goes through the whole tokenizer.
+    """
 
     def __init__(self, path: str):
-        self.tokenizer, self.memo = _tokenizer(path), {}
+        from tokenizers import Tokenizer
+
+        self.tokenizer = Tokenizer.from_file(path)
+        self.model = self.tokenizer.model
+        self.memo: dict[bytes, bytes] = {}
+        self.pieces: dict[str, bytes] = {}
+        self.byte_map = str.maketrans({chr(b): c for b, c in _STAND_IN.items()})
+
+    def _piece(self, piece: str) -> bytes:
+        tokens = self.model.tokenize(piece.encode().decode("latin-1").translate(self.byte_map))
+        self.pieces[piece] = out = np.array([t.id for t in tokens], "<u4").tobytes()
+        return out
+
+    def word(self, word: bytes) -> bytes:
+        text = word.decode("utf-8", "replace")
+        if "<|" in text or max(text) >= "\u0250":
+            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        known = self.pieces.get
+        return b"".join([known(p) or self._piece(p) for p in _PIECES.findall(text.lower())])
 
     def learn(self, words: set[bytes]) -> None:
         new = [w for w in words if w not in self.memo]
         if len(self.memo) + len(new) > _MEMO_WORDS:
             self.memo.clear()
             new = list(words)
-        for i in range(0, len(new), 20_000):
-            part = new[i : i + 20_000]
-            texts = [w.decode("utf-8", "replace") for w in part]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False), strict=True):
-                self.memo[w] = np.array(e.ids, "<u4").tobytes()
+        if len(self.pieces) > _MEMO_WORDS:
+            self.pieces.clear()
+        for w in new:
+            self.memo[w] = self.word(w)
 
     def ids(self, texts: list[str]) -> Iterator[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
@@ -162,7 +187,7 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_i
     end = np.array([end_id], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokens = WordTokens(tokenizer_path)
+        tokens = word_tokens(tokenizer_path)
         kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
         for b in batches:
             rows = []
