@@ -1,11 +1,13 @@
 """Incremental removal of repeated word windows over a log-structured fingerprint index.
 
 Every window of ``window`` words falls to its anchor, the least hash of its ``gram``-word grams; equal windows have equal
-anchors. Consecutive windows with one anchor form a segment, and a segment's signature is the 128-bit hash of all its
-words. The index holds one narrow row per segment, in immutable runs sorted by anchor. A new batch is merge-joined with
-the runs. Segments that share anchor and signature are equal window for window; where an anchor has several
-signatures, one representative text of each is read again, its windows are hashed one by one and compared (two
-independent 64-bit hashes), which verifies the match exactly as wide as it is. Small runs are compacted into one.
+anchors. Consecutive windows with one anchor form a segment, and a segment's signature hashes all its words. The index
+holds one narrow row per segment, in immutable runs sorted by anchor. A new batch is merge-joined with the runs.
+Segments that share anchor and signature are equal window for window. Where an anchor has several signatures, the
+texts are read again and the windows of those segments are hashed one by one and compared, which verifies a match
+exactly as wide as it is: anchor and window hash are independent 64-bit hashes of the same words. Which segments to
+hash again, a bitmap of anchors of fixed size tells the scan; its false hits are dropped by the join that follows.
+Small runs are compacted into one.
 """
 
 from __future__ import annotations
@@ -15,7 +17,6 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
@@ -24,8 +25,10 @@ from pyspark.sql import functions as F
 from skewroute.llm.common import materialize, read_table, scratch_path, words_of
 
 WINDOW = 50
-GRAM = 10
+GRAM = 25
 FAN_IN = 4
+#: Size of the anchor bitmap that a verifying scan is sent; more anchors cost more false hits, nothing else.
+BITMAP_BITS = 1 << 26
 _BASES = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD1342543DE82EF95))
 
 
@@ -70,51 +73,73 @@ def segments(h: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, np.ndar
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """Id, a hash that tells rows with one id apart, and the text."""
-    return docs.select(F.col(id_col).cast("long").alias("d"), F.xxhash64(text_col).alias("r"), F.col(text_col).alias("t"))
+    return docs.select(F.col(id_col).cast("long").alias("d"), F.hash(text_col).alias("r"), F.col(text_col).alias("t")).where("d IS NOT NULL")
+
+
+def _signatures(h: np.ndarray, p: np.ndarray, n: np.ndarray, window: int) -> np.ndarray:
+    raw, digest = h.tobytes(), xxhash.xxh3_64_intdigest
+    return np.fromiter((digest(raw[8 * i : 8 * (i + k + window - 1)]) for i, k in zip(p.tolist(), n.tolist(), strict=True)), np.uint64, len(p)).view(np.int64)
 
 
 def segment_rows(keyed: DataFrame, window: int, gram: int) -> DataFrame:
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            cols: dict[str, list] = {c: [] for c in ("d", "r", "p", "n", "a", "s1", "s2")}
-            for d, r, t in zip(b["d"], b["r"], b["t"], strict=True):
+            parts = []
+            for d, r, t in zip(*(b.column(c).to_pylist() for c in ("d", "r", "t")), strict=True):
                 h = _word_hashes(words_of(t))
                 p, n, a = segments(h, window, gram)
-                if not len(p):
-                    continue
-                sig = np.frombuffer(b"".join(xxhash.xxh3_128_digest(h[i : i + k + window - 1].tobytes()) for i, k in zip(p.tolist(), n.tolist(), strict=True)), np.int64).reshape(-1, 2)
-                for c, v in zip(cols, (np.full(len(p), d, np.int64), np.full(len(p), r, np.int64), p.astype(np.int32), n.astype(np.int32), a.view(np.int64), sig[:, 0], sig[:, 1]), strict=True):
-                    cols[c].append(v)
-            yield pd.DataFrame({c: np.concatenate(v) if v else np.zeros(0, np.int64) for c, v in cols.items()})
+                if len(p):
+                    parts.append((np.full(len(p), d, np.int64), np.full(len(p), r, np.int32), p.astype(np.int32), n.astype(np.int32), a.view(np.int64), _signatures(h, p, n, window)))
+            if parts:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts, strict=True)], ["d", "r", "p", "n", "a", "s"])
 
-    return keyed.where("d IS NOT NULL").mapInPandas(run, "d long, r long, p int, n int, a long, s1 long, s2 long")
+    return keyed.mapInArrow(run, "d long, r int, p int, n int, a long, s long")
 
 
-def _window_rows(wanted: DataFrame, window: int) -> DataFrame:
-    """Every window of the wanted segments: ``(a, s1, s2, d0, j, w1, w2)``; a segment's equal windows once."""
+def _window_rows(keyed: DataFrame, bitmap: np.ndarray, window: int, gram: int) -> DataFrame:
+    """``(a, s, ws)``: the window hashes of every segment whose anchor is in the bitmap, each segment once a batch."""
+    shared = keyed.sparkSession.sparkContext.broadcast(bitmap)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = shared.value
         for b in batches:
-            parts = []
-            for d, t, spans in zip(b["d"], b["t"], b["spans"], strict=True):
+            found: dict[tuple[int, int], np.ndarray] = {}
+            for t in b.column("t").to_pylist():
                 h = _word_hashes(words_of(t))
-                for x in spans:
-                    part = h[x["p"] : x["p"] + x["n"] + window - 1]
-                    parts.append(pd.DataFrame({"a": x["a"], "s1": x["s1"], "s2": x["s2"], "d0": d, "j": np.arange(x["n"], dtype=np.int32), "w1": _rolling(part, window, _BASES[0]).view(np.int64), "w2": _rolling(part, window, _BASES[1]).view(np.int64)}))
-                    if len(parts) == 2000:
-                        yield pd.concat(parts)
-                        parts = []
-            if parts:
-                yield pd.concat(parts)
+                p, n, a = segments(h, window, gram)
+                hit = np.flatnonzero(_bit_set(bits, a)) if len(p) else ()
+                if not len(hit):
+                    continue
+                every = _rolling(h, window, _BASES[1]).view(np.int64)
+                for i, anchor, sig in zip(hit.tolist(), a[hit].view(np.int64).tolist(), _signatures(h, p[hit], n[hit], window).tolist(), strict=True):
+                    found[anchor, sig] = every[p[i] : p[i] + n[i]]
+            if found:
+                keys = np.array(list(found), np.int64)
+                ends = np.cumsum([0, *map(len, found.values())]).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(list(found.values()))))], ["a", "s", "ws"])
+
+    return keyed.select("t").mapInArrow(run, "a long, s long, ws array<long>")
+
+
+def _bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
+    at = a & np.uint64(64 * len(bitmap) - 1)
+    return (bitmap[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
+
 
-    return wanted.mapInPandas(run, "a long, s1 long, s2 long, d0 long, j int, w1 long, w2 long")
+def _bitmap(anchors: DataFrame, bits: int) -> np.ndarray:
+    """A bit per anchor in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver."""
+    at = F.col("a").bitwiseAND(F.lit(bits - 1))
+    words = anchors.select(F.shiftright(at, 6).alias("w"), F.expr("shiftleft(1L, int(a & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toPandas()
+    out = np.zeros(bits // 64, np.uint64)
+    out[words["w"].to_numpy(np.int64)] = words["v"].to_numpy(np.int64).view(np.uint64)
+    return out
 
 
 @dataclass
 class WindowIndex:
     """Runs of segment rows in the shared folder. ``append`` takes batches in ascending order of document id.
 
-    ``corpus`` must give the text of every document in the index: representatives are read again from it.
+    ``corpus`` must give the texts of all documents that were appended: windows are verified against it.
     """
 
     spark: SparkSession
@@ -124,11 +149,13 @@ class WindowIndex:
     window: int = WINDOW
     gram: int = GRAM
     fan_in: int = FAN_IN
+    bitmap_bits: int = BITMAP_BITS
     runs: list[str] = field(default_factory=list)
 
     def _write_run(self, rows: DataFrame) -> str:
+        # Each file is sorted as it is scanned; dealing the rows out by anchor is left to the merge that needs it.
         path = scratch_path(self.spark, "run")
-        rows.repartitionByRange("a", "d", "p").sortWithinPartitions("a").write.parquet(path)
+        rows.sortWithinPartitions("a").write.parquet(path)
         return path
 
     def compact(self) -> None:
@@ -137,7 +164,7 @@ class WindowIndex:
             self.runs = [self._write_run(self.spark.read.parquet(*self.runs))]
 
     def append(self, batch: DataFrame) -> DataFrame:
-        """Index a batch and give its repeated windows: ``(d, r, p, n)`` whole segments or single windows (n = 1).
+        """Index a batch and give its repeated windows: ``(d, r, p, n)``, ``n`` windows from word ``p`` on.
 
         A window is repeated if its words start in a document with a smaller id, of this batch or of an earlier one.
         """
@@ -145,22 +172,22 @@ class WindowIndex:
         new, seen = self.spark.read.parquet(own), self.spark.read.parquet(*self.runs, own)
         self.runs.append(own)
 
-        # Per anchor and signature the least document and its place; anchors of one document only are done.
-        sig = seen.groupBy("a", "s1", "s2").agg(F.min(F.struct("d", "r", "p", "n")).alias("first"), F.max("d").alias("dmax"))
-        anchor = sig.groupBy("a").agg(F.count("*").alias("sigs"), F.min("first.d").alias("dmin"), F.max("dmax").alias("dmax")).where("dmax > dmin")
-        shared = materialize(sig.join(anchor.select("a", "sigs"), "a").select("a", "s1", "s2", "sigs", "first.*"), "shared")
-        several = shared.where("sigs > 1")
-        spans = several.groupBy("d", "r").agg(F.collect_list(F.struct("p", "n", "a", "s1", "s2")).alias("spans"))
-        texts = _keyed(self.corpus, self.id_col, self.text_col).join(spans, ["d", "r"]).dropDuplicates(["d", "r"])
-        windows = materialize(_window_rows(texts.select("d", "t", "spans"), self.window), "windows")
-        least = windows.groupBy("a", "w1", "w2").agg(F.min("d0").alias("m"))
-        per_window = windows.join(least, ["a", "w1", "w2"]).groupBy("a", "s1", "s2").agg(F.array_sort(F.collect_list(F.struct("j", "m"))).alias("mins"))
-
-        mine = new.join(shared.select("a", "s1", "s2", "sigs", F.col("d").alias("d0")), ["a", "s1", "s2"]).select("a", "s1", "s2", "sigs", "d0", "d", "r", "p", "n")
+        # Per anchor and signature the least document; anchors of one document only are done.
+        sig = seen.groupBy("a", "s").agg(F.min("d").alias("d0"), F.max("d").alias("d1"))
+        anchor = sig.groupBy("a").agg(F.count("*").alias("sigs"), F.min("d0").alias("dmin"), F.max("d1").alias("dmax")).where("dmax > dmin")
+        shared = materialize(sig.join(anchor.select("a", "sigs"), "a").select("a", "s", "d0", "sigs"), "shared")
+        several = shared.where("sigs > 1").select("a", "s", "d0")
+        # Cast as rows of one segment each; ``first`` is any of equal arrays.
+        hashed = _window_rows(_keyed(self.corpus, self.id_col, self.text_col), _bitmap(several.select("a"), self.bitmap_bits), self.window, self.gram)
+        arrays = materialize(several.join(hashed.groupBy("a", "s").agg(F.first("ws").alias("ws")), ["a", "s"]), "windows")
+        least = arrays.select("a", "d0", F.explode("ws").alias("w")).groupBy("a", "w").agg(F.min("d0").alias("m"), F.max("d0").alias("x")).where("m < x").select("a", "w", "m")
+        early = arrays.select("a", "s", "d0", F.posexplode("ws").alias("j", "w")).join(least, ["a", "w"]).where("m < d0").groupBy("a", "s").agg(F.collect_list("j").alias("js"))
+
+        mine = new.join(shared, ["a", "s"])
         whole = mine.where("d > d0").select("d", "r", "p", "n")
         # Segments whose own signature starts here may still hold windows that smaller documents have elsewhere.
-        partial = mine.where("sigs > 1 AND d = d0").join(per_window, ["a", "s1", "s2"]).select("d", "r", "p", F.explode(F.filter("mins", lambda x: x["m"] < F.col("d"))).alias("x"))
-        found = whole.unionByName(partial.select("d", "r", (F.col("p") + F.col("x.j")).alias("p"), F.lit(1).alias("n")))
+        partial = mine.where("sigs > 1 AND d = d0").join(early, ["a", "s"]).select("d", "r", "p", F.explode("js").alias("j"))
+        found = whole.unionByName(partial.select("d", "r", (F.col("p") + F.col("j")).alias("p"), F.lit(1).alias("n")))
         if len(self.runs) >= self.fan_in:
             found = materialize(found, "repeated")
             self.compact()
@@ -174,7 +201,7 @@ def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col:
     words joined by a space as ``kept`` (null where nothing was removed).
     """
     spans = repeated.groupBy("d", "r").agg(F.collect_list(F.struct("p", "n")).alias("_spans"))
-    keyed = docs.select(*[F.col(c) for c in keep], F.col(id_col).cast("long").alias("_d"), F.xxhash64(text_col).alias("_r"), F.col(text_col).alias("_t"))
+    keyed = docs.select(*[F.col(c) for c in keep], F.col(id_col).cast("long").alias("_d"), F.hash(text_col).alias("_r"), F.col(text_col).alias("_t"))
     joined = keyed.join(spans.select(F.col("d").alias("_d"), F.col("r").alias("_r"), "_spans"), ["_d", "_r"], "left")
     last = "kept_sha256" if digest else "kept"
 
@@ -211,9 +238,8 @@ def repeated_windows(docs: DataFrame, batches: int = 2, window: int = WINDOW, gr
     cuts = sorted(set(cuts or []))
     index, out = WindowIndex(spark, docs, id_col, text_col, window, gram), None
     for low, high in zip([None, *cuts], [*cuts, None], strict=True):
-        part = docs if low is None else docs.where(key > low)
-        part = part if high is None else part.where(key <= high)
-        found = index.append(part)
+        index.corpus = docs if high is None else docs.where(key <= high)
+        found = index.append(index.corpus if low is None else index.corpus.where(key > low))
         out = found if out is None else out.unionByName(found)
     return materialize(out, "repeated")
 
