@@ -1,0 +1 @@
+"""Routing, head detection, measures and worker-side aggregation."""

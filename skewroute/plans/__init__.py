@@ -1,0 +1 @@
+"""Experiment grids, the SQL surface and the query catalogue."""

@@ -1,0 +1 @@
+"""Keyed message streams from tables and generators."""

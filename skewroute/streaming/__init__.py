@@ -1,0 +1 @@
+"""The same router over Structured Streaming."""
