@@ -64,8 +64,7 @@ class Router:
 
     def __init__(self, scheme: Scheme, n: int, source: int = 0, family: str = "md5"):
         self.scheme, self.n, self.source = scheme, n, source
-        self.load = [0] * n  # what choices look at
-        self.sent = [0] * n  # all messages
+        self.load = [0] * n
         self.cursor = 0
         self.choice: Callable = CHOICES[family]
         self.memo: dict = {}
@@ -164,7 +163,6 @@ class Router:
                     w = self.load.index(min(self.load)) if self.scheme.tie == "first" else self._least(range(n))
                 else:
                     w = self._least(self.candidates(key, d, (c1, c2)))
-        self.sent[w] += 1
         if not head or self.scheme.count_head_in_load or kind != "head_round_robin":
             self.load[w] += 1
         return w, head, d

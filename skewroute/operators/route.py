@@ -52,7 +52,7 @@ def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: in
     sourced = with_source(msgs, sources, order, dense)
     c = [hash_choice("key", i, workers, family).alias(f"_c{i}") for i in (1, 2)]
     dealt = sourced.select("*", *c).repartitionById(sources, F.col("source_id")).sortWithinPartitions("source_id", order)
-    names = sourced.columns
+    names, by_key = sourced.columns, any(s.kind != "two_choice" for s in schemes)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, routers = None, []
@@ -66,7 +66,8 @@ def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: in
                 if ids[lo] != now:
                     now = ids[lo]
                     routers = [Router(s, workers, int(now), family) for s in schemes]
-                keys, c1, c2 = (part.column(x).to_pylist() for x in ("key", "_c1", "_c2"))
+                keys = part.column("key").to_pylist() if by_key else [None] * (hi - lo)
+                c1, c2 = (part.column(x).to_numpy().tolist() for x in ("_c1", "_c2"))
                 for r in routers:
                     w, h, d = r.run(keys, c1, c2)
                     yield pa.RecordBatch.from_arrays([*(part.column(x) for x in names), pa.array([r.scheme.label] * len(w)), pa.array(w, pa.int32()), pa.array(h, pa.bool_()), pa.array(d, pa.int32())], [*names, "scheme", "worker", "is_head", "n_choices"])
