@@ -3,8 +3,8 @@
 Documents that belong to the same set of sources are one pattern; only patterns are seen by the flow, which sends their
 tokens to the sources' quotas. A pattern's tokens can be sent several times, each time at a higher cost (convex), so
 repeats are spread before they pile up. Documents are then chosen by a seeded hash: each pattern has a number of full
-repeats, a cut in hash order up to which documents are taken once more, and one document that fills what is left
-best. So the choice is a comparison with a few values of the pattern, made where the document is scanned.
+repeats, stretches of the hash order whose documents are taken once more, and a few exceptions that bring the total
+nearer. So the choice is a comparison with a few values of the pattern, made where the document is scanned.
 """
 
 from __future__ import annotations
@@ -107,7 +107,8 @@ def route(patterns: dict[tuple[int, ...], int], quotas: list[int], repeats: int
 
 
 def word_count(text: Column) -> Column:
-    return F.coalesce(F.regexp_count(text, F.lit(WORD_PATTERN)), F.lit(0)).cast("long")
+    """Words of a text: each becomes one letter, and what is between them goes; no list of words is ever built."""
+    return F.coalesce(F.length(F.translate(F.regexp_replace(text, WORD_PATTERN, "x"), " \t\n\x0b\x0c\r", "")), F.lit(0)).cast("long")
 
 
 def seeded(doc_id: Column, text: Column, seed: int) -> Column:
@@ -116,7 +117,7 @@ def seeded(doc_id: Column, text: Column, seed: int) -> Column:
 
 @dataclass
 class MixPlan:
-    """What decides a row, per pattern, as a small table: full repeats, stretches of the seeded order, the filling row."""
+    """What decides a row, per pattern, as a small table: full repeats, stretches of the seeded order, exceptions."""
 
     table: DataFrame
     sources: list[str | None]
@@ -157,17 +158,18 @@ def plan(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, repeats: int = M
 
     schema = T.StructType([T.StructField("sources", T.ArrayType(T.StringType())), T.StructField("pattern", T.LongType())])
     table = spark.createDataFrame([(list(s), number[p]) for s, p in key.items()], schema)
-    cuts, fill = _cuts(rows.join(F.broadcast(table), "sources").select("pattern", "size", "h", "i"), {number[p]: n for p, n in extra.items()})
-    cut = T.StructType([T.StructField(c, T.LongType()) for c in ("limit", "low_h", "low_i", "h", "i")])
-    final = T.StructType([T.StructField("sources", T.ArrayType(T.StringType())), T.StructField("whole", T.LongType()), T.StructField("cuts", T.ArrayType(cut)), T.StructField("fill_h", T.LongType()), T.StructField("fill_i", T.LongType()), T.StructField("target", T.DoubleType()), T.StructField("source_size", T.LongType())])
+    cuts, toggles = _cuts(rows.join(F.broadcast(table), "sources").select("pattern", "size", "h", "i"), {number[p]: n for p, n in extra.items()})
+    final = T.StructType([T.StructField("sources", T.ArrayType(T.StringType())), T.StructField("whole", T.LongType()), T.StructField("cuts", T.ArrayType(_CUT)), T.StructField("toggles", T.ArrayType(_ROW)), T.StructField("target", T.DoubleType()), T.StructField("source_size", T.LongType())])
     out = []
     for s, p in key.items():
         alone, k = len(p) == 1, number[p]
-        out.append((list(s), whole[p], cuts[k], *fill.get(k, (None, None)), targets[p[0]] if alone else None, within[p[0]] if alone else None))
+        out.append((list(s), whole[p], cuts[k], toggles[k], targets[p[0]] if alone else None, within[p[0]] if alone else None))
     return MixPlan(spark.createDataFrame(out, final), names, targets, sent)
 
 
 _LOW, _HIGH = -(1 << 63), (1 << 63) - 1
+_CUT = T.StructType([T.StructField(c, T.LongType()) for c in ("limit", "low_h", "low_i", "h", "i")])
+_ROW = T.StructType([T.StructField(c, T.LongType()) for c in ("h", "i")])
 
 
 def _taken(cuts: Column, size: Column) -> Column:
@@ -176,8 +178,13 @@ def _taken(cuts: Column, size: Column) -> Column:
     return F.exists(cuts, lambda c: (size <= c["limit"]) & (at > F.struct(c["low_h"].alias("h"), c["low_i"].alias("i"))) & (at <= F.struct(c["h"].alias("h"), c["i"].alias("i"))))
 
 
-def _cuts(known: DataFrame, extra: dict[int, int], rounds: int = 4) -> tuple[dict[int, list[tuple]], dict[int, tuple[int, int]]]:
-    """Which rows of each pattern make up ``extra`` tokens: stretches of the seeded order, and one row that fills best.
+def _picked(cuts: Column, toggles: Column, size: Column) -> Column:
+    at = _order()
+    return _taken(cuts, size) != F.exists(toggles, lambda x: at == F.struct(x["h"].alias("h"), x["i"].alias("i")))
+
+
+def _cuts(known: DataFrame, extra: dict[int, int], rounds: int = 4) -> tuple[dict[int, list[tuple]], dict[int, list[tuple[int, int]]]]:
+    """Which rows of each pattern make up ``extra`` tokens: stretches of the seeded order, and rows that mend the rest.
 
     A stretch takes rows in order while they fit; the row that does not fit is left out, and the next stretch goes
     on behind it with rows that fit what is left. Sums run over hash buckets first, then inside one bucket a pattern.
@@ -211,22 +218,37 @@ def _cuts(known: DataFrame, extra: dict[int, int], rounds: int = 4) -> tuple[dic
                 stop, used = (max((edge["b"] << 52) + _LOW - 1, _LOW), _HIGH), edge["before"]
             cuts[p].append((room, *start, *stop))
             gap[p], low[p] = room - used, tuple(stop)
-    left = [(p, gap[p], cuts[p]) for p in extra if gap[p] > 0]
-    fill: dict[int, tuple[int, int]] = {}
-    if left:
-        cut = T.StructType([T.StructField(c, T.LongType()) for c in ("limit", "low_h", "low_i", "h", "i")])
-        marks = spark.createDataFrame(left, T.StructType([T.StructField("pattern", T.LongType()), T.StructField("gap", T.LongType()), T.StructField("cuts", T.ArrayType(cut))]))
-        off = F.abs(F.col("size") - F.col("gap"))
-        rest = known.join(F.broadcast(marks), "pattern").where((F.col("size") > 0) & (off < F.col("gap")) & ~_taken(F.col("cuts"), F.col("size")))
-        fill = {r["pattern"]: (r["x"]["h"], r["x"]["i"]) for r in rest.groupBy("pattern").agg(F.min(F.struct(off.alias("off"), "h", "i")).alias("x")).collect()}
-    return cuts, fill
+    return cuts, _toggles(known, gap, cuts, extra)
+
+
+def _toggles(known: DataFrame, gap: dict[int, int], cuts: dict[int, list[tuple]], extra: dict[int, int], steps: int = 8) -> dict[int, list[tuple[int, int]]]:
+    """Rows to take or leave against the cuts, one a step, as long as each brings a pattern's total nearer."""
+    spark, gap = known.sparkSession, dict(gap)
+    out: dict[int, list[tuple[int, int]]] = {p: [] for p in extra}
+    todo = {p for p in extra if gap[p] > 0}
+    kind = T.StructType([T.StructField("pattern", T.LongType()), T.StructField("gap", T.LongType()), T.StructField("cuts", T.ArrayType(_CUT)), T.StructField("toggles", T.ArrayType(_ROW))])
+    for _ in range(steps):
+        if not todo:
+            break
+        marks = spark.createDataFrame([(p, gap[p], cuts[p], out[p]) for p in sorted(todo)], kind)
+        on = _picked(F.col("cuts"), F.col("toggles"), F.col("size"))
+        change = F.when(on, -F.col("size")).otherwise(F.col("size"))
+        off = F.abs(F.col("gap") - change)
+        near = known.join(F.broadcast(marks), "pattern").where((F.col("size") > 0) & (off < F.abs("gap")))
+        best = {r["pattern"]: r["x"] for r in near.groupBy("pattern").agg(F.min(F.struct(off.alias("off"), "h", "i", change.alias("change"))).alias("x")).collect()}
+        todo = set()
+        for p, x in best.items():
+            out[p].append((x["h"], x["i"]))
+            gap[p] -= x["change"]
+            if gap[p]:
+                todo.add(p)
+    return out
 
 
 def choose(rows: DataFrame, mix: MixPlan) -> DataFrame:
     """Add ``repeats`` (how often the mix takes the row), ``target`` and ``source_size`` to ``rows(sources, size, h, i, ...)``."""
-    fills = F.coalesce((F.col("h") == F.col("fill_h")) & (F.col("i") == F.col("fill_i")), F.lit(False))
-    picked = (_taken(F.col("cuts"), F.col("size")) | fills).cast("long")
-    return rows.join(F.broadcast(mix.table), "sources").withColumn("repeats", F.col("whole") + picked).drop("whole", "cuts", "fill_h", "fill_i")
+    picked = _picked(F.col("cuts"), F.col("toggles"), F.col("size")).cast("long")
+    return rows.join(F.broadcast(mix.table), "sources").withColumn("repeats", F.col("whole") + picked).drop("whole", "cuts", "toggles")
 
 
 def _rows(docs: DataFrame, seed: int) -> list[Column]:

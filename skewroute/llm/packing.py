@@ -10,7 +10,9 @@ third of the pieces share is spread over all shards.
 from __future__ import annotations
 
 import functools
+import sys
 import zlib
+from array import array
 from bisect import bisect_left
 from collections import defaultdict
 from collections.abc import Iterator
@@ -23,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import input_partitions, materialize, read_table, words_of
+from skewroute.llm.common import input_partitions, materialize, read_table, tidy, words_of
 
 CAPACITY = 4096
 END_ID = 1
@@ -128,10 +130,18 @@ _PLAIN = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
 _STAND_IN = {b: chr(b) for b in _PLAIN} | {b: chr(0x100 + i) for i, b in enumerate(b for b in range(256) if b not in set(_PLAIN))}
 
 
+def _little(ids: array) -> bytes:
+    """Bytes of 32-bit ids, little-endian on any machine."""
+    if sys.byteorder == "big":
+        ids.byteswap()
+    return ids.tobytes()
+
+
 @functools.cache
-def word_tokens(path: str) -> WordTokens:
-    """One memo for each Python worker, so that tasks after the first find most words known."""
-    return WordTokens(path)
+def _tokenizer(path: str):
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(path)
 
 
 class WordTokens:
@@ -142,9 +152,7 @@ class WordTokens:
     """
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
-
-        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer = _tokenizer(path)
         self.model = self.tokenizer.model
         self.memo: dict[bytes, bytes] = {}
         self.pieces: dict[str, bytes] = {}
@@ -152,25 +160,34 @@ class WordTokens:
 
     def _piece(self, piece: str) -> bytes:
         tokens = self.model.tokenize(piece.encode().decode("latin-1").translate(self.byte_map))
-        self.pieces[piece] = out = np.array([t.id for t in tokens], "<u4").tobytes()
+        self.pieces[piece] = out = _little(array("I", [t.id for t in tokens]))
         return out
 
-    def word(self, word: bytes) -> bytes:
-        text = word.decode("utf-8", "replace")
-        if "<|" in text or max(text) >= "\u0250":
-            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        known = self.pieces.get
-        return b"".join([known(p) or self._piece(p) for p in _PIECES.findall(text.lower())])
+    def _whole(self, text: str) -> bytes:
+        return _little(array("I", self.tokenizer.encode(text, add_special_tokens=False).ids))
 
     def learn(self, words: set[bytes]) -> None:
-        new = [w for w in words if w not in self.memo]
+        new = words.difference(self.memo)
         if len(self.memo) + len(new) > _MEMO_WORDS:
             self.memo.clear()
-            new = list(words)
+            new = words
         if len(self.pieces) > _MEMO_WORDS:
             self.pieces.clear()
-        for w in new:
-            self.memo[w] = self.word(w)
+        if not new:
+            return
+        # Words hold no line feed, so all new ones are decoded and lower-cased in one go.
+        joined = b"\n".join(new).decode("utf-8", "replace")
+        memo, known, piece = self.memo, self.pieces.get, self._piece
+        for word, text, low in zip(new, joined.split("\n"), joined.lower().split("\n"), strict=True):
+            if "<|" in text or not text.isascii() and max(text) >= "\u0250":
+                memo[word] = self._whole(text)
+            elif low.isalpha():
+                memo[word] = known(low) or piece(low)
+            elif low[-1] in ".,;:!?" and low[:-1].isalpha():
+                stem, mark = low[:-1], low[-1]
+                memo[word] = (known(stem) or piece(stem)) + (known(mark) or piece(mark))
+            else:
+                memo[word] = b"".join([known(p) or piece(p) for p in _PIECES.findall(low)])
 
     def ids(self, texts: list[str]) -> Iterator[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
@@ -187,7 +204,7 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_i
     end = np.array([end_id], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokens = word_tokens(tokenizer_path)
+        tokens = WordTokens(tokenizer_path)
         kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
         for b in batches:
             rows = []
@@ -200,7 +217,7 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_i
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["row_id", "doc_id", "piece", "start", "length", "ids_crc32"])
 
     source = docs.select(F.col(id_col).cast("long").alias("i"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("r"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
-    return source.mapInArrow(run, "row_id long, doc_id long, piece int, start long, length long, ids_crc32 long")
+    return source.mapInArrow(tidy(run), "row_id long, doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def place(cut: DataFrame, caps: Capacities | None = None, rule: str = "norm") -> DataFrame:

@@ -19,7 +19,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.llm.common import input_partitions, materialize, read_table
+from skewroute.llm.common import input_partitions, materialize, read_table, release_memory, tidy
 
 ORDER = 4
 #: Quantile of trusted held-out documents of a language at its threshold, slack in nats per unit, and what the mean of
@@ -30,7 +30,7 @@ STRAY = 2.0
 #: Languages with fewer held-out trusted documents take the quantile of all languages together.
 LEAST_HELD = 40
 #: Units that are hashed at a time; bounds memory only.
-_UNITS = 4_000_000
+_UNITS = 1_000_000
 _MASK = {3: (1 << 48) - 1, 2: (1 << 32) - 1, 1: (1 << 16) - 1}
 
 
@@ -44,7 +44,7 @@ def _compressed(docs: DataFrame, chunks: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("chunk", "id", "r", "lang")), pa.array(z, pa.binary())], ["chunk", "id", "r", "lang", "z"])
 
     source = docs.select(_chunk(F.col("doc_id"), chunks).alias("chunk"), F.col("doc_id").cast("long").alias("id"), F.xxhash64("text").alias("r"), F.col("lang").cast("string").alias("lang"), F.col("text").alias("t"))
-    return source.mapInArrow(run, "chunk int, id long, r long, lang string, z binary")
+    return source.mapInArrow(tidy(run), "chunk int, id long, r long, lang string, z binary")
 
 
 def _chunk(doc_id: Column, chunks: int) -> Column:
@@ -83,6 +83,7 @@ def _count_chunk(docs: pa.Table, trusted: pa.Table) -> pa.Table:
         at = known.get_indexer(found)
         np.add.at(counts, at[at >= 0], n[at >= 0])
         known, counts = known.append(pd.Index(found[at < 0])), np.r_[counts, n[at < 0]]
+    release_memory()
     chunk = docs.column("chunk")[0].as_py() if docs.num_rows else 0
     return pa.table({"chunk": pa.array(np.full(len(known), chunk, np.int32)), "key": pa.array(known.to_numpy()), "n": pa.array(counts)})
 
@@ -95,6 +96,7 @@ def _score_chunk(docs: pa.Table, answers: pa.Table) -> pa.Table:
         sums = np.r_[0.0, np.cumsum(-logp[index.get_indexer(keys)])]
         ends = np.cumsum(sizes)
         total[rows], count[rows] = sums[ends] - sums[ends - sizes], sizes
+    release_memory()
     with np.errstate(invalid="ignore"):
         mean = pa.array(total / count, mask=count == 0)
     return pa.table({"id": docs.column("id"), "r": docs.column("r"), "lang": docs.column("lang"), "units": pa.array(count), "nats": mean})
@@ -171,12 +173,12 @@ def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, sla
     """
     scored = perplexities(docs.select("doc_id", "lang", "text"), labels)
     # A short text's mean strays farther from its language's: what it may stray falls with the root of its length.
-    scored = scored.withColumn("fit", F.col("nats") - STRAY / F.sqrt("units"))
+    scored = scored.withColumn("fit", F.col("nats") - STRAY / F.sqrt(F.greatest("units", F.lit(1))))
     held = scored.where("held AND nats IS NOT NULL")
     of_all = held.agg(F.percentile_approx("fit", quantile, 10000)).first()[0]
     by_lang = held.groupBy("lang").agg(F.when(F.count("*") >= LEAST_HELD, F.percentile_approx("fit", quantile, 10000)).alias("own")).withColumnRenamed("lang", "_lang")
     told = scored.join(by_lang, F.col("lang").eqNullSafe(F.col("_lang")), "left")
-    threshold = F.coalesce("own", F.lit(of_all).cast("double")) + slack + STRAY / F.sqrt("units")
+    threshold = F.coalesce("own", F.lit(of_all).cast("double")) + slack + STRAY / F.sqrt(F.greatest("units", F.lit(1)))
     return told.select(F.col("id").alias("doc_id"), "r", "lang", "units", "nats", threshold.alias("threshold"), F.coalesce(F.col("nats") <= threshold, F.lit(True)).alias("keep"))
 
 
@@ -187,5 +189,5 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier keeps."""
-    rejected = classify(docs, read_table(spark, sf_dir, "labels")).where(~F.col("keep")).select(F.col("doc_id").alias("_d"), F.col("r").alias("_r"))
-    return docs.join(rejected, (F.col("doc_id") == F.col("_d")) & (F.xxhash64("text") == F.col("_r")), "left_anti")
+    rejected = classify(docs, read_table(spark, sf_dir, "labels")).where(~F.col("keep")).select(F.col("doc_id").alias("__reject_id"), F.col("r").alias("__reject_text"))
+    return docs.join(rejected, (F.col("doc_id") == F.col("__reject_id")) & (F.xxhash64("text") == F.col("__reject_text")), "left_anti")

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.llm.common import materialize, read_table
+from skewroute.llm.common import materialize, read_table, tidy
 from skewroute.llm.components import connected_components
 
 SEED = 42
@@ -55,7 +55,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             fp = np.fromiter((fingerprint(t, shingle) for t in b.column("t").to_pylist()), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column("i"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
 
-    return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), "doc_id long, fp long")
 
 
 def gray_rank(fp: np.ndarray) -> np.ndarray:
@@ -208,5 +208,5 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep the document with the smallest id of each component; rows that repeat its id are kept once."""
-    keep = near_duplicates(docs).where("doc_id = component_id").select(F.col("doc_id").alias("_keep")).distinct()
-    return docs.join(keep, F.col("doc_id") == F.col("_keep"), "left_semi").dropDuplicates(["doc_id"])
+    keep = near_duplicates(docs).where("doc_id = component_id").select(F.col("doc_id").alias("__keep_id")).distinct()
+    return docs.join(keep, F.col("doc_id") == F.col("__keep_id"), "left_semi").dropDuplicates(["doc_id"])

@@ -21,8 +21,9 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from skewroute.llm.common import materialize, read_table, scratch_path, words_of
+from skewroute.llm.common import materialize, read_table, scratch_path, tidy, words_of
 
 WINDOW = 50
 GRAM = 25
@@ -93,7 +94,7 @@ def segment_rows(keyed: DataFrame, window: int, gram: int) -> DataFrame:
             if parts:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts, strict=True)], ["d", "r", "p", "n", "a", "s"])
 
-    return keyed.mapInArrow(run, "d long, r int, p int, n int, a long, s long")
+    return keyed.mapInArrow(tidy(run), "d long, r int, p int, n int, a long, s long")
 
 
 def _window_rows(keyed: DataFrame, bitmap: np.ndarray, window: int, gram: int) -> DataFrame:
@@ -118,7 +119,7 @@ def _window_rows(keyed: DataFrame, bitmap: np.ndarray, window: int, gram: int) -
                 ends = np.cumsum([0, *map(len, found.values())]).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(list(found.values()))))], ["a", "s", "ws"])
 
-    return keyed.select("t").mapInArrow(run, "a long, s long, ws array<long>")
+    return keyed.select("t").mapInArrow(tidy(run), "a long, s long, ws array<long>")
 
 
 def _bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
@@ -197,11 +198,11 @@ class WindowIndex:
 def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col: str, window: int, keep: list[str], digest: bool) -> DataFrame:
     """Join the repeated windows to their documents and drop the words they cover.
 
-    Columns ``keep`` of the input come first, then ``n_words``, ``n_removed`` and ``kept_sha256`` (digest) or the kept
-    words joined by a space as ``kept`` (null where nothing was removed).
+    ``row`` holds the columns ``keep`` of the input, beside ``n_words``, ``n_removed`` and ``kept_sha256`` (digest) or the
+    kept words joined by a space as ``kept`` (null where nothing was removed).
     """
     spans = repeated.groupBy("d", "r").agg(F.collect_list(F.struct("p", "n")).alias("_spans"))
-    keyed = docs.select(*[F.col(c) for c in keep], F.col(id_col).cast("long").alias("_d"), F.hash(text_col).alias("_r"), F.col(text_col).alias("_t"))
+    keyed = docs.select(F.struct(*keep).alias("row"), F.col(id_col).cast("long").alias("_d"), F.hash(text_col).alias("_r"), F.col(text_col).alias("_t"))
     joined = keyed.join(spans.select(F.col("d").alias("_d"), F.col("r").alias("_r"), "_spans"), ["_d", "_r"], "left")
     last = "kept_sha256" if digest else "kept"
 
@@ -225,10 +226,10 @@ def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col:
                     kept.append(hashlib.sha256(b" ".join(words)).hexdigest())
                 else:
                     kept.append(b" ".join(words).decode("utf-8", "replace") if gone else None)
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], [*keep, "n_words", "n_removed", last])
+            yield pa.RecordBatch.from_arrays([b.column("row"), pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], ["row", "n_words", "n_removed", last])
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)
-    return joined.mapInArrow(run, f"{schema}, n_words long, n_removed long, {last} string")
+    schema = T.StructType([joined.schema["row"], T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField(last, T.StringType())])
+    return joined.select("row", "_t", "_spans").mapInArrow(tidy(run), schema)
 
 
 def repeated_windows(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -246,13 +247,15 @@ def repeated_windows(docs: DataFrame, batches: int = 2, window: int = WINDOW, gr
 
 def op7_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
-    return remove_repeats(docs, repeated_windows(docs), "doc_id", "text", WINDOW, ["doc_id"], digest=True)
+    out = remove_repeats(docs, repeated_windows(docs), "doc_id", "text", WINDOW, ["doc_id"], digest=True)
+    return out.select("row.doc_id", "n_words", "n_removed", "kept_sha256")
 
 
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without their repeated windows; documents left without a word go. ``n_chars`` follows the text."""
     names = docs.columns
-    cut = remove_repeats(docs, repeated_windows(docs), "doc_id", "text", WINDOW, names, digest=False)
-    text = F.coalesce("kept", "text")
-    out = cut.where("n_removed = 0 OR n_removed < n_words").withColumn("text", text)
-    return (out.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))) if "n_chars" in names else out).select(*names)
+    cut = remove_repeats(docs, repeated_windows(docs), "doc_id", "text", WINDOW, names, digest=False).where("n_removed = 0 OR n_removed < n_words")
+    new = {"text": F.coalesce("kept", "row.text")}
+    if "n_chars" in names:
+        new["n_chars"] = F.when(F.col("n_removed") > 0, F.length("kept").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("row.n_chars"))
+    return cut.select(*(new.get(c, F.col("row").getField(c)).alias(c) for c in names))

@@ -15,8 +15,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from skewroute.llm.common import read_table
+from skewroute.llm.common import read_table, tidy
 
 PCM, ALAW, MULAW, IMA = 1, 6, 7, 17
 RATE = 8000
@@ -169,7 +170,7 @@ def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", law:
             padded = [pad(t) for t in b.column("t").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("i"), pa.array([n for n, _ in padded], pa.int64()), pa.array([wave(p, law, rate) for _, p in padded], pa.binary())], ["doc_id", "n_bytes", "media"])
 
-    return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(run, "doc_id long, n_bytes long, media binary")
+    return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), "doc_id long, n_bytes long, media binary")
 
 
 def resampled(media: DataFrame, to: int, media_col: str = "media") -> DataFrame:
@@ -183,7 +184,7 @@ def resampled(media: DataFrame, to: int, media_col: str = "media") -> DataFrame:
                 out.append(None if pcm is None else wave(resample(pcm, rate, to).astype("<i2").tobytes(), PCM, to, 16, 2))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.binary())], [*b.schema.names, "pcm"])
 
-    return media.mapInArrow(run, media.schema.add("pcm", "binary"))
+    return media.mapInArrow(run, T.StructType([*media.schema.fields, T.StructField("pcm", T.BinaryType())]))
 
 
 def read_back(media: DataFrame, to: int = 2 * RATE) -> DataFrame:

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.llm.common import materialize, read_table, words_of
+from skewroute.llm.common import materialize, read_table, tidy, words_of
 
 #: Labelled rows that the lexicon and the fit are learnt from, chosen by a hash of the id.
 SAMPLE_ROWS = 12_000
@@ -243,7 +243,7 @@ def choose_terms(toxic: dict[str, tuple[int, int, int]], clean: dict[str, tuple[
     """
     base = n_toxic / max(1, n_toxic + n_clean)
     # The more stems are tried, the more evidence each must show (log-likelihood ratio against chance).
-    evidence = 2 * math.log(max(MIN_STEMS, len(toxic)))
+    evidence = 2 * math.log(max(MIN_STEMS, len(toxic))) + 4
 
     def tells(stem: str) -> bool:
         a, b = toxic[stem][0], clean.get(stem, (0,))[0]
@@ -269,7 +269,7 @@ def choose_terms(toxic: dict[str, tuple[int, int, int]], clean: dict[str, tuple[
     return [Term(s, weight[s], toxic[s][2] < 0.9 * toxic[s][1]) for s in sorted(best)]
 
 
-def fit_logistic(x: np.ndarray, y: np.ndarray, penalty: float = 1.0, rounds: int = 40) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def fit_logistic(x: np.ndarray, y: np.ndarray, penalty: float = 0.05, rounds: int = 40) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Coefficients (intercept first) by Newton steps on standardised columns, with their means and scales."""
     center, scale = x.mean(axis=0), np.maximum(x.std(axis=0), 1e-6)
     z = np.c_[np.ones(len(x)), (x - center) / scale]
@@ -323,7 +323,7 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
             x = np.array([scorer.features(t) for t in b.column("t").to_pylist()], np.float64).reshape(-1, FEATURES - 1)
             yield pa.RecordBatch.from_arrays([b.column("i"), pa.array(shared.value.probability(x))], ["doc_id", "score"])
 
-    return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(run, "doc_id long, score double")
+    return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), "doc_id long, score double")
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
