@@ -27,7 +27,8 @@ class Scheme:
     (head keys of a given d). ``head``: a known head as keys, hottest first; None: learnt from the stream by a
     sketch. ``d``: given choices; for ``tuned`` with a known head, computed beforehand. ``refresh``: head rows after
     which d is computed again at the latest (1: on every head row). ``tie``: ``first`` candidate or ``rotate`` by
-    source. ``warmup``: rows of a source before any key counts as head.
+    source. ``warmup``: rows of a source before any key counts as head. ``decay``: factor on all sketch counts after every
+    ``decay_every`` rows, so that the head follows drift.
     """
 
     kind: str
@@ -42,6 +43,8 @@ class Scheme:
     count_head_in_load: bool = True
     guaranteed: bool = False
     distinct_candidates: bool = False
+    decay: float | None = None
+    decay_every: int = 1000
     name: str = ""
 
     KINDS = ("two_choice", "uniform", "tuned", "any_worker", "head_round_robin", "fixed_head")
@@ -73,7 +76,7 @@ class Router:
         self.d = scheme.d or 2
         self.online = scheme.kind not in ("two_choice", "uniform") and scheme.head is None
         self.known = frozenset(scheme.head) if scheme.head is not None else frozenset()
-        self.sketch = CounterSketch(scheme.capacity or default_capacity(theta)) if self.online else None
+        self.sketch = CounterSketch(scheme.capacity or default_capacity(theta), scheme.decay, scheme.decay_every) if self.online else None
         self.hot: set = set()
         self.age = 0
         self.history: list[tuple[int, int]] = []  # (messages seen, d) at each change

@@ -5,7 +5,8 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+import pandas as pd
+from pyspark.sql import Column, DataFrame, Observation, SparkSession, Window
 from pyspark.sql import functions as F
 
 from skewroute.operators import heavy
@@ -137,3 +138,25 @@ def replica_floor(routed: DataFrame, n: int) -> DataFrame:
     total = heavy.frequencies(routed).agg(F.sum("freq").alias("m"))
     per = routed.groupBy("key").agg(F.count("*").alias("f"), F.countDistinct("worker").alias("w"))
     return per.join(F.broadcast(total)).agg((F.max(F.col("f") / F.col("w") / F.col("m")) - 1.0 / n).alias("floor"))
+
+
+def observed(routed: DataFrame, n: int) -> tuple[DataFrame, Observation]:
+    """The routed rows with their count and the loads of all workers observed as they pass."""
+    seen = Observation("load")
+    counts = [F.count_if(F.col("worker") == w).alias(f"w{w}") for w in range(n)]
+    return routed.observe(seen, F.count("*").alias("m"), *counts), seen
+
+
+def compare_routings(a: DataFrame, b: DataFrame) -> DataFrame:
+    """``(source_id, rows, differing)`` of two routings of one stream, a source's rows side by side in one group.
+
+    Groups are held whole by a task: for tests and small streams.
+    """
+
+    def beside(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        both = left.merge(right, on=["source_id", "seq"], how="outer", suffixes=("", "_b"))
+        differing = int((both["worker"] != both["worker_b"]).sum())
+        return pd.DataFrame({"source_id": [int(both["source_id"].iloc[0])], "rows": [len(both)], "differing": [differing]})
+
+    keep = ["source_id", "seq", "worker"]
+    return a.select(keep).groupBy("source_id").cogroup(b.select(keep).groupBy("source_id")).applyInPandas(beside, "source_id int, rows long, differing long")

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 from fractions import Fraction
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.functions import pandas_udf
 
 
 class CounterSketch:
@@ -159,6 +162,36 @@ def merge_sketches(sketches: DataFrame, capacity: int) -> DataFrame:
     return merged.orderBy(F.desc("cnt"), "key").limit(capacity)
 
 
+def merge_udaf(capacity: int):
+    """The merge as a grouped aggregate over sketch columns: JSON of ``[[key, count, error], ...]``."""
+
+    @pandas_udf("string")
+    def merged(source: pd.Series, key: pd.Series, cnt: pd.Series, err: pd.Series, n_seen: pd.Series) -> str:
+        out = CounterSketch(capacity)
+        for s in sorted(source.unique()):
+            own, part = source == s, CounterSketch(capacity)
+            part.counts = dict(zip(key[own], cnt[own].astype(int), strict=True))
+            part.errors = {k: int(e) for k, e in zip(key[own], err[own], strict=True) if e}
+            part.total = int(n_seen[own].iloc[0])
+            out = out.merge(part)
+        return json.dumps([[k, int(c), int(e)] for k, c, e in out.items()])
+
+    return merged
+
+
+def count_min_bound(msgs: DataFrame, keys: list[str], eps: float = 0.001, confidence: float = 0.99, seed: int = 7) -> list[tuple[str, int]]:
+    """Upper bounds of the frequencies of given keys from one count-min sketch, built map-side and merged."""
+    data = msgs.agg(F.count_min_sketch("key", F.lit(eps), F.lit(confidence), F.lit(seed)).alias("s")).first()["s"]
+    jvm = msgs.sparkSession._jvm
+    held = jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(bytearray(data))
+    return [(k, held.estimateCount(k)) for k in keys]
+
+
+def frequent_items(msgs: DataFrame, theta: Fraction | float) -> list[str]:
+    """A superset of the keys with at least the share theta, from Spark's frequent-items sketch; may hold others too."""
+    return list(msgs.freqItems(["key"], float(theta)).first()[0])
+
+
 def native_head(msgs: DataFrame, theta: Fraction | float, max_items: int = 10_000) -> DataFrame:
     """Heavy keys by Spark's own mergeable top-k sketch: exact while ``max_items`` covers the keys."""
     t = Fraction(theta)

@@ -568,6 +568,79 @@ def memory_curve(spark, d):
     return experiments.memory_curve(spark, [50, 100], [0.4, 0.8, 1.2, 1.6, 2.0], 10_000, 10**7)
 
 
+@query()
+def visit_imbalance_by_workers(spark, d):
+    """Two choices against the head-aware schemes on page visits, as the number of workers grows."""
+    return experiments.imbalance_by_scale(zipf.visits(spark, d), [5, 10, 20, 50, 100], dense=False, schemes=("two_choice", "tuned", "any_worker"))
+
+
+@query()
+def head_share_of_load(spark, d):
+    """How much of each worker's load comes from the head under high skew, by scheme."""
+    routed = experiments.compare(_zipf(spark, d, 1000, 2), 5, ("two_choice", "any_worker", "head_round_robin"), theta=Fraction(1, 40))
+    return metrics.load_by_part(routed, 5, ["scheme"])
+
+
+@query()
+def word_imbalance_over_time(spark, d):
+    routed = experiments.compare(token_messages(spark, d), 20, dense=False)
+    return metrics.imbalance_over_time(routed, 20, F.floor(F.col("seq") / (1 << 24) / 50), ["scheme"])
+
+
+@query()
+def key_count_has_no_effect(spark, d):
+    """Imbalance of any worker and of the tuned scheme for three numbers of keys at one skew."""
+    out = None
+    for keys in (100, 1000, 10_000):
+        one = experiments.imbalance_by_scale(_zipf(spark, d, keys, 1), [20], schemes=("any_worker", "tuned")).withColumn("keys", F.lit(keys))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def skew_sweep(spark, d):
+    grid = experiments.ExperimentGrid(workers=[10, 50], z=[0.4, 1.0, 1.6, 2.0], keys=[1000])
+    return experiments.run_grid(spark, d, grid)
+
+
+@query()
+def decayed_head_on_drift(spark, d):
+    """A sketch that forgets beside one that does not, on a stream whose hot keys move."""
+    schemes = [Scheme("any_worker", name="remembers"), Scheme("any_worker", decay=0.5, decay_every=200, name="forgets")]
+    return metrics.imbalance(route_many(zipf.drift_events(spark, d, 1500, 1), schemes, N, S), N, ["scheme"])
+
+
+@query(f"WITH {_Z1T}, x AS (SELECT seq // 1000 AS slice, {oracles.choice(1, N)} AS worker FROM ({_Z1})) SELECT slice, round(max(c) / sum(c) - 1.0::DOUBLE / {N}, 9) AS imbalance FROM (SELECT slice, worker, count(*) AS c FROM x GROUP BY ALL) GROUP BY slice")
+def moving_imbalance(spark, d):
+    return metrics.moving_imbalance(key_grouping(_zipf(spark, d), N), N, 1000).select("slice", _r("imbalance"))
+
+
+@query(f"WITH {_Z1T}, x AS (SELECT date_trunc('day', ts) AS bucket, {oracles.choice(1, N)} AS worker FROM ({_Z1})), g AS (SELECT bucket, w.worker, count(x.worker) AS c FROM (SELECT DISTINCT bucket FROM x) b CROSS JOIN range({N}) w(worker) LEFT JOIN x USING (bucket, worker) GROUP BY ALL), u AS (SELECT bucket, sum(c) OVER (PARTITION BY worker ORDER BY bucket) AS u FROM g), i AS (SELECT bucket, max(u) / sum(u) - 1.0::DOUBLE / {N} AS i FROM u GROUP BY bucket) SELECT round(avg(i), 9) AS mean_imbalance, round(arg_max(i, bucket), 9) AS final_imbalance FROM i")
+def mean_imbalance(spark, d):
+    series = metrics.imbalance_over_time(key_grouping(_zipf(spark, d), N), N, F.date_trunc("day", "ts"))
+    return metrics.mean_imbalance(series).select(_r("mean_imbalance"), _r("final_imbalance"))
+
+
+@query("SELECT (event_id % 5)::INTEGER AS source_id, count(*)::BIGINT AS rows, 0::BIGINT AS differing FROM events GROUP BY ALL")
+def routings_side_by_side(spark, d):
+    a, b = (route(event_messages(spark, d), Scheme(k), N, S) for k in ("any_worker", "any_worker"))
+    return metrics.compare_routings(a, b)
+
+
+@query("SELECT event_type AS key, count(*)::BIGINT AS cnt, 0::BIGINT AS err FROM events GROUP BY event_type")
+def merged_sketch_udaf(spark, d):
+    parts = sketch.sketch_per_source(with_source(event_messages(spark, d), S), 100)
+    one = parts.agg(sketch.merge_udaf(100)("source_id", "key", "cnt", "err", "n_seen").alias("j"))
+    rows = one.select(F.explode(F.from_json("j", "array<array<string>>")).alias("x"))
+    return rows.select(F.col("x")[0].alias("key"), F.col("x")[1].cast("long").alias("cnt"), F.col("x")[2].cast("long").alias("err"))
+
+
+@query(f"SELECT {S} AS sources, {N} AS workers, {S * (N + 400)}::BIGINT AS counters, round({S} * 0.0001::DOUBLE, 9) AS worst_case_line")
+def source_memory(spark, d):
+    held = bounds.source_memory(S, N, sketch.default_capacity(bounds.default_theta(N)))
+    return spark.range(1).select(F.lit(S).alias("sources"), F.lit(N).alias("workers"), F.lit(held).cast("long").alias("counters"), F.round(F.lit(bounds.worst_case_line(S)), 9).alias("worst_case_line"))
+
+
 # --- relational surface ----------------------------------------------------------------------------------------------
 
 

@@ -132,6 +132,7 @@ def real_streams(spark: SparkSession, folder: str) -> dict[str, tuple[DataFrame,
     """Streams with natural or drifting skew, and whether their order is dense."""
     return {
         "words": (tables.token_messages(spark, folder), False),
+        "visits": (zipf.visits(spark, folder), False),
         "hosts": (tables.hosts(spark, folder), True),
         "links": (tables.links(spark, folder), False),
         "drift": (zipf.drift_events(spark, folder, 1500, 1.0).select("seq", "key"), True),

@@ -22,6 +22,11 @@ def write_routed(routed: DataFrame, path: str) -> None:
     routed.write.partitionBy("worker").parquet(path)
 
 
+def write_bucketed(df: DataFrame, table: str, buckets: int, key: str = "key") -> None:
+    """A table whose joins and aggregates on the key need no exchange."""
+    df.write.bucketBy(buckets, key).sortBy(key).mode("overwrite").saveAsTable(table)
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write and read back: routed rows that several measures use are routed once."""
     path = scratch_path(df.sparkSession, name)

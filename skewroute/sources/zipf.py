@@ -80,6 +80,13 @@ def drift_events(spark: SparkSession, folder: str, keys: int, z: float, shift: i
     return drawn.select("seq", "ts", ((F.col("key").cast("long") + shift * day) % keys).cast("string").alias("key"))
 
 
+def visits(spark: SparkSession, folder: str, z: float = 1.0, seed: int = 7) -> DataFrame:
+    """Page visits ``(seq, key)``: each row of lineitem visits the page of the rank it draws; the key is the URL."""
+    pages = spark.read.parquet(f"{folder}/pages.parquet").select((F.col("page_id") + 1).cast("string").alias("key"), "url")
+    drawn = zipf_lineitem(spark, folder, pages.count(), z, seed)
+    return drawn.join(pages, "key").select("seq", F.col("url").alias("key"))
+
+
 class _Rows(InputPartition):
     def __init__(self, first: int, last: int):
         self.first, self.last = first, last

@@ -186,3 +186,27 @@ def test_aggregates_equal_plain_ones_for_every_scheme(spark, folder):
         assert sorted(got.collect()) == want
     near = aggregate.balanced_agg(route(msgs, "tuned", 8), 8, {"d": ("approx_distinct", "seq")}).collect()
     assert all(r["d"] > 0 for r in near)
+
+
+def test_other_sketches_bound_frequencies(spark, folder):
+    msgs = tables.event_messages(spark, folder)
+    true = {r["key"]: r["freq"] for r in heavy.frequencies(msgs).collect()}
+    for key, bound in sketch.count_min_bound(msgs, list(true)):
+        assert true[key] <= bound <= true[key] + 0.01 * sum(true.values())
+    assert set(true) <= set(sketch.frequent_items(msgs, 0.1))
+
+
+def test_observed_loads(spark, folder):
+    rows, seen = metrics.observed(route(tables.event_messages(spark, folder), "key_grouping", 4), 4)
+    want = {r["worker"]: r["messages"] for r in metrics.worker_load(rows, 4).collect()}
+    rows.count()
+    assert {w: seen.get[f"w{w}"] for w in range(4)} == want
+
+
+def test_bucketed_table(spark, folder):
+    scratch.write_bucketed(tables.event_messages(spark, folder), "bucketed_events", 4)
+    try:
+        plan = heavy.frequencies(spark.table("bucketed_events"))._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange" not in plan
+    finally:
+        spark.sql("DROP TABLE bucketed_events")
