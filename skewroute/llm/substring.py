@@ -5,8 +5,8 @@ anchors. Consecutive windows with one anchor form a segment, and a segment's sig
 holds one narrow row per segment, in immutable runs sorted by anchor. A new batch is merge-joined with the runs.
 Segments that share anchor and signature are equal window for window. Where an anchor has several signatures, the
 texts are read again and the windows of those segments are hashed one by one and compared, which verifies a match
-exactly as wide as it is: anchor and window hash are independent 64-bit hashes of the same words. Which segments to
-hash again, a bitmap of anchors of fixed size tells the scan; its false hits are dropped by the join that follows.
+exactly as wide as it is: anchor and window hash are independent 64-bit hashes of the same words. Bitmaps of anchors, of
+fixed size, thin the runs and tell the scan which segments to hash again; a join drops their false hits.
 Small runs are compacted into one.
 """
 
@@ -127,6 +127,17 @@ def _bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
     return (bitmap[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
 
 
+def _in_bitmap(rows: DataFrame, bitmap: np.ndarray) -> DataFrame:
+    """Rows whose anchor may be in the bitmap; a join with the anchors themselves must follow."""
+    shared = rows.sparkSession.sparkContext.broadcast(bitmap)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield b.filter(pa.array(_bit_set(shared.value, b.column("a").to_numpy().view(np.uint64))))
+
+    return rows.mapInArrow(run, rows.schema)
+
+
 def _bitmap(anchors: DataFrame, bits: int) -> np.ndarray:
     """A bit per anchor in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver."""
     at = F.col("a").bitwiseAND(F.lit(bits - 1))
@@ -173,21 +184,22 @@ class WindowIndex:
         new, seen = self.spark.read.parquet(own), self.spark.read.parquet(*self.runs, own)
         self.runs.append(own)
 
-        # Per anchor and signature the least document; anchors of one document only are done.
-        sig = seen.groupBy("a", "s").agg(F.min("d").alias("d0"), F.max("d").alias("d1"))
-        anchor = sig.groupBy("a").agg(F.count("*").alias("sigs"), F.min("d0").alias("dmin"), F.max("d1").alias("dmax")).where("dmax > dmin")
-        shared = materialize(sig.join(anchor.select("a", "sigs"), "a").select("a", "s", "d0", "sigs"), "shared")
-        several = shared.where("sigs > 1").select("a", "s", "d0")
-        # Cast as rows of one segment each; ``first`` is any of equal arrays.
+        # Anchors that two documents share, once for all rows; what follows is about those anchors' rows alone.
+        merged = seen.groupBy("a").agg(F.min("d").alias("dmin"), F.max("d").alias("dmax"), F.min("s").alias("smin"), F.max("s").alias("smax"))
+        anchors = materialize(merged.where("dmax > dmin").selectExpr("a", "smin < smax AS several"), "anchors")
+        bitmap = _bitmap(anchors, self.bitmap_bits)
+        common = _in_bitmap(seen.select("a", "s", "d"), bitmap).join(anchors, "a")
+        shared = materialize(common.groupBy("a", "s").agg(F.min("d").alias("d0"), F.first("several").alias("several")), "shared")
+        several = shared.where("several").select("a", "s", "d0")
         hashed = _window_rows(_keyed(self.corpus, self.id_col, self.text_col), _bitmap(several.select("a"), self.bitmap_bits), self.window, self.gram)
         arrays = materialize(several.join(hashed.groupBy("a", "s").agg(F.first("ws").alias("ws")), ["a", "s"]), "windows")
         least = arrays.select("a", "d0", F.explode("ws").alias("w")).groupBy("a", "w").agg(F.min("d0").alias("m"), F.max("d0").alias("x")).where("m < x").select("a", "w", "m")
         early = arrays.select("a", "s", "d0", F.posexplode("ws").alias("j", "w")).join(least, ["a", "w"]).where("m < d0").groupBy("a", "s").agg(F.collect_list("j").alias("js"))
 
-        mine = new.join(shared, ["a", "s"])
+        mine = _in_bitmap(new, bitmap).join(shared, ["a", "s"])
         whole = mine.where("d > d0").select("d", "r", "p", "n")
         # Segments whose own signature starts here may still hold windows that smaller documents have elsewhere.
-        partial = mine.where("sigs > 1 AND d = d0").join(early, ["a", "s"]).select("d", "r", "p", F.explode("js").alias("j"))
+        partial = mine.where("several AND d = d0").join(early, ["a", "s"]).select("d", "r", "p", F.explode("js").alias("j"))
         found = whole.unionByName(partial.select("d", "r", (F.col("p") + F.col("j")).alias("p"), F.lit(1).alias("n")))
         if len(self.runs) >= self.fan_in:
             found = materialize(found, "repeated")
