@@ -48,14 +48,22 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3) -> DataFrame:
-    """``(doc_id long, fp long)``: one row per input row; the text never leaves the scanning task."""
+    """``(doc_id, k, r, fp)``, all long, one row per input row; ``k`` and ``r`` tell rows with one id apart.
+
+    The text never leaves the scanning task.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fp = np.fromiter((fingerprint(t, shingle) for t in b.column("t").to_pylist()), np.uint64, b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column("i"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("i", "k", "r")), pa.array(fp.view(np.int64))], ["doc_id", "k", "r", "fp"])
+
+    source = docs.select(F.col(id_col).cast("long").alias("i"), *_row_key(id_col, text_col), F.col(text_col).alias("t"))
+    return source.mapInArrow(tidy(run), "doc_id long, k long, r long, fp long")
 
-    return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), "doc_id long, fp long")
+
+def _row_key(id_col: str, text_col: str) -> tuple:
+    return F.xxhash64(id_col, text_col).alias("k"), F.xxhash64(text_col).alias("r")
 
 
 def gray_rank(fp: np.ndarray) -> np.ndarray:
@@ -193,12 +201,16 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     takes part with its text; a component of null ids only has a null id.
     """
     prints = materialize(fingerprints(docs, id_col, text_col, shingle), "prints")
+    return prints.join(_classes(prints, distance, bucket_rows), "fp").select("doc_id", "fp", "component_id")
+
+
+def _classes(prints: DataFrame, distance: int, bucket_rows: int) -> DataFrame:
+    """``(fp, root, component_id)`` of every distinct fingerprint."""
     classes = prints.groupBy("fp").agg(F.min("doc_id").alias("first_doc"))
     roots = connected_components(links(classes.select("fp"), distance, bucket_rows))
     member = classes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "first_doc")
     least = member.groupBy("root").agg(F.min("first_doc").alias("component_id"))
-    of_print = materialize(member.join(least, "root").select("fp", "component_id"), "components")
-    return prints.join(of_print, "fp").select("doc_id", "fp", "component_id")
+    return materialize(member.join(least, "root").select("fp", "root", "component_id"), "components")
 
 
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -207,6 +219,11 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the document with the smallest id of each component; rows that repeat its id are kept once."""
-    keep = near_duplicates(docs).where("doc_id = component_id").select(F.col("doc_id").alias("__keep_id")).distinct()
-    return docs.join(keep, F.col("doc_id") == F.col("__keep_id"), "left_semi").dropDuplicates(["doc_id"])
+    """One document of each component: that with the smallest id (null ids last). Whole repeats of it are kept once."""
+    prints = materialize(fingerprints(docs), "prints")
+    order = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "k", "r")
+    keep = prints.join(_classes(prints, DISTANCE, BUCKET_ROWS), "fp").groupBy("root").agg(F.min(order).alias("x")).select(F.col("x.k").alias("__k"), F.col("x.r").alias("__r"))
+    k, r = _row_key("doc_id", "text")
+    keyed = docs.select(F.struct(*docs.columns).alias("row"), k.alias("__k"), r.alias("__r"))
+    kept = keyed.join(keep.distinct(), ["__k", "__r"], "left_semi").dropDuplicates(["__k", "__r"])
+    return kept.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))

@@ -63,3 +63,16 @@ def test_pipeline_by_brute_force(spark, folder):
 def test_run_gives_the_last_stage(spark, folder):
     rows = corpus_pipeline.run(spark, folder)
     assert rows.count() and "sequence_id" in rows.columns and json.dumps(rows.columns)
+
+
+def test_stages_take_odd_and_empty_tables(spark, odd, odd_rows, empty, tmp_path):
+    labels = [(r[0], 1 if r[0] and r[0] >= 100 else None, 0) for r in odd_rows] + [(1, 0, None), (None, 1, 1)]
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    for docs in (odd, empty):
+        for name, stage in corpus_pipeline.STAGES:
+            out = stage(spark, docs, str(tmp_path))
+            assert name == "best_fit_packing" or out.columns == docs.columns
+            n = out.count()
+            assert n if docs is odd else not n
+    kept = quality.quality_stage(spark, odd, str(tmp_path))
+    assert sum(r["doc_id"] is None for r in kept.select("doc_id").collect()) == 2  # null ids are never rejected by id
