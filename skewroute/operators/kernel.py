@@ -138,47 +138,68 @@ class Router:
                 low, best = load[w], w
         return best
 
+    def _head_step(self, key, c1: int, c2: int) -> tuple[int, int]:
+        """Worker and number of choices of a message whose key is in the head."""
+        kind, n = self.scheme.kind, self.n
+        if kind == "head_round_robin":
+            w = self.cursor
+            self.cursor = (w + 1) % n
+            if self.scheme.count_head_in_load:
+                self.load[w] += 1
+            return w, n
+        d = n
+        if kind != "any_worker":
+            if kind == "tuned" and self.online:
+                self._refresh(key)
+            d = min(self.d, n)
+        if d < n:
+            w = self._least(self.candidates(key, d, (c1, c2)))
+        else:
+            w = self.load.index(min(self.load)) if self.scheme.tie == "first" else self._least(range(n))
+        self.load[w] += 1
+        return w, d
+
     def step(self, key, c1: int, c2: int) -> tuple[int, bool, int]:
         """Route one message: worker, whether its key was in the head, and its number of choices."""
-        kind, n = self.scheme.kind, self.n
-        head, d = False, 2
-        if kind == "two_choice":
-            w = self._least((c1, c2))
-        elif kind == "uniform":
+        kind = self.scheme.kind
+        if kind == "uniform":
             d = self.scheme.d
             w = c1 if d == 1 else self._least((c1, c2) if d == 2 else self.candidates(key, d, (c1, c2)))
+        elif kind != "two_choice" and self.is_head(key):
+            w, d = self._head_step(key, c1, c2)
+            return w, True, d
         else:
-            head = self.is_head(key)
-            if not head:
-                w = self._least((c1, c2))
-            elif kind == "any_worker":
-                d, low = n, min(self.load)
-                w = self.load.index(low) if self.scheme.tie == "first" else self._least(range(n))
-            elif kind == "head_round_robin":
-                d, w = n, self.cursor
-                self.cursor = (w + 1) % n
-            else:
-                if kind == "tuned" and self.online:
-                    self._refresh(key)
-                d = self.d
-                if d >= n:
-                    d = n
-                    w = self.load.index(min(self.load)) if self.scheme.tie == "first" else self._least(range(n))
-                else:
-                    w = self._least(self.candidates(key, d, (c1, c2)))
-        if not head or self.scheme.count_head_in_load or kind != "head_round_robin":
-            self.load[w] += 1
-        return w, head, d
+            w, d = self._least((c1, c2)), 2
+        self.load[w] += 1
+        return w, False, d
 
     def run(self, keys: list, c1: list[int], c2: list[int]) -> tuple[list[int], list[bool], list[int]]:
-        """Route a batch in order. Two-choice, by far the commonest step, has a loop of its own."""
-        if self.scheme.kind == "two_choice" and self.scheme.tie == "first":
+        """Route a batch in order. The commonest steps (two choices, tail keys beside a learnt head) have loops of their own."""
+        plain = self.scheme.tie == "first" and self.scheme.kind != "uniform"
+        if plain and self.scheme.kind == "two_choice":
             load, out = self.load, []
             for a, b in zip(c1, c2, strict=True):
                 w = b if load[b] < load[a] else a
                 load[w] += 1
                 out.append(w)
             return out, [False] * len(out), [2] * len(out)
+        if plain and self.online and not self.scheme.guaranteed and not self.scheme.warmup:
+            return self._run_online(keys, c1, c2)
         step = self.step
         rows = [step(k, a, b) for k, a, b in zip(keys, c1, c2, strict=True)]
         return [r[0] for r in rows], [r[1] for r in rows], [r[2] for r in rows]
+
+    def _run_online(self, keys: list, c1: list[int], c2: list[int]) -> tuple[list[int], list[bool], list[int]]:
+        s, load, num, den, head_step = self.sketch, self.load, self.num, self.den, self._head_step
+        add, workers, heads, choices = s.add, [], [], []
+        for k, a, b in zip(keys, c1, c2, strict=True):
+            if add(k) * den >= num * s.total:
+                w, d = head_step(k, a, b)
+                heads.append(True)
+            else:
+                w, d = (b if load[b] < load[a] else a), 2
+                load[w] += 1
+                heads.append(False)
+            workers.append(w)
+            choices.append(d)
+        return workers, heads, choices

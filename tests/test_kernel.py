@@ -116,3 +116,27 @@ def test_plan_fractions_level_the_load():
         load[b] += n * (1 - share[a, b])
     load += 300 * np.array(weights["a"])
     assert load.max() - load.mean() < 0.03 * load.sum()
+
+
+@pytest.mark.parametrize("kind", ["two_choice", "tuned", "any_worker", "head_round_robin"])
+@pytest.mark.parametrize("options", [{}, {"decay": 0.5, "decay_every": 300}, {"capacity": 20}])
+def test_batch_loops_are_the_steps(kind, options):
+    keys, n = stream(4000, 100, 1), 10
+    c1, c2 = ([md5_choice(k, i, n) for k in keys] for i in (1, 2))
+    slow, fast = Router(Scheme(kind, **options), n), Router(Scheme(kind, **options), n)
+    want = [slow.step(k, a, b) for k, a, b in zip(keys, c1, c2, strict=True)]
+    got = [fast.run(keys[i : i + 700], c1[i : i + 700], c2[i : i + 700]) for i in range(0, 4000, 700)]
+    assert [x for part in got for x in zip(*part, strict=True)] == want
+
+
+def test_refresh_on_every_row_agrees_where_the_head_is_stable():
+    keys, n = stream(3000, 4, 1), 10
+    every, seldom = send(Scheme("tuned", refresh=1), keys, n), send(Scheme("tuned", refresh=500), keys, n)
+    assert spread(every[1], n) < 0.05 and spread(seldom[1], n) < 0.05
+    assert all(d <= n for d in every[3])
+
+
+def test_head_round_robin_can_leave_its_head_out_of_the_load():
+    keys, n = stream(3000, 50, 1), 5
+    r, w, head, _ = send(Scheme("head_round_robin", count_head_in_load=False), keys, n)
+    assert r.load == np.bincount([x for x, h in zip(w, head, strict=True) if not h], minlength=n).tolist()
