@@ -152,12 +152,13 @@ def test_chat_reads_back(spark):
     assert chat.read_back(chat.examples(df.limit(0))).count() == 0
 
 
-@settings(max_examples=60, deadline=None)
-@given(st.lists(st.sampled_from(["<", "[", "\\", "s>", "/s>", "<SYS>>", "</SYS>>", "INST]", "/INST]", "a", "\n", "é"]), max_size=12))
-def test_escaping_is_reversible(spark, parts):
-    text = "".join(parts)
-    row = spark.range(1).select(chat.escape(F.lit(text)).alias("e")).select("e", chat.unescape(F.col("e")).alias("u")).first()
-    assert row["u"] == text and not any(m in row["e"] for m in ("<s>", "</s>", "<<SYS>>", "<</SYS>>", "[INST]", "[/INST]"))
+def test_escaping_is_reversible(spark):
+    rng = random.Random(8)
+    parts = ["<", "[", "\\", "s>", "/s>", "<SYS>>", "</SYS>>", "INST]", "/INST]", "a", "\n", "é"]
+    texts = ["".join(rng.choice(parts) for _ in range(rng.randrange(13))) for _ in range(3000)]
+    rows = spark.createDataFrame([(t,) for t in texts], "t string").select("t", chat.escape(F.col("t")).alias("e")).select("t", "e", chat.unescape(F.col("e")).alias("u")).collect()
+    assert len(rows) == 3000 and all(r["u"] == r["t"] for r in rows)
+    assert not any(m in r["e"] for r in rows for m in ("<s>", "</s>", "<<SYS>>", "<</SYS>>", "[INST]", "[/INST]"))
 
 
 def slow_top(rows, k=5):
