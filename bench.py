@@ -34,7 +34,7 @@ def main() -> None:
         .config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    words = token_messages(spark, folder).cache()
+    words = token_messages(spark, folder).repartition(int(cpus)).cache()
     m = words.count()
     head = heavy.exact_head(words, bounds.default_theta(N))
     seconds: dict[str, float] = {}
@@ -51,6 +51,8 @@ def main() -> None:
 
     for kind in ("key_grouping", "shuffle_grouping", "two_choice", "tuned", "any_worker", "head_round_robin"):
         run(f"route_{kind}", lambda k=kind: balance(route(words, k, N, 8, dense=False, family="xx")))
+    for kind in ("two_choice", "tuned", "any_worker"):
+        run(f"route_{kind}_splits", lambda k=kind: balance(route(words, k, N, "splits", family="xx")))
     known = with_known_head(words, Scheme("any_worker"), N)
     run("route_blocks_1024", lambda: balance(blocks.route_blocks(words, known, N, 1024, 8, dense=False, family="xx")))
     run("route_salted", lambda: balance(blocks.salted_plan(words, head, N, N)))

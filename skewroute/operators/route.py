@@ -43,15 +43,20 @@ def _out(schema: T.StructType, many: bool) -> T.StructType:
     return T.StructType([*schema.fields, *([T.StructField("scheme", T.StringType())] if many else []), T.StructField("worker", T.IntegerType()), T.StructField("is_head", T.BooleanType()), T.StructField("n_choices", T.IntegerType())])
 
 
-def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: int = bounds.SOURCES, order: str = "seq", dense: bool = True, family: str = "md5") -> DataFrame:
+def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: int | str = bounds.SOURCES, order: str = "seq", dense: bool = True, family: str = "md5") -> DataFrame:
     """All schemes over one ordered scan: the input's columns, ``source_id``, ``scheme`` and the routing of each row.
 
     One partition a source (more than one source a partition is fine too: state starts anew where the source
     changes). The sort by a unique order makes a retried task route as the lost one did.
+
+    ``sources="splits"``: every input split is a source and its rows come in file order, so that nothing is exchanged or
+    sorted before routing. Splits of files are the same in a retried task; other inputs need a number of sources.
     """
-    sourced = with_source(msgs, sources, order, dense)
+    sourced = msgs.withColumn("source_id", F.spark_partition_id()) if sources == "splits" else with_source(msgs, sources, order, dense)
     c = [hash_choice("key", i, workers, family).alias(f"_c{i}") for i in (1, 2)]
-    dealt = sourced.select("*", *c).repartitionById(sources, F.col("source_id")).sortWithinPartitions("source_id", order)
+    dealt = sourced.select("*", *c)
+    if sources != "splits":
+        dealt = dealt.repartitionById(sources, F.col("source_id")).sortWithinPartitions("source_id", order)
     names, by_key = sourced.columns, any(s.kind != "two_choice" for s in schemes)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -75,14 +80,17 @@ def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: in
     return dealt.mapInArrow(run, _out(sourced.schema, True))
 
 
-def route(msgs: DataFrame, scheme: Scheme | str, workers: int, sources: int = bounds.SOURCES, order: str = "seq", dense: bool = True, family: str = "md5", head_scope: str = "source", load_view: str = "local") -> DataFrame:
+def route(msgs: DataFrame, scheme: Scheme | str, workers: int, sources: int | str = bounds.SOURCES, order: str = "seq", dense: bool = True, family: str = "md5", head_scope: str = "source", load_view: str = "local") -> DataFrame:
     """Route messages by a scheme, or by ``key_grouping`` or ``shuffle_grouping``.
 
     ``head_scope="merged"``: one sketch of all sources is made first and its head is known to every source.
     ``load_view="global"``: one source sees all messages, in one task; for comparison on small inputs only.
     """
+    if sources == "splits" and (scheme == "shuffle_grouping" or head_scope == "merged"):
+        raise ValueError("this needs a number of sources")
     if scheme == "key_grouping":
-        return key_grouping(with_source(msgs, sources, order, dense), workers, family)
+        sourced = msgs.withColumn("source_id", F.spark_partition_id()) if sources == "splits" else with_source(msgs, sources, order, dense)
+        return key_grouping(sourced, workers, family)
     if scheme == "shuffle_grouping":
         return shuffle_grouping(msgs, workers, sources, order, dense)
     scheme = Scheme(scheme) if isinstance(scheme, str) else scheme

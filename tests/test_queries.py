@@ -251,3 +251,13 @@ def test_memory_curve_matches_the_published_bounds(spark):
     for r in experiments.memory_curve(spark, [50, 100], [0.4, 1.0, 1.6, 2.0], 10_000, 10**7).collect():
         # Published: at most 30 % more than two choices (ours: 30.3 for any worker at the worst skew).
         assert -1e-9 <= r["vs_two_choice"] <= 31 and r["vs_shuffle"] <= -79.9
+
+
+def test_splits_as_sources_need_no_exchange(spark):
+    path = scratch.scratch_path(spark, "splits")
+    zipf.zipf_range(spark, 20_000, 300, 1.4, partitions=4).write.parquet(path)
+    msgs = spark.read.parquet(path)
+    routed = route(msgs, "any_worker", 10, "splits")
+    assert "Exchange" not in routed._jdf.queryExecution().executedPlan().toString()
+    assert routed.count() == 20_000 and metrics.imbalance(routed, 10).first()[0] < 0.01
+    assert metrics.mixture_bound(scratch.materialize(routed, "routed"), 10).where("imbalance <= bound + 1e-12").count() == 1
