@@ -603,6 +603,13 @@ def skew_sweep(spark, d):
     return experiments.run_grid(spark, d, grid)
 
 
+@query()
+def distinct_candidates_ablation(spark, d):
+    """The tuned scheme with hash collisions kept, and with as many distinct workers as the choices give on average."""
+    schemes = [Scheme("tuned", name="collisions"), Scheme("tuned", distinct_candidates=True, name="distinct")]
+    return metrics.imbalance(route_many(_zipf(spark, d, 1000, 1), schemes, 50, S), 50, ["scheme"])
+
+
 @query()
 def decayed_head_on_drift(spark, d):
     """A sketch that forgets beside one that does not, on a stream whose hot keys move."""
