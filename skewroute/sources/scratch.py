@@ -8,13 +8,24 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
-def scratch_path(spark: SparkSession, name: str) -> str:
-    """A new path under ``spark.checkpoint.dir``; where that is unset, under a folder made for this process."""
+def _root(spark: SparkSession) -> str:
+    """The application's own folder under ``spark.checkpoint.dir``; where that is unset, under one made for this process."""
     shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not shared:
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="skewroute-"))
         shared = spark.sparkContext.getCheckpointDir()
-    return f"{shared}/skewroute/{name}-{uuid.uuid4().hex}"
+    return f"{shared.rstrip('/')}/skewroute/{spark.sparkContext.applicationId}"
+
+
+def scratch_path(spark: SparkSession, name: str) -> str:
+    """A new path that all executors share."""
+    return f"{_root(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+def drop_scratch(spark: SparkSession) -> bool:
+    """Delete what this application has written there. Results that still read it must be stored first."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(_root(spark))
+    return path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def write_routed(routed: DataFrame, path: str) -> None:

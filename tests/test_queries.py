@@ -261,3 +261,8 @@ def test_splits_as_sources_need_no_exchange(spark):
     assert "Exchange" not in routed._jdf.queryExecution().executedPlan().toString()
     assert routed.count() == 20_000 and metrics.imbalance(routed, 10).first()[0] < 0.01
     assert metrics.mixture_bound(scratch.materialize(routed, "routed"), 10).where("imbalance <= bound + 1e-12").count() == 1
+
+
+def test_scratch_can_be_dropped(spark):
+    kept = scratch.materialize(spark.range(3).toDF("seq"), "kept")
+    assert kept.count() == 3 and scratch.drop_scratch(spark) and not scratch.drop_scratch(spark)
