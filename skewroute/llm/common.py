@@ -4,13 +4,15 @@ from __future__ import annotations
 
 import ctypes
 import functools
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from skewroute.sources.scratch import materialize, scratch_path
+
+__all__ = ["WORD_PATTERN", "input_partitions", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
+
 #: A word is a maximal run of characters other than space and U+0009..U+000D, so ``bytes.split()`` finds exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 
@@ -20,31 +22,6 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """The folder that all executors share: ``spark.checkpoint.dir`` of the session, else one made for this process."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not shared:
-        shared = "file://" + tempfile.mkdtemp(prefix="skewroute-")
-        spark.sparkContext.setCheckpointDir(shared)
-        shared = spark.sparkContext.getCheckpointDir()
-    return shared
-
-
-def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{scratch_root(spark)}/skewroute/{name}-{uuid.uuid4().hex}"
-
-
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage: write ``df`` as Parquet to the shared folder and read it back.
-
-    A lost executor then costs a reread, never a recomputation of what lies before.
-    """
-    spark = df.sparkSession
-    path = scratch_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def words_of(text: str | None) -> list[bytes]:
     """The words of a text as UTF-8 bytes (null: none)."""
     return (text or "").encode("utf-8", "surrogatepass").split()
