@@ -43,7 +43,7 @@ def _compressed(docs: DataFrame, chunks: int) -> DataFrame:
             z = [pack.compress(t.encode("utf-16-le", "surrogatepass")) if t else None for t in b.column("t").to_pylist()]
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("chunk", "id", "r", "lang")), pa.array(z, pa.binary())], ["chunk", "id", "r", "lang", "z"])
 
-    source = docs.select(_chunk(F.col("doc_id"), chunks).alias("chunk"), F.col("doc_id").cast("long").alias("id"), F.xxhash64("text").alias("r"), F.col("lang").cast("string").alias("lang"), F.col("text").alias("t"))
+    source = docs.select(_chunk(F.coalesce(F.col("doc_id").cast("long"), F.xxhash64("text")), chunks).alias("chunk"), F.col("doc_id").cast("long").alias("id"), F.xxhash64("text").alias("r"), F.col("lang").cast("string").alias("lang"), F.col("text").alias("t"))
     return source.mapInArrow(tidy(run), "chunk int, id long, r long, lang string, z binary")
 
 
