@@ -118,7 +118,7 @@ query(oracles.online_head(_Z1, N, S, "any_worker", _Z1T), "any_worker_online")(_
 query(oracles.online_head(_Z1, N, S, "head_round_robin", _Z1T), "head_round_robin_online")(_assign("head_round_robin", stream=_zipf))
 query(oracles.online_head(_E, N, S, "any_worker"), "any_worker_online_event_types")(_assign("any_worker"))
 query(None, "tuned_choice_online")(_assign("tuned", stream=_zipf))
-query(None, "tuned_choice_online_event_types")(_assign(Scheme("tuned", refresh=1)))
+query(oracles.online_tuned(_E, ["click", "error", "purchase", "signup", "view"], N, S), "tuned_choice_online_event_types")(_assign(Scheme("tuned", refresh=1)))
 
 
 @query()
@@ -275,9 +275,9 @@ def single_key_condition(spark, d):
     return head.withColumn("whole", whole).select("rank", (lhs <= b * (1.0 / N + bounds.EPS)).alias("ok"))
 
 
-@query()
+@query(oracles.zipf_choices([50, 100], [0.4, 0.8, 1.2, 1.6, 2.0], 10_000))
 def choice_fraction_curve(spark, d):
-    return experiments.choice_curve(spark, [50, 100], [0.4, 0.8, 1.2, 1.6, 2.0], 10_000)
+    return experiments.choice_curve(spark, [50, 100], [0.4, 0.8, 1.2, 1.6, 2.0], 10_000).withColumn("fraction", F.round("fraction", 9))
 
 
 @query()

@@ -100,6 +100,41 @@ FROM (SELECT seq, key, count(*) OVER (PARTITION BY seq % {sources}, key ORDER BY
     return sequential(rows, n, sources, before, **options)
 
 
+def online_tuned(stream: str, keys: list[str], n: int, sources: int, eps: float = 1e-4) -> str:
+    """The tuned scheme with d computed on every head row, where the sketch holds all of a few known keys.
+
+    Each row knows its source's running counts of all keys; its head's shares give the least feasible d.
+    """
+    counts = ", ".join(f"count(*) FILTER (key = '{k}') OVER w" for k in keys)
+    union = f"({n} - {n} * pow({n - 1} / {n}, h * d))"
+    fits = f"list_sum(ps[1:h]) + pow({union} / {n}, d) * list_sum(ps[h + 1:]) + pow({union} / {n}, 2) * (1 - list_sum(ps)) <= {union} * (1.0 / {n} + {eps})"
+    fits = fits.replace("list_sum(ps[h + 1:])", "coalesce(list_sum(ps[h + 1:]), 0)")
+    rows = f"""SELECT seq, key, CASE WHEN NOT hot THEN {two(n)} WHEN d >= {n} THEN range({n}) ELSE list_transform(range(1, d + 1), lambda i: {choice('i', n)}) END AS cs,
+  FALSE AS turn, hot AS is_head, CASE WHEN hot THEN d ELSE 2 END AS n_choices
+FROM (
+  SELECT seq, key, hot, coalesce(list_filter(range(greatest(2, ceil(ps[1] * {n}))::BIGINT, {n}), lambda d: len(list_filter(range(1, len(ps) + 1), lambda h: NOT ({fits}))) = 0)[1], {n})::INTEGER AS d
+  FROM (
+    SELECT seq, key, own * 5 * {n} >= m AS hot, list_transform(list_reverse_sort(list_filter(cs, lambda c: c * 5 * {n} >= m)), lambda c: c / m) AS ps
+    FROM (SELECT seq, key, seq // {sources} + 1 AS m, count(*) OVER (PARTITION BY seq % {sources}, key ORDER BY seq) AS own, [{counts}] AS cs FROM ({stream}) WINDOW w AS (PARTITION BY seq % {sources} ORDER BY seq))))"""
+    return sequential(rows, n, sources)
+
+
+def zipf_choices(workers: list[int], z_grid: list[float], keys: int, eps: float = 1e-4) -> str:
+    """Head size, start and computed d of exact Zipf shares."""
+    grid = ", ".join(f"({n}, {z}::DOUBLE)" for n in workers for z in z_grid)
+    return f"""
+WITH g AS (SELECT * FROM (VALUES {grid}) v(n, z)),
+w AS (SELECT z, k, pow(k, -z) AS w FROM (SELECT DISTINCT z FROM g), range(1, {keys + 1}) t(k)),
+p AS (SELECT z, k, w / sum(w) OVER (PARTITION BY z) AS p FROM w),
+h AS (SELECT n, z, k, p, sum(p) OVER (PARTITION BY n, z ORDER BY k) AS upto, sum(p) OVER (PARTITION BY n, z) AS whole, count(*) OVER (PARTITION BY n, z) AS size, max(p) OVER (PARTITION BY n, z) AS p1 FROM g JOIN p USING (z) WHERE p >= 1.0::DOUBLE / (5 * n)),
+b AS (SELECT h.*, d, n - n * pow((n - 1) / n, k * d) AS b FROM h, range(2, {max(workers)}) t(d) WHERE d < n AND d >= greatest(2, ceil(p1 * n))),
+ok AS (SELECT n, z, d FROM b GROUP BY n, z, d HAVING bool_and(upto + pow(b / n, d) * (whole - upto) + pow(b / n, 2) * (1 - whole) <= b * (1.0 / n + {eps}))),
+top AS (SELECT g.n, g.z, p AS p1 FROM g JOIN p ON p.z = g.z AND k = 1)
+SELECT top.n::INTEGER AS workers, top.z, coalesce(size, 0)::INTEGER AS head_size, greatest(2, ceil(top.p1 * top.n))::INTEGER AS start,
+  CASE WHEN size IS NULL THEN 2 ELSE coalesce(d, top.n) END::INTEGER AS d, round(CASE WHEN size IS NULL THEN 2 ELSE coalesce(d, top.n) END / top.n, 9) AS fraction
+FROM top LEFT JOIN (SELECT DISTINCT n, z, size FROM h) s ON s.n = top.n AND s.z = top.z LEFT JOIN (SELECT n, z, min(d) AS d FROM ok GROUP BY n, z) o ON o.n = top.n AND o.z = top.z"""
+
+
 def load(routed: str, n: int) -> str:
     return f"""SELECT w.worker::INTEGER AS worker, coalesce(c, 0)::BIGINT AS messages, round(coalesce(c, 0) / m, 9) AS load
 FROM range({n}) w(worker) LEFT JOIN (SELECT worker, count(*) AS c FROM ({routed}) GROUP BY worker) x ON x.worker = w.worker, (SELECT count(*) AS m FROM ({routed}))"""
