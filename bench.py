@@ -51,7 +51,7 @@ def main() -> None:
 
     for kind in ("key_grouping", "shuffle_grouping", "two_choice", "tuned", "any_worker", "head_round_robin"):
         run(f"route_{kind}", lambda k=kind: balance(route(words, k, N, 8, dense=False, family="xx")))
-    for kind in ("two_choice", "tuned", "any_worker"):
+    for kind in ("shuffle_grouping", "two_choice", "tuned", "any_worker"):
         run(f"route_{kind}_splits", lambda k=kind: balance(route(words, k, N, "splits", family="xx")))
     known = with_known_head(words, Scheme("any_worker"), N)
     run("route_blocks_1024", lambda: balance(blocks.route_blocks(words, known, N, 1024, 8, dense=False, family="xx")))

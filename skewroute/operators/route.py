@@ -31,10 +31,14 @@ def key_grouping(msgs: DataFrame, workers: int, family: str = "md5") -> DataFram
     return msgs.withColumn("worker", hash_choice("key", 1, workers, family)).withColumn("is_head", F.lit(False)).withColumn("n_choices", F.lit(1))
 
 
-def shuffle_grouping(msgs: DataFrame, workers: int, sources: int = bounds.SOURCES, order: str = "seq", dense: bool = True, start: str = "zero") -> DataFrame:
+def shuffle_grouping(msgs: DataFrame, workers: int, sources: int | str = bounds.SOURCES, order: str = "seq", dense: bool = True, start: str = "zero") -> DataFrame:
     """Each source in turn over all workers, keys ignored. A source's rows are ranked in its own window."""
-    sourced = with_source(msgs, sources, order, dense)
-    turn = F.row_number().over(Window.partitionBy("source_id").orderBy(order)) - 1
+    if sources == "splits":  # the place of a row in its split is its turn: no window, no sort
+        sourced = msgs.withColumn("source_id", F.spark_partition_id())
+        turn = F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))
+    else:
+        sourced = with_source(msgs, sources, order, dense)
+        turn = F.row_number().over(Window.partitionBy("source_id").orderBy(order)) - 1
     first = F.col("source_id") if start == "source" else F.lit(0)
     return sourced.withColumn("worker", F.pmod(turn + first, F.lit(workers)).cast("int")).withColumn("is_head", F.lit(False)).withColumn("n_choices", F.lit(workers))
 
@@ -86,8 +90,8 @@ def route(msgs: DataFrame, scheme: Scheme | str, workers: int, sources: int | st
     ``head_scope="merged"``: one sketch of all sources is made first and its head is known to every source.
     ``load_view="global"``: one source sees all messages, in one task; for comparison on small inputs only.
     """
-    if sources == "splits" and (scheme == "shuffle_grouping" or head_scope == "merged"):
-        raise ValueError("this needs a number of sources")
+    if sources == "splits" and head_scope == "merged":
+        raise ValueError("a merged head needs a number of sources")
     if scheme == "key_grouping":
         sourced = msgs.withColumn("source_id", F.spark_partition_id()) if sources == "splits" else with_source(msgs, sources, order, dense)
         return key_grouping(sourced, workers, family)

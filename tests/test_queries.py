@@ -260,6 +260,9 @@ def test_splits_as_sources_need_no_exchange(spark):
     routed = route(msgs, "any_worker", 10, "splits")
     assert "Exchange" not in routed._jdf.queryExecution().executedPlan().toString()
     assert routed.count() == 20_000 and metrics.imbalance(routed, 10).first()[0] < 0.01
+    turns = route(msgs, "shuffle_grouping", 10, "splits")
+    per = [r["count"] for r in turns.groupBy("source_id", "worker").count().collect()]
+    assert "Exchange" not in turns._jdf.queryExecution().executedPlan().toString() and max(per) - min(per) <= 1
     assert metrics.mixture_bound(scratch.materialize(routed, "routed"), 10).where("imbalance <= bound + 1e-12").count() == 1
 
 
