@@ -81,6 +81,19 @@ class Router:
         self.age = 0
         self.history: list[tuple[int, int]] = []  # (messages seen, d) at each change
 
+    def state(self) -> dict:
+        """All that has to outlive the process, in plain containers."""
+        s = self.sketch
+        held = None if s is None else (s.counts, s.errors, s.total, s._buckets, s._low, s._since)
+        return {"load": self.load, "cursor": self.cursor, "d": self.d, "hot": self.hot, "age": self.age, "history": self.history, "sketch": held}
+
+    def restore(self, state: dict) -> Router:
+        self.load, self.cursor, self.d, self.hot, self.age, self.history = (state[k] for k in ("load", "cursor", "d", "hot", "age", "history"))
+        if self.sketch is not None:
+            s = self.sketch
+            s.counts, s.errors, s.total, s._buckets, s._low, s._since = state["sketch"]
+        return self
+
     def candidates(self, key, d: int, first: tuple[int, int] | None = None) -> list[int]:
         """The first d choices of a key; computed once and extended. Collisions are kept unless distinct ones are asked."""
         have = self.memo.get(key)

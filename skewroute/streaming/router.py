@@ -7,13 +7,15 @@ from collections.abc import Iterator
 from fractions import Fraction
 
 import pandas as pd
+from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
+import skewroute
 from skewroute.functions import bounds
-from skewroute.functions.hashing import CHOICES, hash_choice
+from skewroute.functions.hashing import hash_choice
 from skewroute.operators import sketch
 from skewroute.operators.kernel import Router, Scheme
 from skewroute.operators.route import _known, route_many, with_source
@@ -46,14 +48,11 @@ class RouterProcessor(StatefulProcessor):
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
         # A batch's rows may come in several parts: order them all before any is routed.
         df = pd.concat(list(rows), ignore_index=True).sort_values("seq", kind="stable")
+        router = Router(self.scheme, self.workers, int(key[0]), self.family)
         if self.state.exists():
-            router = pickle.loads(self.state.get()[0])
-            router.choice = CHOICES[self.family]
-        else:
-            router = Router(self.scheme, self.workers, int(key[0]), self.family)
+            router.restore(pickle.loads(self.state.get()[0]))
         w, h, d = router.run(df["key"].tolist(), df["choice1"].tolist(), df["choice2"].tolist())
-        router.choice, router.memo = None, {}
-        self.state.update((pickle.dumps(router),))
+        self.state.update((pickle.dumps(router.state()),))
         yield df.drop(columns=["choice1", "choice2"]).assign(worker=w, is_head=h, n_choices=d)
 
     def close(self) -> None:
@@ -68,7 +67,12 @@ def route_stream(stream: DataFrame, scheme: Scheme, workers: int, sources: int =
     stream.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKS)
     sourced = with_source(stream, sources).withColumns({"choice1": hash_choice("key", 1, workers, family), "choice2": hash_choice("key", 2, workers, family)})
     out = T.StructType([*(f for f in sourced.schema.fields if f.name not in ("choice1", "choice2")), T.StructField("worker", T.IntegerType()), T.StructField("is_head", T.BooleanType()), T.StructField("n_choices", T.IntegerType())])
-    return sourced.groupBy("source_id").transformWithStateInPandas(RouterProcessor(scheme, workers, family), out, "append", "none")
+    # The processor also starts in a process of the driver's host that has no package: it travels by value.
+    cloudpickle.register_pickle_by_value(skewroute)
+    try:
+        return sourced.groupBy("source_id").transformWithStateInPandas(RouterProcessor(scheme, workers, family), out, "append", "none")
+    finally:
+        cloudpickle.unregister_pickle_by_value(skewroute)
 
 
 def window_partials(routed: DataFrame, every: str) -> DataFrame:
