@@ -139,11 +139,11 @@ def _in_bitmap(rows: DataFrame, bitmap: np.ndarray) -> DataFrame:
 
 
 def _bitmap(anchors: DataFrame, bits: int) -> np.ndarray:
-    """A bit per anchor in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver."""
+    """A bit per anchor in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver, as Arrow columns."""
     at = F.col("a").bitwiseAND(F.lit(bits - 1))
-    words = anchors.select(F.shiftright(at, 6).alias("w"), F.expr("shiftleft(1L, int(a & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toPandas()
+    words = anchors.select(F.shiftright(at, 6).alias("w"), F.expr("shiftleft(1L, int(a & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
     out = np.zeros(bits // 64, np.uint64)
-    out[words["w"].to_numpy(np.int64)] = words["v"].to_numpy(np.int64).view(np.uint64)
+    out[words.column("w").to_numpy()] = words.column("v").to_numpy().view(np.uint64)
     return out
 
 
