@@ -10,7 +10,7 @@ from skewroute.llm.common import materialize, read_table
 #: Each stage takes (spark, docs, sf_dir); all but the last return the columns of documents.
 STAGES = [
     ("quality_classifier", quality.quality_stage),
-    ("simhash_near_dedup", simhash.simhash_stage),
+    ("simhash_near_dedup", simhash.near_copy_stage),
     ("substring_dedup", substring.substring_stage),
     ("source_mixing", mixing.mixing_stage),
     ("best_fit_packing", packing.packing_stage),

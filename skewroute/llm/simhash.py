@@ -7,6 +7,9 @@ in Gray-code order: leaves of neighbours keep the bits they agree on (mask, patt
 leaves agree on, and a pair of nodes is dropped once the differences counted from the top exceed the distance.
 Buckets beyond ``BUCKET_ROWS`` are cut into Gray-rank slices whose pairs are pruned by the same node patterns, so that
 no task ever takes an unbounded bucket. A bucket gives a spanning forest of its links, never all its pairs.
+
+The stage of the pipeline also links what three bits of 64 do not reach: texts whose sets of five-word shingles have a
+Jaccard similarity of at least 0.8. Banded minimum hashes find the candidates, the sets themselves decide.
 """
 
 from __future__ import annotations
@@ -29,6 +32,11 @@ DISTANCE = 3
 BUCKET_ROWS = 4096
 LEAF = 32
 _STEP = 1 << 14
+#: Words of a shingle of the stage, and the similarity that links, as a fraction.
+SET_SHINGLE = 5
+JACCARD = (4, 5)
+#: A pair at similarity s has no band in common with probability (1 - s**BAND_ROWS)**BANDS: 3e-6 at 0.8.
+BANDS, BAND_ROWS = 32, 5
 
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
@@ -62,6 +70,90 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return source.mapInArrow(tidy(run), "doc_id long, k long, r long, fp long")
 
 
+def shingle_set(text: str | None, shingle: int = SET_SHINGLE) -> np.ndarray:
+    """Sorted distinct hashes of a text's word shingles (ASCII lower-cased); a shorter text is one shingle, no words none."""
+    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    grams = {b" ".join(g) for g in zip(*(words[i:] for i in range(shingle)), strict=False)} or ({b" ".join(words)} if words else set())
+    return np.unique(np.fromiter((xxhash.xxh64_intdigest(g, SEED) for g in grams), np.uint64, len(grams)))
+
+
+_SPREAD = np.random.default_rng(SEED).integers(0, 1 << 63, (2, BANDS * BAND_ROWS), dtype=np.uint64) | np.array([[1], [0]], np.uint64)
+
+
+def bands(grams: np.ndarray) -> np.ndarray:
+    """A hash of each band of minimum hashes; equal bands make two sets candidates."""
+    least = np.full(BANDS * BAND_ROWS, np.iinfo(np.uint64).max)
+    for i in range(0, len(grams), 2048):
+        x = grams[None, i : i + 2048] * _SPREAD[0][:, None] + _SPREAD[1][:, None]
+        # A product's low bits know only the low bits of its factors; the upper half is folded in.
+        np.minimum(least, ((x ^ x >> np.uint64(32)) * np.uint64(0x9E3779B97F4A7C15)).min(axis=1), out=least)
+    rows = np.ascontiguousarray(least.reshape(BANDS, BAND_ROWS))
+    return np.fromiter((xxhash.xxh64_intdigest(r.tobytes(), k) for k, r in enumerate(rows)), np.uint64, BANDS)
+
+
+def _signatures(docs: DataFrame) -> DataFrame:
+    """``(doc_id, k, r, fp, n, bands)``: also a hash of the shingle set and its bands, null for texts without words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            texts = b.column("t").to_pylist()
+            fp = np.fromiter((fingerprint(t) for t in texts), np.uint64, b.num_rows)
+            sets = [shingle_set(t) for t in texts]
+            n = pa.array([int(np.int64(np.uint64(xxhash.xxh64_intdigest(s.tobytes(), SEED)))) if len(s) else None for s in sets], pa.int64())
+            band = pa.array([bands(s).view(np.int64) if len(s) else None for s in sets], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "k", "r")), pa.array(fp.view(np.int64)), n, band], ["doc_id", "k", "r", "fp", "n", "bands"])
+
+    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *_row_key("doc_id", "text"), F.col("text").alias("t"))
+    return source.mapInArrow(tidy(run), "doc_id long, k long, r long, fp long, n long, bands array<long>")
+
+
+def _similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """Those of the pairs ``(u, v)`` whose ``sets(n, grams)`` reach the similarity."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            hit = []
+            for x, y in zip(b.column("x"), b.column("y"), strict=True):
+                x, y = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
+                low, high = sorted((len(x), len(y)))
+                both = len(np.intersect1d(x, y, assume_unique=True)) if low * JACCARD[1] >= high * JACCARD[0] else 0
+                hit.append(both * JACCARD[1] >= (low + high - both) * JACCARD[0])
+            yield pa.RecordBatch.from_arrays([b.column("u"), b.column("v")], ["u", "v"]).filter(pa.array(hit, pa.bool_()))
+
+    held = pairs.join(sets.select(F.col("n").alias("u"), F.col("grams").alias("x")), "u").join(sets.select(F.col("n").alias("v"), F.col("grams").alias("y")), "v")
+    return held.select("u", "v", "x", "y").mapInArrow(tidy(run), "u long, v long")
+
+
+def _set_classes(docs: DataFrame, prints: DataFrame) -> DataFrame:
+    """``(node, root)`` of the shingle sets that links connect: every pair with a band in common is settled.
+
+    In each bucket all sets are first held against the least one; then, where a bucket still has sets of several
+    components, all of its pairs across components. So a large group of near copies never meets itself in full.
+    """
+    nodes = prints.where("n IS NOT NULL").groupBy("n").agg(F.first("bands").alias("bands"), F.min(F.struct("k", "r")).alias("x"))
+    routed = nodes.select("n", F.explode("bands").alias("b"))
+    shared = routed.join(routed.groupBy("b").agg(F.min("n").alias("hub"), F.count("*").alias("m")).where("m > 1"), "b")
+    shared = materialize(shared.select("b", "n", "hub"), "buckets")
+    wanted = nodes.join(shared.select("n").distinct(), "n", "left_semi").select("n", F.col("x.k").alias("k"), F.col("x.r").alias("r"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column("n"), pa.array([shingle_set(t).tobytes() for t in b.column("t").to_pylist()], pa.binary())], ["n", "grams"])
+
+    texts = docs.select(*_row_key("doc_id", "text"), F.col("text").alias("t")).join(wanted, ["k", "r"]).select("n", "t")
+    sets = materialize(texts.mapInArrow(tidy(run), "n long, grams binary").dropDuplicates(["n"]), "sets")
+    near = materialize(_similar(shared.where("n <> hub").select(F.col("hub").alias("u"), F.col("n").alias("v")).distinct(), sets), "near")
+    roots = materialize(connected_components(near), "roots")
+    told = shared.join(roots.withColumnRenamed("node", "n"), "n", "left").select("b", "n", F.coalesce("root", "n").alias("root"))
+    open_ = told.groupBy("b").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("b")
+    rest = materialize(told.join(open_, "b"), "open")
+    pairs = rest.select("b", F.col("n").alias("u"), F.col("root").alias("ru")).join(rest.select("b", F.col("n").alias("v"), F.col("root").alias("rv")), "b")
+    # The buckets' least sets have been held against the others already.
+    tried = shared.select(F.col("hub").alias("u"), F.col("n").alias("v")).distinct()
+    across = pairs.where("u < v AND ru <> rv").select("u", "v").distinct().join(tried, ["u", "v"], "left_anti")
+    return connected_components(near.unionByName(_similar(across, sets)))
+
+
 def _row_key(id_col: str, text_col: str) -> tuple:
     return F.xxhash64(id_col, text_col).alias("k"), F.xxhash64(text_col).alias("r")
 
@@ -218,12 +310,29 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component: that with the smallest id (null ids last). Whole repeats of it are kept once."""
-    prints = materialize(fingerprints(docs), "prints")
+def _least_of(docs: DataFrame, rooted: DataFrame) -> DataFrame:
+    """One row of each root of ``rooted(doc_id, k, r, root)``: that with the smallest id (null ids last). Whole repeats of it are kept once."""
     order = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "k", "r")
-    keep = prints.join(_classes(prints, DISTANCE, BUCKET_ROWS), "fp").groupBy("root").agg(F.min(order).alias("x")).select(F.col("x.k").alias("__k"), F.col("x.r").alias("__r"))
+    keep = rooted.groupBy("root").agg(F.min(order).alias("x")).select(F.col("x.k").alias("__k"), F.col("x.r").alias("__r"))
     k, r = _row_key("doc_id", "text")
     keyed = docs.select(F.struct(*docs.columns).alias("row"), k.alias("__k"), r.alias("__r"))
     kept = keyed.join(keep.distinct(), ["__k", "__r"], "left_semi").dropDuplicates(["__k", "__r"])
     return kept.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
+
+
+def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each component that op4 finds."""
+    prints = materialize(fingerprints(docs), "prints")
+    return _least_of(docs, prints.join(_classes(prints, DISTANCE, BUCKET_ROWS), "fp"))
+
+
+def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each component, of links as op4 has them and links by sets of five-word shingles."""
+    prints = materialize(_signatures(docs), "prints")
+    rooted = prints.drop("bands").join(_classes(prints, DISTANCE, BUCKET_ROWS), "fp")
+    sets = _set_classes(docs, prints).select(F.col("node").alias("n"), F.col("root").alias("set_root"))
+    rooted = materialize(rooted.join(sets, "n", "left").select("doc_id", "k", "r", "root", F.coalesce("set_root", "n").alias("c")), "rooted")
+    least = rooted.where("c IS NOT NULL").groupBy("c").agg(F.min("root").alias("u"), F.max("root").alias("top")).where("u <> top").select("c", "u")
+    joined = connected_components(rooted.join(least, "c").where("root <> u").select("u", F.col("root").alias("v")).distinct())
+    told = rooted.join(joined.select(F.col("node").alias("root"), F.col("root").alias("joined")), "root", "left")
+    return _least_of(docs, told.select("doc_id", "k", "r", F.coalesce("joined", "root").alias("root")))
