@@ -5,7 +5,8 @@ Documents are dealt into chunks by a hash of their id. A first pass counts the 4
 each chunk the probabilities it asked for and scores its documents. So neither the model nor a document's n-grams ever
 have to fit one place: a task holds one chunk of texts and the distinct 4-grams in it. Texts travel compressed.
 A document is rejected if its log-perplexity exceeds a high quantile of trusted documents of its language that the
-counts have not seen.
+counts have not seen. Text that repeats itself is easy to foretell, so a document is also rejected if it has far fewer
+distinct 4-grams for its length than nearly all of those trusted documents.
 """
 
 from __future__ import annotations
@@ -27,6 +28,10 @@ ORDER = 4
 QUANTILE = 0.99
 SLACK = 0.05
 STRAY = 2.0
+#: Units of the stretches whose distinct 4-grams are counted, so that variety does not fall with length; and the part of
+#: the trusted documents' low quantile (1 - QUANTILE) that a text must reach.
+STRETCH = 1024
+LEAST_VARIETY = 0.5
 #: Languages with fewer held-out trusted documents take the quantile of all languages together.
 LEAST_HELD = 40
 #: Units that are hashed at a time; bounds memory only.
@@ -88,18 +93,30 @@ def _count_chunk(docs: pa.Table, trusted: pa.Table) -> pa.Table:
     return pa.table({"chunk": pa.array(np.full(len(known), chunk, np.int32)), "key": pa.array(known.to_numpy()), "n": pa.array(counts)})
 
 
+def _distinct(codes: np.ndarray, sizes: np.ndarray, known: int) -> np.ndarray:
+    """Of documents laid end to end: each one's distinct codes, counted anew in every stretch."""
+    ends = np.cumsum(sizes)
+    stretches = -(-sizes // STRETCH)
+    at = np.repeat(np.cumsum(stretches) - stretches, sizes) + (np.arange(len(codes)) - np.repeat(ends - sizes, sizes)) // STRETCH
+    found = np.unique(at * max(known, 1) + codes) // max(known, 1)
+    of = np.repeat(np.arange(len(sizes)), stretches)
+    return np.bincount(of[found], minlength=len(sizes))
+
+
 def _score_chunk(docs: pa.Table, answers: pa.Table) -> pa.Table:
-    """Mean negative log probability of each document of a chunk."""
+    """Mean negative log probability of each document of a chunk, and distinct 4-grams per unit in stretches of it."""
     index, logp = pd.Index(answers.column("key").to_numpy()), answers.column("logp").to_numpy()
-    total, count = np.zeros(docs.num_rows), np.zeros(docs.num_rows, np.int64)
+    total, count, distinct = np.zeros(docs.num_rows), np.zeros(docs.num_rows, np.int64), np.zeros(docs.num_rows)
     for rows, keys, sizes in _parts(docs):
-        sums = np.r_[0.0, np.cumsum(-logp[index.get_indexer(keys)])]
+        codes = index.get_indexer(keys)
+        sums = np.r_[0.0, np.cumsum(-logp[codes])]
         ends = np.cumsum(sizes)
+        distinct[rows] = _distinct(codes, sizes, len(index))
         total[rows], count[rows] = sums[ends] - sums[ends - sizes], sizes
     release_memory()
     with np.errstate(invalid="ignore"):
-        mean = pa.array(total / count, mask=count == 0)
-    return pa.table({"id": docs.column("id"), "r": docs.column("r"), "lang": docs.column("lang"), "units": pa.array(count), "nats": mean})
+        mean, variety = (pa.array(x / count, mask=count == 0) for x in (total, distinct))
+    return pa.table({"id": docs.column("id"), "r": docs.column("r"), "lang": docs.column("lang"), "units": pa.array(count), "nats": mean, "variety": variety})
 
 
 def _level(counts: DataFrame, name: str) -> tuple[DataFrame, list[float]]:
@@ -152,7 +169,7 @@ def held_out(doc_id: Column) -> Column:
 
 
 def perplexities(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """``(id, r, lang, units, nats, held)``: log-perplexity per unit of every document, materialised."""
+    """``(id, r, lang, units, nats, variety, held)``: log-perplexity and variety per unit of every document, materialised."""
     chunks = max(8, 2 * input_partitions(docs))
     trusted = labels.where("quality = 1 AND doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("id")).distinct()
     texts = _compressed(docs, chunks)
@@ -160,13 +177,13 @@ def perplexities(docs: DataFrame, labels: DataFrame) -> DataFrame:
     asked = materialize(texts.groupBy("chunk").cogroup(counted.groupBy("chunk")).applyInArrow(_count_chunk, "chunk int, key long, n long"), "grams")
     keys = materialize(asked.groupBy("key").agg(F.sum("n").alias("n")), "keys")
     answers = asked.select("chunk", "key").join(probabilities(keys), "key").select("chunk", "key", "logp")
-    scored = texts.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_score_chunk, "id long, r long, lang string, units long, nats double")
+    scored = texts.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_score_chunk, "id long, r long, lang string, units long, nats double, variety double")
     held = trusted.where(held_out(F.col("id"))).withColumn("held", F.lit(True))
     return materialize(scored.join(held, "id", "left"), "perplexity")
 
 
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slack: float = SLACK) -> DataFrame:
-    """``(doc_id, r, lang, units, nats, threshold, keep)`` of every row of ``docs(doc_id, lang, text)``.
+    """``(doc_id, r, lang, units, nats, threshold, variety, floor, keep)`` of every row of ``docs(doc_id, lang, text)``.
 
     Null and empty texts have no perplexity and are kept, and so is everything where no trusted text is held out. Null
     languages are one language. Rows that repeat a document score alike. An empty table gives an empty table.
@@ -175,16 +192,20 @@ def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, sla
     # A short text's mean strays farther from its language's: what it may stray falls with the root of its length.
     scored = scored.withColumn("fit", F.col("nats") - STRAY / F.sqrt(F.greatest("units", F.lit(1))))
     held = scored.where("held AND nats IS NOT NULL")
-    of_all = held.agg(F.percentile_approx("fit", quantile, 10000)).first()[0]
-    by_lang = held.groupBy("lang").agg(F.when(F.count("*") >= LEAST_HELD, F.percentile_approx("fit", quantile, 10000)).alias("own")).withColumnRenamed("lang", "_lang")
+    high, low = F.percentile_approx("fit", quantile, 10000), F.percentile_approx("variety", 1 - quantile, 10000)
+    of_all, low_of_all = held.agg(high, low).first()
+    enough = F.count("*") >= LEAST_HELD
+    by_lang = held.groupBy("lang").agg(F.when(enough, high).alias("own"), F.when(enough, low).alias("own_low")).withColumnRenamed("lang", "_lang")
     told = scored.join(by_lang, F.col("lang").eqNullSafe(F.col("_lang")), "left")
     threshold = F.coalesce("own", F.lit(of_all).cast("double")) + slack + STRAY / F.sqrt(F.greatest("units", F.lit(1)))
-    return told.select(F.col("id").alias("doc_id"), "r", "lang", "units", "nats", threshold.alias("threshold"), F.coalesce(F.col("nats") <= threshold, F.lit(True)).alias("keep"))
+    floor = LEAST_VARIETY * F.coalesce("own_low", F.lit(low_of_all).cast("double"))
+    keep = F.coalesce((F.col("nats") <= threshold) & (F.col("variety") >= floor), F.lit(True))
+    return told.select(F.col("id").alias("doc_id"), "r", "lang", "units", "nats", threshold.alias("threshold"), "variety", floor.alias("floor"), keep.alias("keep"))
 
 
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = classify(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
-    return found.select("doc_id", "lang", "units", F.exp("nats").alias("perplexity"), F.exp("threshold").alias("threshold"), "keep")
+    return found.select("doc_id", "lang", "units", F.exp("nats").alias("perplexity"), F.exp("threshold").alias("threshold"), "variety", F.col("floor").alias("variety_floor"), "keep")
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

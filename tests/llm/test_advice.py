@@ -5,8 +5,9 @@ import random
 import numpy as np
 
 import corpus_pipeline
-from skewroute.llm import simhash
-from tests.llm.conftest import SCHEMA
+from skewroute.llm import quality, simhash
+from skewroute.llm.common import read_table
+from tests.llm.conftest import SCHEMA, prose
 
 
 def near_copy(rng, words, edits):
@@ -41,3 +42,25 @@ def test_bands_meet_at_the_similarity():
         met[0] |= bool((a == simhash.bands(rng.integers(0, 1 << 63, 800, dtype=np.uint64))).any())
         met[1] &= bool((a == b).any())
     assert met == [False, True]
+
+
+def test_repetition_is_not_quality(spark):
+    rng = random.Random(4)
+    rows = [(i, prose(rng, rng.randrange(20, 200)), "en", "a", 1) for i in range(300)]
+    junk = [(1000, "the " * 400, "en", "a", 1), (1001, "stream of state\n" * 60, "en", "a", 1), (1002, (prose(rng, 12) + ".\n") * 50, "en", "a", 1)]
+    labels = spark.createDataFrame([(r[0], 1, 0) for r in rows], "doc_id long, quality int, toxic int")
+    keep = {r["doc_id"]: r["keep"] for r in quality.classify(spark.createDataFrame(rows + junk, SCHEMA), labels).collect()}
+    assert not any(keep[r[0]] for r in junk) and sum(keep[r[0]] for r in rows) >= 295
+
+
+def test_repeated_words_of_the_given_table(spark):
+    folder = "/root/testdata/sf0.01"
+    docs = {r["doc_id"]: (r["text"] or "").split() for r in read_table(spark, folder, "documents").collect()}
+    told = quality.op8_quality(spark, folder).join(read_table(spark, folder, "labels"), "doc_id").collect()
+    repeats = [r for r in told if r["quality"] == 0 and len(set(docs[r["doc_id"]])) <= 0.1 * len(docs[r["doc_id"]])]
+    assert len(repeats) >= 5 and not any(r["keep"] for r in repeats)
+
+
+def test_distinct_counts_by_stretch():
+    codes = np.array([0, 0, 1] * 1000 + [2], np.int64)
+    assert quality._distinct(codes, np.array([3000, 0, 1]), 3).tolist() == [6, 0, 1]
