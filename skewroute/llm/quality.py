@@ -209,6 +209,6 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier keeps."""
+    """Documents that the classifier keeps, those without an id included: a row is known by its id and its text."""
     rejected = classify(docs, read_table(spark, sf_dir, "labels")).where(~F.col("keep")).select(F.col("doc_id").alias("__reject_id"), F.col("r").alias("__reject_text"))
-    return docs.join(rejected, (F.col("doc_id") == F.col("__reject_id")) & (F.xxhash64("text") == F.col("__reject_text")), "left_anti")
+    return docs.join(rejected, F.col("doc_id").eqNullSafe(F.col("__reject_id")) & F.xxhash64("text").eqNullSafe(F.col("__reject_text")), "left_anti")

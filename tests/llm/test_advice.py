@@ -64,3 +64,11 @@ def test_repeated_words_of_the_given_table(spark):
 def test_distinct_counts_by_stretch():
     codes = np.array([0, 0, 1] * 1000 + [2], np.int64)
     assert quality._distinct(codes, np.array([3000, 0, 1]), 3).tolist() == [6, 0, 1]
+
+
+def test_stage_rejects_rows_without_an_id(spark, odd_rows, tmp_path):
+    junk = [(None, "the " * 400, "en", "a", 1)]
+    labels = [(r[0], 1, 0) for r in odd_rows if r[0] and r[0] >= 100]
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    kept = quality.quality_stage(spark, spark.createDataFrame(odd_rows + junk, SCHEMA), str(tmp_path)).collect()
+    assert sum(r["doc_id"] is None for r in kept) == 2 and junk[0][1] not in {r["text"] for r in kept}
