@@ -18,6 +18,10 @@ from skewroute.functions.hashing import CHOICES
 from skewroute.operators.sketch import CounterSketch, default_capacity
 
 
+#: Keys whose further choices a router remembers; hashing one again costs time, nothing else.
+MEMO_KEYS = 1 << 16
+
+
 @dataclass(frozen=True)
 class Scheme:
     """A routing scheme and its options.
@@ -98,6 +102,8 @@ class Router:
         """The first d choices of a key; computed once and extended. Collisions are kept unless distinct ones are asked."""
         have = self.memo.get(key)
         if have is None:
+            if len(self.memo) >= MEMO_KEYS:
+                self.memo.clear()  # a sender holds nothing that grows with the keys it has seen
             have = self.memo[key] = list(first) if first is not None else []
         if self.scheme.distinct_candidates:
             want = min(self.n, round(bounds.expected_union(self.n, d)))

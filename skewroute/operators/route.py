@@ -47,7 +47,7 @@ def _out(schema: T.StructType, many: bool) -> T.StructType:
     return T.StructType([*schema.fields, *([T.StructField("scheme", T.StringType())] if many else []), T.StructField("worker", T.IntegerType()), T.StructField("is_head", T.BooleanType()), T.StructField("n_choices", T.IntegerType())])
 
 
-def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: int | str = bounds.SOURCES, order: str = "seq", dense: bool = True, family: str = "md5") -> DataFrame:
+def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: int | str = bounds.SOURCES, order: str = "seq", dense: bool = True, family: str = "md5", begin: dict[int, tuple[list[int], int]] | None = None) -> DataFrame:
     """All schemes over one ordered scan: the input's columns, ``source_id``, ``scheme`` and the routing of each row.
 
     One partition a source (more than one source a partition is fine too: state starts anew where the source
@@ -55,6 +55,7 @@ def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: in
 
     ``sources="splits"``: every input split is a source and its rows come in file order, so that nothing is exchanged or
     sorted before routing. Splits of files are the same in a retried task; other inputs need a number of sources.
+    ``begin``: loads and cursor that a source starts from, ``workers + 1`` numbers a source.
     """
     sourced = msgs.withColumn("source_id", F.spark_partition_id()) if sources == "splits" else with_source(msgs, sources, order, dense)
     c = [hash_choice("key", i, workers, family).alias(f"_c{i}") for i in (1, 2)]
@@ -75,6 +76,8 @@ def route_many(msgs: DataFrame, schemes: list[Scheme], workers: int, sources: in
                 if ids[lo] != now:
                     now = ids[lo]
                     routers = [Router(s, workers, int(now), family) for s in schemes]
+                    for r in routers if begin and int(now) in begin else ():
+                        r.load, r.cursor = list(begin[int(now)][0]), begin[int(now)][1]
                 keys = part.column("key").to_pylist() if by_key else [None] * (hi - lo)
                 c1, c2 = (part.column(x).to_numpy().tolist() for x in ("_c1", "_c2"))
                 for r in routers:

@@ -429,9 +429,9 @@ def balanced_distinct(spark, d):
     return aggregate.balanced_agg(route(msgs, "head_round_robin", 8, S), 8, {"users": ("distinct", "user_id")})
 
 
-@query("SELECT event_type AS key, list_sort(list(user_id)) AS users FROM events WHERE event_id < 500 GROUP BY event_type")
+@query("SELECT event_type AS key, list_sort(list(user_id)) AS users FROM events GROUP BY event_type")
 def balanced_collect(spark, d):
-    msgs = read_table(spark, d, "events").where("event_id < 500").select(F.col("event_id").alias("seq"), F.col("event_type").alias("key"), "user_id")
+    msgs = read_table(spark, d, "events").select(F.col("event_id").alias("seq"), F.col("event_type").alias("key"), "user_id")
     return aggregate.balanced_agg(route(msgs, "any_worker", 8, S), 8, {"users": ("collect", "user_id")})
 
 

@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def _root(spark: SparkSession) -> str:
-    """The application's own folder under ``spark.checkpoint.dir``; where that is unset, under one made for this process."""
+    """The application's own folder under ``spark.checkpoint.dir``. Where that is unset, a local session makes a folder for itself; a cluster has to name one."""
     shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not shared:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="skewroute-"))
         shared = spark.sparkContext.getCheckpointDir()
     return f"{shared.rstrip('/')}/skewroute/{spark.sparkContext.applicationId}"

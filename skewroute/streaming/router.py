@@ -96,31 +96,78 @@ def live_load(routed: DataFrame) -> DataFrame:
     return routed.groupBy("worker").agg(F.count("*").alias("messages"))
 
 
+def live_imbalance(routed: DataFrame, workers: int, every: str) -> DataFrame:
+    """``(start, messages, imbalance)`` of each window: the counts of all workers side by side, one state row a window."""
+    counts = [F.count_if(F.col("worker") == w) for w in range(workers)]
+    peak = F.greatest(*counts) if workers > 1 else counts[0]
+    seen = routed.groupBy(F.window("ts", every).alias("w")).agg(F.count("*").alias("messages"), peak.alias("top"))
+    return seen.select(F.col("w.start").alias("start"), "messages", (F.col("top") / F.col("messages") - 1.0 / workers).alias("imbalance"))
+
+
 def start(df: DataFrame, path: str, checkpoint: str, mode: str = "append"):
     """Run what is there and stop, into Parquet."""
     return df.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).outputMode(mode).trigger(availableNow=True).start()
 
 
 class MergedHead:
-    """Route each micro-batch with the head of all batches before it, then add its sketches.
+    """Route each micro-batch with the head of all batches before it and the loads that they have left, then add its sketches.
 
-    Only counters cross the driver, at most ``capacity`` a source and batch. Loads start anew with each batch.
+    A batch's rows go to a folder of its own (``batch=<id>``), and what the next batch needs (the merged sketch, the loads and
+    cursors of all sources) to ``<path>-state``, both overwritten: a batch that is run again, by this process or after a
+    restart, reads the state it read before and leaves the same rows once. At most ``capacity`` counters a source and
+    ``sources * workers`` loads cross the driver in a batch.
     """
 
     def __init__(self, scheme: Scheme, workers: int, sources: int = bounds.SOURCES, path: str | None = None):
         self.base, self.workers, self.sources, self.path = scheme, workers, sources, path
         self.theta = scheme.theta or bounds.default_theta(workers)
-        self.sketch = sketch.CounterSketch(scheme.capacity or sketch.default_capacity(self.theta))
+        self.capacity = scheme.capacity or sketch.default_capacity(self.theta)
+        self._fresh()
+
+    def _fresh(self) -> None:
+        self.sketch = sketch.CounterSketch(self.capacity)
+        self.loads: dict[int, tuple[list[int], int]] = {}
+
+    def _state_path(self, batch_id: int) -> str:
+        return f"{self.path.rstrip('/')}-state/before={batch_id}"
+
+    def _load(self, spark: SparkSession, batch_id: int) -> None:
+        """The state as it was before a batch, whatever this object holds."""
+        self._fresh()
+        if batch_id:
+            counts, errors, total, loads = pickle.loads(spark.read.parquet(self._state_path(batch_id)).first()["state"])
+            self.sketch.counts, self.sketch.errors, self.sketch.total, self.loads = counts, errors, total, loads
+
+    def _save(self, spark: SparkSession, batch_id: int) -> None:
+        held = pickle.dumps((self.sketch.counts, self.sketch.errors, self.sketch.total, self.loads))
+        spark.createDataFrame([(bytearray(held),)], "state binary").write.mode("overwrite").parquet(self._state_path(batch_id))
 
     def scheme(self) -> Scheme:
         held = self.sketch.heavy(Fraction(self.theta))
         return _known(self.base, [(k, c / self.sketch.total) for k, c, _ in held], self.workers)
 
     def on_batch(self, batch: DataFrame, batch_id: int) -> None:
-        sourced = with_source(batch, self.sources)
-        route_many(sourced, [self.scheme()], self.workers, self.sources).withColumn("batch", F.lit(batch_id)).write.mode("append").parquet(self.path)
-        for s in _sketches(sourced, self.sketch.capacity):
+        spark = batch.sparkSession
+        self._load(spark, batch_id)
+        sourced, out = with_source(batch, self.sources), f"{self.path.rstrip('/')}/batch={batch_id}"
+        scheme = self.scheme()
+        route_many(sourced, [scheme], self.workers, self.sources, begin=self.loads).write.mode("overwrite").parquet(out)
+        self._count(spark.read.parquet(out), scheme)
+        for s in _sketches(sourced, self.capacity):
             self.sketch = self.sketch.merge(s)
+        self._save(spark, batch_id + 1)
+
+    def _count(self, routed: DataFrame, scheme: Scheme) -> None:
+        turns = scheme.kind == "head_round_robin"
+        loads: dict[int, tuple[list[int], int]] = {s: (list(load), cursor) for s, (load, cursor) in self.loads.items()}
+        for r in routed.groupBy("source_id", "worker", "is_head").agg(F.count("*").alias("n")).collect():
+            load, cursor = loads.get(r["source_id"], ([0] * self.workers, 0))
+            if scheme.count_head_in_load or not (turns and r["is_head"]):
+                load[r["worker"]] += r["n"]
+            if turns and r["is_head"]:
+                cursor = (cursor + r["n"]) % self.workers
+            loads[r["source_id"]] = load, cursor
+        self.loads = loads
 
     def start(self, stream: DataFrame, checkpoint: str):
         return stream.writeStream.foreachBatch(self.on_batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()

@@ -60,6 +60,38 @@ def test_merged_head_between_batches(spark, folder, parts):
     assert merged.sketch.total == rows.count()
 
 
+@pytest.mark.parametrize("kind", ["any_worker", "head_round_robin", "tuned"])
+def test_merged_head_survives_retries_and_restarts(spark, parts, kind):
+    batches = [spark.read.parquet(f"{parts}/events.parquet/events{i}.parquet").select(F.col("event_id").alias("seq"), F.col("event_type").alias("key")) for i in range(3)]
+
+    def rows(path):
+        return sorted(map(tuple, spark.read.parquet(path).select("batch", "seq", "worker", "is_head", "n_choices").collect()))
+
+    straight = live.MergedHead(Scheme(kind), 10, 3, f"{parts}/straight")
+    for i, b in enumerate(batches):
+        straight.on_batch(b, i)
+    again = live.MergedHead(Scheme(kind), 10, 3, f"{parts}/again")
+    for i, b in enumerate(batches):
+        again.on_batch(b, i)
+        again.on_batch(b, i)  # the batch was run twice
+        again = live.MergedHead(Scheme(kind), 10, 3, f"{parts}/again")  # and the process started anew
+    assert rows(f"{parts}/again") == rows(f"{parts}/straight")
+    # Loads go on from batch to batch: the last state holds every message.
+    again._load(spark, 3)
+    assert sum(sum(load) for load, _ in again.loads.values()) == len(rows(f"{parts}/straight")) == again.sketch.total
+
+
+def test_live_imbalance(spark, folder, parts):
+    routed = live.route_stream(live.prepare(messages(spark, parts), "1 hour"), Scheme("two_choice"), 4, 2)
+    live.start(live.live_imbalance(routed, 4, "10 days"), f"{parts}/out", f"{parts}/checkpoint").awaitTermination()
+    got = {r["start"]: (r["messages"], round(r["imbalance"], 9)) for r in spark.read.parquet(f"{parts}/out").collect()}
+    batch = route(event_messages(spark, folder), "two_choice", 4, 2).withColumn("w", F.window(F.col("ts").cast("timestamp"), "10 days").start)
+    want = {}
+    for r in batch.groupBy("w", "worker").count().collect():
+        want.setdefault(r["w"], []).append(r["count"])
+    assert got and all(got[w] == (sum(want[w]), round(max(want[w]) / sum(want[w]) - 0.25, 9)) for w in got)
+
+
 def test_dedup_before_routing(spark, parts):
     twice = messages(spark, parts).union(messages(spark, parts))
     out = live.live_load(live.prepare(twice, "30 days", dedup=True).withColumn("worker", F.lit(0)))
