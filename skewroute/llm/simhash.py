@@ -1,12 +1,13 @@
 """SimHash near-duplicates with a Gray-order hierarchical index.
 
-Fingerprints are made per document with numpy, distinct fingerprints are dealt into buckets that any two of them
-within the distance must share (64 bits cut into four blocks, the other 48 again into four: of three differing bits
-at least one block of either cut holds none), and each bucket is searched by a small hierarchy over its fingerprints
-in Gray-code order: leaves of neighbours keep the bits they agree on (mask, pattern), upper nodes keep the bits their
-leaves agree on, and a pair of nodes is dropped once the differences counted from the top exceed the distance.
-Buckets beyond ``BUCKET_ROWS`` are cut into Gray-rank slices whose pairs are pruned by the same node patterns, so that
-no task ever takes an unbounded bucket. A bucket gives a spanning forest of its links, never all its pairs.
+Distinct fingerprints are sorted by Gray rank over the whole table and cut into slices of neighbours. Every group of neighbours is
+a node that keeps the bits its members agree on (mask, pattern): leaves of ``LEAF`` fingerprints, ``FAN`` nodes under each
+upper one up to the slice, and the slices' own nodes with a tree of the same kind above them, which is small enough to send
+out (at most ``MAX_SLICES`` slices, 16 bytes each). Two nodes differ at least where both agree on a bit and the bits differ; going
+down, bits join the masks and the differences add up, and a pair of nodes is dropped with everything below it once they exceed
+the distance. So slices find the slices they may have a link with, and only those meet, dealt by slice; inside, the same
+descent goes on to pairs of leaves, whose fingerprints are compared. A meeting gives a spanning forest of its links, never all
+its pairs. No task takes more than two slices at a time, however many fingerprints are alike.
 
 The stage of the pipeline also links what three bits of 64 do not reach: texts whose sets of five-word shingles have a
 Jaccard similarity of at least 0.8. Banded minimum hashes find the candidates, the sets themselves decide.
@@ -17,7 +18,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
@@ -28,9 +28,13 @@ from skewroute.llm.components import connected_components
 
 SEED = 42
 DISTANCE = 3
-#: Fingerprints a bucket may hold before it is cut into slices; bounds the memory of a task, not the result.
-BUCKET_ROWS = 4096
-LEAF = 32
+#: Fingerprints of a slice; more where there would be over ``MAX_SLICES`` of them, so that their nodes are of bounded size.
+SLICE = 4096
+MAX_SLICES = 1 << 16
+LEAF = 16
+FAN = 16
+#: Pairs of nodes or leaves that are looked at in one go; bounds memory only.
+_MEET = 1 << 12
 _STEP = 1 << 14
 #: Words of a shingle of the stage, and the similarity that links, as a fraction.
 SET_SHINGLE = 5
@@ -172,120 +176,207 @@ def _gray_rank_col(c):
     return c
 
 
-class GrayIndex:
-    """Two levels of nodes over fingerprints in Gray order; finds all pairs within a distance between two of them."""
+Nodes = tuple[np.ndarray, np.ndarray]
+
+
+def _nodes(low: np.ndarray, high: np.ndarray, width: int) -> Nodes:
+    """Common ones and all ones of consecutive groups: bits equal in both are the node's mask, and there they are its pattern."""
+    at = np.arange(0, len(low), width)
+    return np.bitwise_and.reduceat(low, at), np.bitwise_or.reduceat(high, at)
+
 
-    def __init__(self, fps: np.ndarray):
-        self.fps = fps[np.argsort(gray_rank(fps), kind="stable")]
-        self.leaf = self._nodes(self.fps, self.fps, LEAF)
-        self.top = self._nodes(*self.leaf, LEAF)
+def _tree(low: np.ndarray, high: np.ndarray, width: int) -> list[Nodes]:
+    """Levels of nodes over members in Gray order, lowest first, until ``FAN`` or fewer are left."""
+    levels = [_nodes(low, high, width)]
+    while len(levels[-1][0]) > FAN:
+        levels.append(_nodes(*levels[-1], FAN))
+    return levels
 
-    @staticmethod
-    def _nodes(low: np.ndarray, high: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
-        """Common ones and all ones of consecutive groups: bits equal in both are the node's mask."""
-        at = np.arange(0, len(low), width)
-        return np.bitwise_and.reduceat(low, at), np.bitwise_or.reduceat(high, at)
 
-    @staticmethod
-    def _apart(a: tuple[np.ndarray, np.ndarray], i, b: tuple[np.ndarray, np.ndarray], j) -> np.ndarray:
-        """Bits on which all members of node i differ from all members of node j."""
-        agreed = ~(a[0][i] ^ a[1][i]) & ~(b[0][j] ^ b[1][j])
-        return (a[0][i] ^ b[0][j]) & agreed
+def _apart(a: Nodes, i: np.ndarray, b: Nodes, j: np.ndarray) -> np.ndarray:
+    """On how many bits all members of node i differ from all members of node j: the differences added up down to them."""
+    agreed = ~(a[0][i] ^ a[1][i]) & ~(b[0][j] ^ b[1][j])
+    return np.bitwise_count((a[0][i] ^ b[0][j]) & agreed)
+
+
+class GrayIndex:
+    """Nodes over the fingerprints of one slice in Gray order. Counts the pairs of nodes it looks at and drops."""
+
+    def __init__(self, fps: np.ndarray, ordered: bool = False):
+        self.fps = fps if ordered else fps[np.argsort(gray_rank(fps), kind="stable")]
+        self.levels = _tree(self.fps, self.fps, LEAF)
+        self.visited = self.pruned = self.compared = 0
+
+    @property
+    def leaf(self) -> Nodes:
+        return self.levels[0]
+
+    def leaf_pairs(self, other: GrayIndex, distance: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Pairs of leaves that may hold a link, some thousand at a time; within one index each pair once."""
+        own, top = other is self, min(len(self.levels), len(other.levels)) - 1
+        i, j = (x.ravel() for x in np.indices((len(self.levels[top][0]), len(other.levels[top][0]))))
+        todo = [(top, i[i <= j], j[i <= j]) if own else (top, i, j)]
+        while todo:
+            level, i, j = todo.pop()
+            if len(i) > _MEET:
+                todo.append((level, i[_MEET:], j[_MEET:]))
+                i, j = i[:_MEET], j[:_MEET]
+            stay = _apart(self.levels[level], i, other.levels[level], j) <= distance
+            self.visited += len(i)
+            i, j = i[stay], j[stay]
+            self.pruned += len(stay) - len(i)
+            if not len(i):
+                continue
+            if not level:
+                yield i, j
+                continue
+            x = (i[:, None, None] * FAN + np.arange(FAN)[None, :, None] + np.zeros(FAN, np.int64)).ravel()
+            y = (j[:, None, None] * FAN + np.arange(FAN)[None, None, :] + np.zeros((FAN, 1), np.int64)).ravel()
+            there = (x < len(self.levels[level - 1][0])) & (y < len(other.levels[level - 1][0]))
+            if own:
+                there &= x <= y
+            todo.append((level - 1, x[there], y[there]))
 
     def blocks(self, other: GrayIndex, distance: int) -> Iterator[tuple[slice, slice]]:
-        """Pairs of leaves that may hold a link. Differences seen at the upper node are not counted again below."""
-        for i in range(len(self.top[0])):
-            js = np.arange(i if other is self else 0, len(other.top[0]))
-            above = self._apart(self.top, i, other.top, js)
-            for j, seen in zip(js, above, strict=True):
-                spent = int(np.bitwise_count(seen))
-                if spent > distance:
-                    continue
-                li = np.arange(i * LEAF, min((i + 1) * LEAF, len(self.leaf[0])))
-                lj = np.arange(j * LEAF, min((j + 1) * LEAF, len(other.leaf[0])))
-                rest = self._apart(self.leaf, li[:, None], other.leaf, lj[None, :]) & ~seen
-                for x, y in np.argwhere(spent + np.bitwise_count(rest) <= distance):
-                    if other is not self or lj[y] >= li[x]:
-                        yield slice(li[x] * LEAF, (li[x] + 1) * LEAF), slice(lj[y] * LEAF, (lj[y] + 1) * LEAF)
+        """The same as places of the fingerprints."""
+        for i, j in self.leaf_pairs(other, distance):
+            for x, y in zip(i.tolist(), j.tolist(), strict=True):
+                yield slice(x * LEAF, (x + 1) * LEAF), slice(y * LEAF, (y + 1) * LEAF)
+
+    def rows(self) -> np.ndarray:
+        """One row a leaf; the last one is filled up with its last fingerprint."""
+        n = len(self.fps)
+        return self.fps[np.minimum(np.arange(-(-n // LEAF) * LEAF), n - 1)].reshape(-1, LEAF)
+
+
+def meet(a: GrayIndex, b: GrayIndex, distance: int) -> list[tuple[int, int]]:
+    """Edges of a spanning forest of the links within an index (``b`` is ``a``) or between two."""
+    shift = 0 if b is a else len(a.fps)
+    label, edges = np.arange(shift + len(b.fps)), []
+    left, right = a.rows(), b.rows()
+    step = _MEET * 64 // LEAF**2
+    for i, j in a.leaf_pairs(b, distance):
+        for k in range(0, len(i), step):
+            x, y = i[k : k + step], j[k : k + step]
+            a.compared += len(x) * LEAF**2
+            at, p, q = np.nonzero(np.bitwise_count(left[x][:, :, None] ^ right[y][:, None, :]) <= distance)
+            # Places beyond the end repeat the last fingerprint.
+            u = np.minimum(x[at] * LEAF + p, len(a.fps) - 1)
+            v = np.minimum(y[at] * LEAF + q, len(b.fps) - 1) + shift
+            while len(u):
+                open_ = label[u] != label[v]
+                u, v = u[open_], v[open_]
+                for s, t in zip(u[:64].tolist(), v[:64].tolist(), strict=True):
+                    if label[s] != label[t]:
+                        label[label == label[t]] = label[s]
+                        edges.append((int(a.fps[s]), int(b.fps[t - shift])))
+                u, v = u[64:], v[64:]
+    return edges
 
 
 def forest(left: np.ndarray, right: np.ndarray | None, distance: int) -> list[tuple[int, int]]:
-    """Edges of a spanning forest of the links within ``left`` (right None) or between ``left`` and ``right``."""
+    """``meet`` of bare fingerprints (``right`` None: within ``left``)."""
     a = GrayIndex(left)
-    b = a if right is None else GrayIndex(right)
-    label = np.arange(len(a.fps) + (0 if b is a else len(b.fps)))
-    shift, edges = (0 if b is a else len(a.fps)), []
-    for s, t in a.blocks(b, distance):
-        near = np.argwhere(np.bitwise_count(a.fps[s][:, None] ^ b.fps[t][None, :]) <= distance)
-        x, y = near[:, 0] + s.start, near[:, 1] + t.start + shift
-        open_ = label[x] != label[y]
-        for p, q in zip(x[open_], y[open_], strict=True):
-            if label[p] != label[q]:
-                label[label == label[q]] = label[p]
-                edges.append((int(a.fps[p]), int(b.fps[q - shift])))
-    return edges
+    return meet(a, a if right is None else GrayIndex(right), distance)
+
+
+_LOW = 1 << 63
+_SLICED = "g long, lo long, hi long, fps binary"
+
 
+def _slices(fps: DataFrame, rows: int, parts: int) -> DataFrame:
+    """``(g, lo, hi, fps)``: neighbours in Gray order, up to ``rows`` in a slice; ``g`` is the first one's rank as a signed order."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def out(x: np.ndarray) -> pa.RecordBatch:
+            first = int(gray_rank(x[:1])[0]) - _LOW
+            lo, hi = (int(f.reduce(x).view(np.int64)) for f in (np.bitwise_and, np.bitwise_or))
+            return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in ((first, pa.int64()), (lo, pa.int64()), (hi, pa.int64()), (x.tobytes(), pa.binary()))], ["g", "lo", "hi", "fps"])
+
+        held = np.zeros(0, np.uint64)
+        for b in batches:
+            held = np.r_[held, b.column("fp").to_numpy().view(np.uint64)]
+            while len(held) >= rows:
+                yield out(held[:rows])
+                held = held[rows:]
+        if len(held):
+            yield out(held)
 
-def _routing_keys(fp):
-    """The 16 bucket keys of a fingerprint: which blocks, and their 16 + 12 bits."""
-    keys = []
-    for b in range(4):
-        block = F.shiftrightunsigned(fp, 16 * b).bitwiseAND(F.lit(0xFFFF))
-        above = F.shiftrightunsigned(F.shiftrightunsigned(fp, 16 * b), 16) if b < 3 else F.lit(0).cast("long")
-        rest = F.shiftleft(above, 16 * b).bitwiseOR(fp.bitwiseAND(F.lit((1 << (16 * b)) - 1)))
-        for s in range(4):
-            part = F.shiftrightunsigned(rest, 12 * s).bitwiseAND(F.lit(0xFFF))
-            keys.append(F.shiftleft(block, 16).bitwiseOR(F.shiftleft(part, 4)).bitwiseOR(F.lit(4 * b + s)))
-    return F.array(*keys)
-
-
-def _search(distance: int):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        def bucket(fps: np.ndarray, side: np.ndarray, i: int, j: int) -> list[tuple[int, int]]:
-            fps = fps.view(np.uint64)
-            return forest(fps, None, distance) if i == j else forest(fps[side == i], fps[side == j], distance)
-
-        held: pd.DataFrame | None = None
-        for batch in batches:
-            df = batch if held is None else pd.concat([held, batch], ignore_index=True)
-            k, i, j = (df[c].to_numpy() for c in ("k", "i", "j"))
-            cut = np.flatnonzero((k[1:] != k[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])) + 1
-            last = cut[-1] if len(cut) else 0
-            fps, side = df["fp"].to_numpy(), df["s"].to_numpy()
-            found = [e for a, b in zip([0, *cut[:-1]], cut, strict=False) if b - a > 1 for e in bucket(fps[a:b], side[a:b], i[a], j[a])]
-            held = df.iloc[last:]
-            if found:
-                yield pd.DataFrame(np.array(found, np.uint64).view(np.int64), columns=["u", "v"])
-        if held is not None and len(held) > 1:
-            if found := bucket(held["fp"].to_numpy(), held["s"].to_numpy(), held["i"].iloc[0], held["j"].iloc[0]):
-                yield pd.DataFrame(np.array(found, np.uint64).view(np.int64), columns=["u", "v"])
+    ordered = fps.select("fp", _gray_rank_col(F.col("fp")).bitwiseXOR(F.lit(-_LOW)).alias("g")).repartitionByRange(parts, "g").sortWithinPartitions("g")
+    return ordered.select("fp").mapInArrow(run, _SLICED)
+
+
+def _partners(slices: DataFrame, distance: int) -> DataFrame:
+    """``(own, other)``: which slices have to meet, each pair once, by descent through the tree over all slices' nodes."""
+    nodes = slices.select("g", "lo", "hi").toArrow()
+    order = np.argsort(nodes.column("g").to_numpy(), kind="stable")
+    g, lo, hi = (nodes.column(c).to_numpy()[order] for c in ("g", "lo", "hi"))
+    base = lo.view(np.uint64), hi.view(np.uint64)
+    shared = slices.sparkSession.sparkContext.broadcast((g, [base, *_tree(*base, FAN)] if len(g) > FAN else [base]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rank, levels = shared.value
+        for b in batches:
+            for own in b.column("g").to_numpy():
+                me = np.searchsorted(rank, own)
+                at = np.arange(len(levels[-1][0]))
+                for level in range(len(levels) - 1, -1, -1):
+                    at = at[_apart(levels[0], np.full(len(at), me), levels[level], at) <= distance]
+                    if level:
+                        at = (at[:, None] * FAN + np.arange(FAN)).ravel()
+                        at = at[at < len(levels[level - 1][0])]
+                # Of two slices one is host: by turns the earlier and the later, so that none hosts many more than others.
+                at = at[(at == me) | ((at > me) == ((at + me) % 2 == 0))]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), own)), pa.array(rank[at])], ["own", "other"])
+
+    return slices.select("g").mapInArrow(run, "own long, other long")
+
+
+def _meetings(distance: int):
+    """Of rows ``(own, other, fps)`` by host, the host's own first: its links, and a row of what the search looked at."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, host = None, None
+        for b in batches:
+            edges, counts = [], [0, 0, 0]
+            for own, data in zip(b.column("own").to_pylist(), b.column("fps"), strict=True):
+                index = GrayIndex(np.frombuffer(data.as_py(), np.uint64), ordered=True)
+                if own != now:
+                    now, host = own, index
+                before = host.visited, host.pruned, host.compared
+                edges += meet(host, host if index is host or len(index.fps) == len(host.fps) and (index.fps == host.fps).all() else index, distance)
+                counts = [c + x - y for c, x, y in zip(counts, (host.visited, host.pruned, host.compared), before, strict=True)]
+            pairs = np.array(edges, np.uint64).reshape(-1, 2).view(np.int64)
+            ends = [pa.array([*pairs[:, k].tolist(), None], pa.int64()) for k in (0, 1)]
+            yield pa.RecordBatch.from_arrays([*ends, *(pa.array([0] * len(pairs) + [c], pa.int64()) for c in counts)], ["u", "v", "visited", "pruned", "compared"])
 
     return run
 
 
-def links(fps: DataFrame, distance: int = DISTANCE, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+def search(fps: DataFrame, distance: int = DISTANCE, slice_rows: int = SLICE) -> DataFrame:
+    """``(u, v, visited, pruned, compared)``, materialised: edges that connect what links connect, and rows without an edge that tell
+    how many pairs of nodes were looked at and dropped, and how many pairs of fingerprints were compared.
+
+    ``fps(fp long)`` are distinct. What reaches the driver and goes out again are the nodes of the slices, whose number is bounded.
+    """
+    if not 0 <= distance <= 64:
+        raise ValueError("a distance is a number of bits")
+    spark = fps.sparkSession
+    n = fps.count()
+    rows = max(slice_rows, -(-n // MAX_SLICES))
+    slices = materialize(_slices(fps, rows, max(1, -(-n // (4 * rows)))), "slices")
+    met = _partners(slices, distance).join(slices.select(F.col("g").alias("other"), "fps"), "other")
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), n // (8 * rows))
+    dealt = met.repartition(tasks, "own").sortWithinPartitions("own", F.col("other") != F.col("own"), "other").select("own", "fps")
+    return materialize(dealt.mapInArrow(tidy(_meetings(distance)), "u long, v long, visited long, pruned long, compared long"), "met")
+
+
+def links(fps: DataFrame, distance: int = DISTANCE, slice_rows: int = SLICE) -> DataFrame:
     """``fps(fp long)`` distinct to edges ``(u, v)`` that connect exactly what links within ``distance`` connect."""
-    if not 0 <= distance <= 3:
-        raise ValueError("the block cuts guarantee distances up to 3")
-    routed = fps.select("fp", F.explode(_routing_keys(F.col("fp"))).alias("k"))
-    sizes = routed.groupBy("k").agg(F.count("*").alias("n")).where("n > 1")
-    shared = routed.join(sizes, "k")
-    cold = shared.where(F.col("n") <= bucket_rows).select("k", *(F.lit(0).cast("long").alias(c) for c in "ijs"), "fp")
-
-    # Slices of consecutive Gray ranks: dealt by range over (bucket, rank), so a hot bucket spreads over many tasks.
-    hot = shared.where(F.col("n") > bucket_rows).select("k", "fp", _gray_rank_col(F.col("fp")).bitwiseXOR(F.lit(-(1 << 63))).alias("g"))
-    ordered = hot.repartitionByRange("k", "g").sortWithinPartitions("k", "g")
-    sliced = materialize(ordered.select("k", F.floor(F.monotonically_increasing_id() / (bucket_rows // 2)).alias("s"), "fp"), "slices")
-    node = sliced.groupBy("k", "s").agg(F.bit_and("fp").alias("lo"), F.bit_or("fp").alias("hi"))
-    a, b = node.select("k", F.col("s").alias("i"), F.col("lo").alias("alo"), F.col("hi").alias("ahi")), node.select("k", F.col("s").alias("j"), "lo", "hi")
-    pairs = a.join(b, "k").where("i <= j AND bit_count((alo ^ lo) & ~(alo ^ ahi) & ~(lo ^ hi)) <= %d" % distance).select("k", "i", "j")
-    sides = pairs.select("k", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("s"))
-    warm = sliced.join(sides, ["k", "s"]).select("k", "i", "j", "s", "fp")
-    dealt = cold.unionByName(warm).repartition("k", "i", "j").sortWithinPartitions("k", "i", "j")
-    return dealt.mapInPandas(_search(distance), "u long, v long").distinct()
-
-
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, distance: int = DISTANCE, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+    return search(fps, distance, slice_rows).where("u IS NOT NULL").select("u", "v").distinct()
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, distance: int = DISTANCE, slice_rows: int = SLICE) -> DataFrame:
     """``(doc_id, fp, component_id)`` for every row.
 
     Null and wordless texts have fingerprint 0 and link like any other. Repeated rows give repeated rows. An empty
@@ -293,13 +384,13 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     takes part with its text; a component of null ids only has a null id.
     """
     prints = materialize(fingerprints(docs, id_col, text_col, shingle), "prints")
-    return prints.join(_classes(prints, distance, bucket_rows), "fp").select("doc_id", "fp", "component_id")
+    return prints.join(_classes(prints, distance, slice_rows), "fp").select("doc_id", "fp", "component_id")
 
 
-def _classes(prints: DataFrame, distance: int, bucket_rows: int) -> DataFrame:
+def _classes(prints: DataFrame, distance: int, slice_rows: int) -> DataFrame:
     """``(fp, root, component_id)`` of every distinct fingerprint."""
-    classes = prints.groupBy("fp").agg(F.min("doc_id").alias("first_doc"))
-    roots = connected_components(links(classes.select("fp"), distance, bucket_rows))
+    classes = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("first_doc")), "classes")
+    roots = connected_components(links(classes.select("fp"), distance, slice_rows))
     member = classes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "first_doc")
     least = member.groupBy("root").agg(F.min("first_doc").alias("component_id"))
     return materialize(member.join(least, "root").select("fp", "root", "component_id"), "components")
@@ -323,13 +414,13 @@ def _least_of(docs: DataFrame, rooted: DataFrame) -> DataFrame:
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each component that op4 finds."""
     prints = materialize(fingerprints(docs), "prints")
-    return _least_of(docs, prints.join(_classes(prints, DISTANCE, BUCKET_ROWS), "fp"))
+    return _least_of(docs, prints.join(_classes(prints, DISTANCE, SLICE), "fp"))
 
 
 def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each component, of links as op4 has them and links by sets of five-word shingles."""
     prints = materialize(_signatures(docs), "prints")
-    rooted = prints.drop("bands").join(_classes(prints, DISTANCE, BUCKET_ROWS), "fp")
+    rooted = prints.drop("bands").join(_classes(prints, DISTANCE, SLICE), "fp")
     sets = _set_classes(docs, prints).select(F.col("node").alias("n"), F.col("root").alias("set_root"))
     rooted = materialize(rooted.join(sets, "n", "left").select("doc_id", "k", "r", "root", F.coalesce("set_root", "n").alias("c")), "rooted")
     least = rooted.where("c IS NOT NULL").groupBy("c").agg(F.min("root").alias("u"), F.max("root").alias("top")).where("u <> top").select("c", "u")
