@@ -1,18 +1,19 @@
 """Incremental removal of repeated word windows over a log-structured fingerprint index.
 
 Every window of ``window`` words falls to its anchor, the least hash of its ``gram``-word grams; equal windows have equal
-anchors. Consecutive windows with one anchor form a segment, and a segment's signature hashes all its words. The index
-holds one narrow row per segment, in immutable runs sorted by anchor. A new batch is merge-joined with the runs.
-Segments that share anchor and signature are equal window for window. Where an anchor has several signatures, the
-texts are read again and the windows of those segments are hashed one by one and compared, which verifies a match
-exactly as wide as it is: anchor and window hash are independent 64-bit hashes of the same words. Bitmaps of anchors, of
-fixed size, thin the runs and tell the scan which segments to hash again; a join drops their false hits.
-Small runs are compacted into one.
+anchors. Consecutive windows with one anchor form a segment. The index holds one narrow row per distinct segment, ``(a, s, s2,
+d)``: its anchor, 128 bits of SHA-256 over its very words, and the least document that has it. Rows lie in immutable runs,
+tables bucketed by anchor and sorted by it, so that a new batch meets all runs, and runs are compacted into one, bucket by
+bucket: history is never exchanged again. Segments of equal anchor and digest are equal window for window. Where an anchor has
+several digests, the texts of the documents that own those segments are read again, and each window's own words are digested
+and compared. So a match is never taken on the word of the rolling hashes that found it. Bitmaps of fixed size, of anchors and
+of documents, thin the runs and tell the scans which texts and segments to look at; a join drops their false hits.
 """
 
 from __future__ import annotations
 
 import hashlib
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -23,14 +24,18 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import materialize, read_table, scratch_path, tidy, words_of
+from skewroute.llm.common import input_partitions, materialize, read_table, scratch_path, tidy, words_of
 
 WINDOW = 50
 GRAM = 25
 FAN_IN = 4
-#: Size of the anchor bitmap that a verifying scan is sent; more anchors cost more false hits, nothing else.
+#: Batches that a whole table is fed in: more than ``FAN_IN``, so that runs are compacted on the way.
+BATCHES = 6
+#: Size of the bitmaps that scans are sent; more anchors or documents cost more false hits, nothing else.
 BITMAP_BITS = 1 << 26
-_BASES = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD1342543DE82EF95))
+#: A key with more than one in so many of all rows is joined by broadcast: there are at most so many such keys.
+HOT_KEYS = 4096
+_BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
 def _word_hashes(words: list[bytes]) -> np.ndarray:
@@ -67,59 +72,74 @@ def segments(h: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, np.ndar
     if len(h) < window:
         none = np.zeros(0, np.int64)
         return none, none, none.astype(np.uint64)
-    least = _sliding_min(_rolling(h, gram, _BASES[0]), window - gram + 1)
+    least = _sliding_min(_rolling(h, gram, _BASE), window - gram + 1)
     first = np.flatnonzero(np.r_[True, least[1:] != least[:-1]])
     return first, np.diff(np.r_[first, len(least)]), least[first]
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """Id, a hash that tells rows with one id apart, and the text."""
-    return docs.select(F.col(id_col).cast("long").alias("d"), F.hash(text_col).alias("r"), F.col(text_col).alias("t")).where("d IS NOT NULL")
+    """Id, a hash that tells rows with one id apart, and the text; rows without an id take no part."""
+    return docs.select(F.col(id_col).cast("long").alias("d"), F.xxhash64(text_col).alias("r"), F.col(text_col).alias("t")).where("d IS NOT NULL")
 
 
-def _signatures(h: np.ndarray, p: np.ndarray, n: np.ndarray, window: int) -> np.ndarray:
-    raw, digest = h.tobytes(), xxhash.xxh3_64_intdigest
-    return np.fromiter((digest(raw[8 * i : 8 * (i + k + window - 1)]) for i, k in zip(p.tolist(), n.tolist(), strict=True)), np.uint64, len(p)).view(np.int64)
+class _Words:
+    """The words of a text laid out so that any run of them can be digested."""
+
+    def __init__(self, words: list[bytes]):
+        self.raw = b" ".join(words)
+        self.at = np.cumsum([0, *(len(w) + 1 for w in words)])
+
+    def digests(self, first: np.ndarray, count: np.ndarray | int) -> np.ndarray:
+        """128 bits of SHA-256 over runs of words, as two longs each."""
+        low, high, raw, sha = self.at[first].tolist(), (self.at[first + count] - 1).tolist(), self.raw, hashlib.sha256
+        return np.frombuffer(b"".join([sha(raw[a:b]).digest()[:16] for a, b in zip(low, high, strict=True)]), "<i8").reshape(-1, 2)
 
 
 def segment_rows(keyed: DataFrame, window: int, gram: int) -> DataFrame:
+    """``(d, r, p, n, a, s, s2)`` of every segment of every text: ``n`` windows from word ``p`` on."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             parts = []
             for d, r, t in zip(*(b.column(c).to_pylist() for c in ("d", "r", "t")), strict=True):
-                h = _word_hashes(words_of(t))
-                p, n, a = segments(h, window, gram)
+                words = words_of(t)
+                p, n, a = segments(_word_hashes(words), window, gram) if len(words) >= window else ((), (), None)
                 if len(p):
-                    parts.append((np.full(len(p), d, np.int64), np.full(len(p), r, np.int32), p.astype(np.int32), n.astype(np.int32), a.view(np.int64), _signatures(h, p, n, window)))
+                    s = _Words(words).digests(p, n + window - 1)
+                    parts.append((np.full(len(p), d, np.int64), np.full(len(p), r, np.int64), p.astype(np.int32), n.astype(np.int32), a.view(np.int64), s[:, 0], s[:, 1]))
             if parts:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts, strict=True)], ["d", "r", "p", "n", "a", "s"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts, strict=True)], ["d", "r", "p", "n", "a", "s", "s2"])
 
-    return keyed.mapInArrow(tidy(run), "d long, r int, p int, n int, a long, s long")
+    return keyed.mapInArrow(tidy(run), "d long, r long, p int, n int, a long, s long, s2 long")
 
 
-def _window_rows(keyed: DataFrame, bitmap: np.ndarray, window: int, gram: int) -> DataFrame:
-    """``(a, s, ws)``: the window hashes of every segment whose anchor is in the bitmap, each segment once a batch."""
-    shared = keyed.sparkSession.sparkContext.broadcast(bitmap)
+def _window_rows(keyed: DataFrame, documents: np.ndarray, anchors: np.ndarray, window: int, gram: int) -> DataFrame:
+    """``(a, s, s2, ws)``: the digests of the windows of segments whose anchor is in the one bitmap, in texts whose document is in the
+    other, each segment once a batch. Other texts are passed over unread."""
+    shared = keyed.sparkSession.sparkContext.broadcast((documents, anchors))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = shared.value
+        owners, bits = shared.value
         for b in batches:
-            found: dict[tuple[int, int], np.ndarray] = {}
-            for t in b.column("t").to_pylist():
-                h = _word_hashes(words_of(t))
-                p, n, a = segments(h, window, gram)
+            found: dict[tuple[int, int, int], np.ndarray] = {}
+            for t in b.filter(pa.array(_bit_set(owners, b.column("k").to_numpy().view(np.uint64)))).column("t").to_pylist():
+                words = words_of(t)
+                p, n, a = segments(_word_hashes(words), window, gram)
                 hit = np.flatnonzero(_bit_set(bits, a)) if len(p) else ()
                 if not len(hit):
                     continue
-                every = _rolling(h, window, _BASES[1]).view(np.int64)
-                for i, anchor, sig in zip(hit.tolist(), a[hit].view(np.int64).tolist(), _signatures(h, p[hit], n[hit], window).tolist(), strict=True):
-                    found[anchor, sig] = every[p[i] : p[i] + n[i]]
+                laid = _Words(words)
+                for i, anchor, (s, s2) in zip(hit.tolist(), a[hit].view(np.int64).tolist(), laid.digests(p[hit], n[hit] + window - 1).tolist(), strict=True):
+                    if (anchor, s, s2) not in found:
+                        found[anchor, s, s2] = laid.digests(np.arange(p[i], p[i] + n[i]), window)
             if found:
                 keys = np.array(list(found), np.int64)
                 ends = np.cumsum([0, *map(len, found.values())]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(list(found.values()))))], ["a", "s", "ws"])
+                flat = np.concatenate(list(found.values()))
+                pairs = pa.StructArray.from_arrays([pa.array(flat[:, 0].copy()), pa.array(flat[:, 1].copy())], ["w", "w2"])
+                yield pa.RecordBatch.from_arrays([*(pa.array(keys[:, k].copy()) for k in range(3)), pa.ListArray.from_arrays(pa.array(ends), pairs)], ["a", "s", "s2", "ws"])
 
-    return keyed.select("t").mapInArrow(tidy(run), "a long, s long, ws array<long>")
+    return keyed.select(F.xxhash64("d").alias("k"), "t").mapInArrow(tidy(run), "a long, s long, s2 long, ws array<struct<w: long, w2: long>>")
 
 
 def _bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
@@ -127,31 +147,43 @@ def _bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
     return (bitmap[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
 
 
-def _in_bitmap(rows: DataFrame, bitmap: np.ndarray) -> DataFrame:
-    """Rows whose anchor may be in the bitmap; a join with the anchors themselves must follow."""
+def _in_bitmap(rows: DataFrame, bitmap: np.ndarray, key: str = "a", there: bool = True) -> DataFrame:
+    """Rows whose key may be in the bitmap; a join with the keys themselves must follow. Or those whose key is not (``there=False``)."""
     shared = rows.sparkSession.sparkContext.broadcast(bitmap)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield b.filter(pa.array(_bit_set(shared.value, b.column("a").to_numpy().view(np.uint64))))
+            yield b.filter(pa.array(_bit_set(shared.value, b.column(key).to_numpy().view(np.uint64)) == there))
 
     return rows.mapInArrow(run, rows.schema)
 
 
-def _bitmap(anchors: DataFrame, bits: int) -> np.ndarray:
-    """A bit per anchor in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver, as Arrow columns."""
-    at = F.col("a").bitwiseAND(F.lit(bits - 1))
-    words = anchors.select(F.shiftright(at, 6).alias("w"), F.expr("shiftleft(1L, int(a & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
+def _bitmap(keys: DataFrame, bits: int, key: str = "a") -> np.ndarray:
+    """A bit per key in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver, as Arrow columns."""
+    at = F.col(key).bitwiseAND(F.lit(bits - 1))
+    words = keys.select(F.shiftright(at, 6).alias("w"), F.expr(f"shiftleft(1L, int({key} & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
     out = np.zeros(bits // 64, np.uint64)
     out[words.column("w").to_numpy()] = words.column("v").to_numpy().view(np.uint64)
     return out
 
 
+def _join_counted(left: DataFrame, right: DataFrame, keys: list[str], total: int) -> DataFrame:
+    """Inner join with ``right``, one row a key, whose ``c`` tells how many of ``total`` rows of the left have the key.
+
+    Keys with more than one in ``HOT_KEYS`` of the rows, so at most ``HOT_KEYS`` of them, are broadcast; a task of the other
+    join gets no more than that part of one key's rows.
+    """
+    hot = F.col("c") * HOT_KEYS > total
+    few, many = F.broadcast(right.where(hot)), right.where(~hot)
+    return left.join(few, keys).unionByName(left.join(few.select(*keys), keys, "left_anti").join(many, keys))
+
+
 @dataclass
 class WindowIndex:
     """Runs of segment rows in the shared folder. ``append`` takes batches in ascending order of document id.
 
-    ``corpus`` must give the texts of all documents that were appended: windows are verified against it.
+    ``corpus`` must give the texts of all documents that were appended: windows are verified against it. Rows with a null id are
+    not indexed and nothing in them is repeated.
     """
 
     spark: SparkSession
@@ -162,60 +194,103 @@ class WindowIndex:
     gram: int = GRAM
     fan_in: int = FAN_IN
     bitmap_bits: int = BITMAP_BITS
+    #: Buckets of every run, fixed for the life of an index (None: the partitions of the first corpus, 8 at least).
+    buckets: int | None = None
     runs: list[str] = field(default_factory=list)
+    compactions: int = 0
+
+    def __post_init__(self) -> None:
+        self.buckets = self.buckets or max(8, input_partitions(self.corpus))
 
     def _write_run(self, rows: DataFrame) -> str:
-        # Each file is sorted as it is scanned; dealing the rows out by anchor is left to the merge that needs it.
-        path = scratch_path(self.spark, "run")
-        rows.sortWithinPartitions("a").write.parquet(path)
-        return path
+        """An immutable run of ``(a, s, s2, d)``; rows come dealt by anchor, so each bucket is one sorted file."""
+        table = f"skewroute_run_{uuid.uuid4().hex}"
+        rows.write.format("parquet").bucketBy(self.buckets, "a").sortBy("a").option("path", scratch_path(self.spark, "run")).saveAsTable(table)
+        return table
+
+    def history(self) -> DataFrame | None:
+        """All runs side by side, still dealt by anchor."""
+        return None if not self.runs else self.spark.sql(" UNION ALL ".join(f"SELECT a, s, s2, d FROM {r}" for r in self.runs))
+
+    def _drop(self, tables: list[str]) -> None:
+        for t in tables:  # the catalogue's entry; files stay for readers that have begun
+            self.spark.sql(f"DROP TABLE IF EXISTS {t}")
 
     def compact(self) -> None:
-        """Merge all runs into one sorted run; readers of the old runs are not disturbed."""
+        """Merge all runs into one, bucket by bucket; of a segment the least document stays. Old files are not touched."""
         if len(self.runs) > 1:
-            self.runs = [self._write_run(self.spark.read.parquet(*self.runs))]
+            old = self.runs
+            self.runs = [self._write_run(self.history().groupBy("a", "s", "s2").agg(F.min("d").alias("d")))]
+            self._drop(old)
+            self.compactions += 1
+
+    def close(self) -> None:
+        """Forget the runs' tables."""
+        self._drop(self.runs)
+        self.runs = []
+
+    def _shared_anchors(self) -> DataFrame:
+        """``(a, c, several)`` of anchors that two documents have, with their number of rows, from the runs alone, the newest included: no exchange."""
+        merged = self.history().groupBy("a").agg(F.min("d").alias("dmin"), F.max("d").alias("dmax"), F.count("*").alias("c"), *(f(c).alias(f.__name__ + c) for f in (F.min, F.max) for c in ("s", "s2")))
+        return merged.where("dmax > dmin").selectExpr("a", "c", "mins < maxs OR mins2 < maxs2 AS several")
 
     def append(self, batch: DataFrame) -> DataFrame:
         """Index a batch and give its repeated windows: ``(d, r, p, n)``, ``n`` windows from word ``p`` on.
 
         A window is repeated if its words start in a document with a smaller id, of this batch or of an earlier one.
         """
-        own = self._write_run(segment_rows(_keyed(batch, self.id_col, self.text_col), self.window, self.gram))
-        new, seen = self.spark.read.parquet(own), self.spark.read.parquet(*self.runs, own)
-        self.runs.append(own)
-
-        # Anchors that two documents share, once for all rows; what follows is about those anchors' rows alone.
-        merged = seen.groupBy("a").agg(F.min("d").alias("dmin"), F.max("d").alias("dmax"), F.min("s").alias("smin"), F.max("s").alias("smax"))
-        anchors = materialize(merged.where("dmax > dmin").selectExpr("a", "smin < smax AS several"), "anchors")
-        bitmap = _bitmap(anchors, self.bitmap_bits)
-        common = _in_bitmap(seen.select("a", "s", "d"), bitmap).join(anchors, "a")
-        shared = materialize(common.groupBy("a", "s").agg(F.min("d").alias("d0"), F.first("several").alias("several")), "shared")
-        several = shared.where("several").select("a", "s", "d0")
-        hashed = _window_rows(_keyed(self.corpus, self.id_col, self.text_col), _bitmap(several.select("a"), self.bitmap_bits), self.window, self.gram)
-        arrays = materialize(several.join(hashed.groupBy("a", "s").agg(F.first("ws").alias("ws")), ["a", "s"]), "windows")
-        least = arrays.select("a", "d0", F.explode("ws").alias("w")).groupBy("a", "w").agg(F.min("d0").alias("m"), F.max("d0").alias("x")).where("m < x").select("a", "w", "m")
-        early = arrays.select("a", "s", "d0", F.posexplode("ws").alias("j", "w")).join(least, ["a", "w"]).where("m < d0").groupBy("a", "s").agg(F.collect_list("j").alias("js"))
-
-        mine = _in_bitmap(new, bitmap).join(shared, ["a", "s"])
-        whole = mine.where("d > d0").select("d", "r", "p", "n")
-        # Segments whose own signature starts here may still hold windows that smaller documents have elsewhere.
-        partial = mine.where("several AND d = d0").join(early, ["a", "s"]).select("d", "r", "p", F.explode("js").alias("j"))
-        found = whole.unionByName(partial.select("d", "r", (F.col("p") + F.col("j")).alias("p"), F.lit(1).alias("n")))
+        key = ["a", "s", "s2"]
+        own = materialize(segment_rows(_keyed(batch, self.id_col, self.text_col), self.window, self.gram), "segments")
+        # Copies meet map-side: what is dealt out is a row a distinct segment and task, and one more where documents differ.
+        ends = own.groupBy(*key).agg(F.min("d").alias("low"), F.max("d").alias("high"))
+        firsts = ends.select(*key, F.explode(F.array_distinct(F.array("low", "high"))).alias("d"))
+        self.runs.append(self._write_run(firsts.repartition(self.buckets, "a")))
+
+        # Anchors that two documents share, and of these the ones that the new batch has: the others were settled before.
+        anchors = materialize(self._shared_anchors(), "anchors")
+        mine = materialize(_in_bitmap(own, _bitmap(anchors, self.bitmap_bits)), "mine")
+        counted = materialize(mine.groupBy(*key).agg(F.count("*").alias("c")), "counted")
+        wanted = materialize(anchors.join(counted.select("a").distinct(), "a", "left_semi"), "wanted")
+        rows = wanted.agg(F.sum("c")).first()[0] or 0
+        common = _join_counted(_in_bitmap(self.history(), _bitmap(wanted, self.bitmap_bits)), wanted, ["a"], rows)
+        shared = common.groupBy(*key).agg(F.min("d").alias("d0"), F.first("several").alias("several"))
+        shared = materialize(shared.join(counted, key, "left").fillna(0, ["c"]), "shared")
+
+        early = self._early_windows(shared.where("several").select(*key, "d0"), key)
+        told = _join_counted(mine, shared, key, mine.count())
+        whole = told.where("d > d0").select("d", "r", "p", "n")
+        # Segments that start here may still hold windows that smaller documents have elsewhere.
+        partial = told.where("several AND d = d0").join(early, key).select("d", "r", "p", F.explode("js").alias("j"))
+        found = materialize(whole.unionByName(partial.select("d", "r", (F.col("p") + F.col("j")).alias("p"), F.lit(1).alias("n"))), "repeated")
         if len(self.runs) >= self.fan_in:
-            found = materialize(found, "repeated")
             self.compact()
         return found
 
+    def _early_windows(self, several: DataFrame, key: list[str]) -> DataFrame:
+        """``(a, s, s2, js)``: which windows of the segments ``(a, s, s2, d0)`` a smaller document has in another segment."""
+        texts = _keyed(self.corpus, self.id_col, self.text_col)
+        owners = _bitmap(several.select(F.xxhash64("d0").alias("k")), self.bitmap_bits, "k")
+        hashed = _window_rows(texts, owners, _bitmap(several, self.bitmap_bits), self.window, self.gram)
+        arrays = materialize(several.join(hashed.groupBy(*key).agg(F.first("ws").alias("ws")), key), "windows")
+        at = ["a", "w", "w2"]
+        each = arrays.select(*key, "d0", F.posexplode("ws").alias("j", "x")).select(*key, "d0", "j", "x.w", "x.w2")
+        held = materialize(each.groupBy(*at).agg(F.min("d0").alias("m"), F.max("d0").alias("top"), F.count("*").alias("c")).where("m < top").drop("top"), "least")
+        total = arrays.agg(F.sum(F.size("ws"))).first()[0] or 0
+        return _join_counted(each, held, at, total).where("m < d0").groupBy(*key).agg(F.collect_list("j").alias("js"))
+
 
-def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col: str, window: int, keep: list[str], digest: bool) -> DataFrame:
+def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col: str, window: int, keep: list[str], digest: bool, bitmap_bits: int = BITMAP_BITS) -> DataFrame:
     """Join the repeated windows to their documents and drop the words they cover.
 
     ``row`` holds the columns ``keep`` of the input, beside ``n_words``, ``n_removed`` and ``kept_sha256`` (digest) or the
-    kept words joined by a space as ``kept`` (null where nothing was removed).
+    kept words joined by a space as ``kept`` (null where nothing was removed). Only texts that may have such windows, by a
+    bitmap of their ids, are dealt out to meet them; the others are settled where they are scanned.
     """
-    spans = repeated.groupBy("d", "r").agg(F.collect_list(F.struct("p", "n")).alias("_spans"))
-    keyed = docs.select(F.struct(*keep).alias("row"), F.col(id_col).cast("long").alias("_d"), F.hash(text_col).alias("_r"), F.col(text_col).alias("_t"))
-    joined = keyed.join(spans.select(F.col("d").alias("_d"), F.col("r").alias("_r"), "_spans"), ["_d", "_r"], "left")
+    spans = materialize(repeated.groupBy("d", "r").agg(F.collect_set(F.struct("p", "n")).alias("_spans")), "spans")
+    bitmap = _bitmap(spans.select(F.xxhash64("d").alias("k")), bitmap_bits, "k")
+    keyed = docs.select(F.struct(*keep).alias("row"), F.col(id_col).cast("long").alias("_d"), F.xxhash64(text_col).alias("_r"), F.col(text_col).alias("_t"), F.xxhash64(F.col(id_col).cast("long")).alias("_k"))
+    touched = _in_bitmap(keyed, bitmap, "_k").join(spans.select(F.col("d").alias("_d"), F.col("r").alias("_r"), "_spans"), ["_d", "_r"], "left").select("row", "_t", "_spans")
+    clean = _in_bitmap(keyed, bitmap, "_k", there=False).withColumn("_spans", F.lit(None).cast(touched.schema["_spans"].dataType)).select("row", "_t", "_spans")
     last = "kept_sha256" if digest else "kept"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -240,11 +315,11 @@ def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col:
                     kept.append(b" ".join(words).decode("utf-8", "replace") if gone else None)
             yield pa.RecordBatch.from_arrays([b.column("row"), pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], ["row", "n_words", "n_removed", last])
 
-    schema = T.StructType([joined.schema["row"], T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField(last, T.StringType())])
-    return joined.select("row", "_t", "_spans").mapInArrow(tidy(run), schema)
+    schema = T.StructType([keyed.schema["row"], T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField(last, T.StringType())])
+    return clean.mapInArrow(tidy(run), schema).unionByName(touched.mapInArrow(tidy(run), schema))
 
 
-def repeated_windows(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def repeated_windows(docs: DataFrame, batches: int = BATCHES, window: int = WINDOW, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Feed a whole table to a fresh index in ``batches`` ascending id ranges; all repeated windows."""
     spark, key = docs.sparkSession, F.col(id_col).cast("long")
     cuts = docs.agg(F.percentile_approx(key, [(i + 1) / batches for i in range(batches - 1)], 1000)).first()[0] if batches > 1 else None
@@ -254,7 +329,8 @@ def repeated_windows(docs: DataFrame, batches: int = 2, window: int = WINDOW, gr
         index.corpus = docs if high is None else docs.where(key <= high)
         found = index.append(index.corpus if low is None else index.corpus.where(key > low))
         out = found if out is None else out.unionByName(found)
-    return materialize(out, "repeated")
+    index.close()
+    return out
 
 
 def op7_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
