@@ -24,7 +24,9 @@ MAX_REPEATS = 3
 SEED = 20_240_601
 #: Patterns that the flow takes; the table of patterns is then small enough to collect and to broadcast.
 PATTERN_LIMIT = 100_000
-_BUCKETS = 1 << 12
+_BITS = 12
+#: Rows of one bucket of the seeded order that a task ranks; a fuller bucket is cut by further bits first.
+BUCKET_ROWS = 4096
 
 
 def water_fill(sizes: list[int], weights: list[float], total: float, limit: float = MAX_REPEATS) -> list[float]:
@@ -44,44 +46,33 @@ def water_fill(sizes: list[int], weights: list[float], total: float, limit: floa
     return target
 
 
-def route(patterns: dict[tuple[int, ...], int], quotas: list[int], repeats: int = MAX_REPEATS) -> dict[tuple[tuple[int, ...], int], int]:
-    """Tokens that each pattern sends to each of its sources: a maximum flow of least cost.
-
-    The r-th repeat of a pattern's tokens costs r a token. A source that no overlapping pattern reaches takes what it can
-    of its own pattern; the others are settled by successive shortest paths with potentials.
-    """
-    sent: dict[tuple[tuple[int, ...], int], int] = {}
-    shared = {s for p in patterns if len(p) > 1 for s in p}
-    for p, size in patterns.items():
-        if len(p) == 1 and p[0] not in shared:
-            sent[p, p[0]] = min(quotas[p[0]], repeats * size)
-    mixed = [p for p in patterns if len(p) > 1 or p and p[0] in shared]
-    if not mixed:
-        return sent
-    # Nodes: 0 the supply, then patterns, then sources, then the sink. Arcs in pairs, an arc and its reverse.
-    source_at = {s: 1 + len(mixed) + k for k, s in enumerate(sorted(shared))}
-    sink = 1 + len(mixed) + len(shared)
-    arcs: list[list[int]] = []  # [to, room, cost]
-    out: list[list[int]] = [[] for _ in range(sink + 1)]
-
-    def arc(a: int, b: int, room: int, cost: int) -> int:
-        out[a].append(len(arcs))
-        arcs.append([b, room, cost])
-        out[b].append(len(arcs))
-        arcs.append([a, 0, -cost])
-        return len(arcs) - 2
-
-    carry = {}
-    for k, p in enumerate(mixed):
-        for r in range(repeats):
-            arc(0, 1 + k, patterns[p], r)
-        for s in p:
-            carry[p, s] = arc(1 + k, source_at[s], repeats * patterns[p], 0)
-    for s in shared:
-        arc(source_at[s], sink, quotas[s], 0)
-    price = [0] * (sink + 1)
-    while True:
-        far, via, heap = {0: 0}, {}, [(0, 0)]
+class Network:
+    """Supply, patterns, sources and sink of one component; arcs in pairs, an arc and its reverse."""
+
+    def __init__(self, patterns: dict[tuple[int, ...], int], quotas: dict[int, int], repeats: int):
+        self.arcs: list[list[int]] = []  # [to, room, cost]
+        source_at = {s: 1 + len(patterns) + k for k, s in enumerate(sorted(quotas))}
+        self.sink = 1 + len(patterns) + len(quotas)
+        self.out: list[list[int]] = [[] for _ in range(self.sink + 1)]
+        self.carry = {}
+        for k, (p, size) in enumerate(patterns.items()):
+            for r in range(repeats):  # the r-th repeat of a pattern's tokens costs r a token
+                self._arc(0, 1 + k, size, r)
+            for s in p:
+                self.carry[p, s] = self._arc(1 + k, source_at[s], repeats * size, 0)
+        for s, quota in quotas.items():
+            self._arc(source_at[s], self.sink, quota, 0)
+
+    def _arc(self, a: int, b: int, room: int, cost: int) -> int:
+        self.out[a].append(len(self.arcs))
+        self.arcs.append([b, room, cost])
+        self.out[b].append(len(self.arcs))
+        self.arcs.append([a, 0, -cost])
+        return len(self.arcs) - 2
+
+    def _prices(self, price: list[int]) -> bool:
+        """Lift the prices by the distances from the supply; whether the sink can still be reached."""
+        arcs, out, far, heap = self.arcs, self.out, {0: 0}, [(0, 0)]
         while heap:
             d, a = heapq.heappop(heap)
             if d > far[a]:
@@ -89,21 +80,82 @@ def route(patterns: dict[tuple[int, ...], int], quotas: list[int], repeats: int
             for e in out[a]:
                 b, room, cost = arcs[e]
                 if room and (n := d + cost + price[a] - price[b]) < far.get(b, n + 1):
-                    far[b], via[b] = n, e
+                    far[b] = n
                     heapq.heappush(heap, (n, b))
-        if sink not in far:
-            break
         most = max(far.values())
-        price = [x + far.get(i, most) for i, x in enumerate(price)]
-        path, at = [], sink
-        while at:
-            path.append(via[at])
-            at = arcs[via[at] ^ 1][0]
-        flow = min(arcs[e][1] for e in path)
-        for e in path:
-            arcs[e][1] -= flow
-            arcs[e ^ 1][1] += flow
-    return sent | {key: arcs[e ^ 1][1] for key, e in carry.items() if arcs[e ^ 1][1]}
+        for i in range(len(price)):
+            price[i] += far.get(i, most)
+        return self.sink in far
+
+    def _levels(self, price: list[int]) -> list[int]:
+        level, todo = [-1] * len(price), [0]
+        level[0] = 0
+        for a in todo:
+            for e in self.out[a]:
+                b, room, cost = self.arcs[e]
+                if room and level[b] < 0 and cost + price[a] == price[b]:
+                    level[b] = level[a] + 1
+                    todo.append(b)
+        return level
+
+    def _push(self, price: list[int], level: list[int]) -> None:
+        """A blocking flow over arcs without reduced cost that go one level up."""
+        arcs, out, sink, turn, path, a = self.arcs, self.out, self.sink, [0] * len(price), [], 0
+        while True:
+            if a == sink:
+                flow = min(arcs[e][1] for e in path)
+                for e in path:
+                    arcs[e][1] -= flow
+                    arcs[e ^ 1][1] += flow
+                path, a = [], 0
+            while turn[a] < len(out[a]):
+                e = out[a][turn[a]]
+                b, room, cost = arcs[e]
+                if room and level[b] == level[a] + 1 and cost + price[a] == price[b]:
+                    path.append(e)
+                    a = b
+                    break
+                turn[a] += 1
+            else:
+                if not path:
+                    return
+                a = arcs[path.pop() ^ 1][0]
+                turn[a] += 1
+
+    def solve(self) -> dict[tuple[tuple[int, ...], int], int]:
+        """Maximum flow of least cost, by phases of equal path cost; there are few, as repeats are."""
+        price = [0] * (self.sink + 1)
+        while self._prices(price):
+            while (level := self._levels(price))[self.sink] >= 0:
+                self._push(price, level)
+        return {key: self.arcs[e ^ 1][1] for key, e in self.carry.items() if self.arcs[e ^ 1][1]}
+
+
+def components(patterns: dict[tuple[int, ...], int]) -> list[dict[tuple[int, ...], int]]:
+    """Patterns that sources tie together; what one takes is nothing to another."""
+    root: dict[int, int] = {}
+
+    def find(s: int) -> int:
+        while root.setdefault(s, s) != s:
+            root[s] = s = root[root[s]]
+        return s
+
+    for p in patterns:
+        for s in p:
+            root[find(s)] = find(p[0])
+    out: dict[int, dict] = defaultdict(dict)
+    for p, size in patterns.items():
+        if p:
+            out[find(p[0])][p] = size
+    return list(out.values())
+
+
+def route(patterns: dict[tuple[int, ...], int], quotas: list[int], repeats: int = MAX_REPEATS) -> dict[tuple[tuple[int, ...], int], int]:
+    """Tokens that each pattern sends to each of its sources: a maximum flow of least cost, one network a component."""
+    sent: dict[tuple[tuple[int, ...], int], int] = {}
+    for part in components(patterns):
+        sent |= Network(part, {s: quotas[s] for p in part for s in p}, repeats).solve()
+    return sent
 
 
 def word_count(text: Column) -> Column:
@@ -117,12 +169,13 @@ def seeded(doc_id: Column, text: Column, seed: int) -> Column:
 
 @dataclass
 class MixPlan:
-    """What decides a row, per pattern, as a small table: full repeats, stretches of the seeded order, exceptions."""
+    """What decides a row, per pattern, as a small table: full repeats, stretches of the seeded order, exceptions; and the size of the network."""
 
     table: DataFrame
     sources: list[str | None]
     targets: list[float]
     sent: dict[tuple[tuple[int, ...], int], int]
+    arcs: int = 0
 
 
 def _order(h: str = "h", i: str = "i") -> Column:
@@ -164,7 +217,8 @@ def plan(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, repeats: int = M
     for s, p in key.items():
         alone, k = len(p) == 1, number[p]
         out.append((list(s), whole[p], cuts[k], toggles[k], targets[p[0]] if alone else None, within[p[0]] if alone else None))
-    return MixPlan(spark.createDataFrame(out, final), names, targets, sent)
+    arcs = sum(repeats + len(p) for p in patterns if p) + len(names)
+    return MixPlan(spark.createDataFrame(out, final), names, targets, sent, arcs)
 
 
 _LOW, _HIGH = -(1 << 63), (1 << 63) - 1
@@ -187,35 +241,49 @@ def _cuts(known: DataFrame, extra: dict[int, int], rounds: int = 4) -> tuple[dic
     """Which rows of each pattern make up ``extra`` tokens: stretches of the seeded order, and rows that mend the rest.
 
     A stretch takes rows in order while they fit; the row that does not fit is left out, and the next stretch goes
-    on behind it with rows that fit what is left. Sums run over hash buckets first, then inside one bucket a pattern.
+    on behind it with rows that fit what is left. Sums run over buckets of the order's leading bits; the one in which the tokens run out is
+    cut by more bits until it holds ``BUCKET_ROWS`` places at most, and only then ranked. Rows at one place go together.
+    After ``rounds`` stretches a pattern may still lack less than its least row left behind; ``_toggles`` goes on from there.
     """
     spark = known.sparkSession
     cuts: dict[int, list[tuple]] = {p: [] for p in extra}
     gap, low = dict(extra), {p: (_LOW, _LOW) for p in extra}
-    bucket = F.shiftrightunsigned("h", 64 - 12).bitwiseXOR(F.lit(_BUCKETS // 2))  # ascending as signed h
     for _ in range(rounds):
         todo = [(p, gap[p], *low[p]) for p in extra if gap[p] > 0 and low[p] != (_HIGH, _HIGH)]
         if not todo:
             break
         marks = spark.createDataFrame(todo, "pattern long, gap long, low_h long, low_i long")
-        fits = known.join(F.broadcast(marks), "pattern").where((F.col("size") <= F.col("gap")) & (_order() > _order("low_h", "low_i"))).withColumn("b", bucket)
-        sums = fits.groupBy("pattern", "b").agg(F.sum("size").alias("n"), F.first("gap").alias("gap"))
-        upto = sums.selectExpr("pattern", "b", "gap", "n", "sum(n) OVER (PARTITION BY pattern ORDER BY b) AS upto").groupBy("pattern").agg(F.min(F.when(F.col("upto") > F.col("gap"), F.struct("b", (F.col("upto") - F.col("n")).alias("before")))).alias("edge"), F.max("upto").alias("all"))
-        edges = {r["pattern"]: (r["edge"], r["all"]) for r in upto.collect()}
-        split = [(p, e["b"], e["before"]) for p, (e, _) in edges.items() if e is not None]
-        inside: dict[int, tuple] = {}
-        if split:
-            within = fits.join(F.broadcast(spark.createDataFrame(split, "pattern long, eb long, before long")), "pattern").where("b = eb")
-            ranked = within.selectExpr("pattern", "h", "i", "gap", "before + sum(size) OVER (PARTITION BY pattern ORDER BY h, i) AS upto").where("upto <= gap")
-            inside = {r["pattern"]: tuple(r["x"]) for r in ranked.groupBy("pattern").agg(F.max(F.struct("h", "i", "upto")).alias("x")).collect()}
+        fits = known.join(F.broadcast(marks), "pattern").where((F.col("size") <= F.col("gap")) & (_order() > _order("low_h", "low_i"))).select("pattern", "gap", "size", "h", "i", F.lit(0).cast("long").alias("before"))
+        edge: dict[int, tuple[int, int, int]] = {}  # pattern: bits, bucket, tokens before it
+        totals, bits, rows = {}, 0, fits
+        while True:
+            bits += _BITS
+            bucket = F.shiftrightunsigned(F.col("h").bitwiseXOR(F.lit(_LOW)), 64 - bits)  # ascending as signed h
+            sums = rows.groupBy("pattern", "gap", "before", bucket.alias("b")).agg(F.sum("size").alias("n"), F.count("*").alias("c"))
+            upto = sums.selectExpr("*", "before + sum(n) OVER (PARTITION BY pattern ORDER BY b) AS upto").groupBy("pattern").agg(F.min(F.when(F.col("upto") > F.col("gap"), F.struct("b", (F.col("upto") - F.col("n")).alias("before"), "c"))).alias("edge"), F.max("upto").alias("all"))
+            found = {r["pattern"]: (r["edge"], r["all"]) for r in upto.collect()}
+            totals = totals or {p: total for p, (_, total) in found.items()}
+            split = [(p, e["b"], e["before"]) for p, (e, _) in found.items() if e is not None]
+            edge |= {p: (bits, b, before) for p, b, before in split}
+            if not split:
+                break
+            inside = F.broadcast(spark.createDataFrame(split, "pattern long, eb long, eb_before long"))
+            rows = fits.join(inside, "pattern").where(bucket == F.col("eb")).select("pattern", "gap", "size", "h", "i", F.col("eb_before").alias("before"))
+            if bits >= 60 or max(e["c"] for e, _ in found.values() if e is not None) <= BUCKET_ROWS:
+                break
+        last: dict[int, tuple] = {}
+        if edge:
+            places = rows.groupBy("pattern", "gap", "before", "h", "i").agg(F.sum("size").alias("n"))
+            ranked = places.selectExpr("pattern", "h", "i", "gap", "before + sum(n) OVER (PARTITION BY pattern ORDER BY h, i) AS upto").where("upto <= gap")
+            last = {r["pattern"]: tuple(r["x"]) for r in ranked.groupBy("pattern").agg(F.max(F.struct("h", "i", "upto")).alias("x")).collect()}
         for p, room, *start in todo:
-            edge, total = edges.get(p, (None, 0))
-            if edge is None:  # all that fit are taken
-                stop, used = (_HIGH, _HIGH), total
-            elif p in inside:
-                *stop, used = inside[p]
+            if p not in edge:  # all that fit are taken
+                stop, used = (_HIGH, _HIGH), totals.get(p, 0)
+            elif p in last:
+                *stop, used = last[p]
             else:
-                stop, used = (max((edge["b"] << 52) + _LOW - 1, _LOW), _HIGH), edge["before"]
+                width, b, used = edge[p]
+                stop = (max((b << 64 - width) + _LOW - 1, _LOW), _HIGH)
             cuts[p].append((room, *start, *stop))
             gap[p], low[p] = room - used, tuple(stop)
     return cuts, _toggles(known, gap, cuts, extra)
