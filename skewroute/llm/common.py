@@ -6,15 +6,21 @@ import ctypes
 import functools
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from skewroute.sources.scratch import materialize, scratch_path
 
-__all__ = ["WORD_PATTERN", "input_partitions", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
+__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "in_bitmap", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
 
 #: A word is a maximal run of characters other than space and U+0009..U+000D, so ``bytes.split()`` finds exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
+#: Size of the bitmaps of hashed keys that scans are sent; more keys cost more false hits, nothing else.
+BITMAP_BITS = 1 << 26
+#: A key with more than one in so many of all rows is joined by broadcast: there are at most so many such keys.
+HOT_KEYS = 4096
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -53,3 +59,39 @@ def tidy(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
         release_memory()
 
     return wrapped
+
+
+def bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
+    at = a & np.uint64(64 * len(bitmap) - 1)
+    return (bitmap[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
+
+
+def in_bitmap(rows: DataFrame, bitmap: np.ndarray, key: str = "a", there: bool = True) -> DataFrame:
+    """Rows whose key may be in the bitmap; a join with the keys themselves must follow. Or those whose key is not (``there=False``)."""
+    shared = rows.sparkSession.sparkContext.broadcast(bitmap)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield b.filter(pa.array(bit_set(shared.value, b.column(key).to_numpy().view(np.uint64)) == there))
+
+    return rows.mapInArrow(run, rows.schema)
+
+
+def bitmap_of(keys: DataFrame, bits: int = BITMAP_BITS, key: str = "a") -> np.ndarray:
+    """A bit per key in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver, as Arrow columns."""
+    at = F.col(key).bitwiseAND(F.lit(bits - 1))
+    words = keys.select(F.shiftright(at, 6).alias("w"), F.expr(f"shiftleft(1L, int({key} & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
+    out = np.zeros(bits // 64, np.uint64)
+    out[words.column("w").to_numpy()] = words.column("v").to_numpy().view(np.uint64)
+    return out
+
+
+def join_counted(left: DataFrame, right: DataFrame, keys: list[str], total: int) -> DataFrame:
+    """Inner join with ``right``, one row a key, whose ``c`` tells how many of ``total`` rows of the left have the key.
+
+    Keys with more than one in ``HOT_KEYS`` of the rows, so at most ``HOT_KEYS`` of them, are broadcast; a task of the other
+    join gets no more than that part of one key's rows.
+    """
+    hot = F.col("c") * HOT_KEYS > total
+    few, many = F.broadcast(right.where(hot)), right.where(~hot)
+    return left.join(few, keys).unionByName(left.join(few.select(*keys), keys, "left_anti").join(many, keys))

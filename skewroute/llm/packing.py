@@ -10,6 +10,7 @@ third of the pieces share is spread over all shards.
 from __future__ import annotations
 
 import functools
+import json
 import sys
 import zlib
 from array import array
@@ -17,6 +18,7 @@ from bisect import bisect_left
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +32,9 @@ from skewroute.llm.common import input_partitions, materialize, read_table, tidy
 CAPACITY = 4096
 END_ID = 1
 TOKENIZER = "word_bpe_49k.json"
-_MEMO_WORDS = 600_000
+#: Bytes of words, pieces and ids that a worker remembers, with what Python adds to each; beyond it starts anew.
+_MEMO_BYTES = 96 << 20
+_ENTRY_BYTES = 250
 
 
 @dataclass(frozen=True)
@@ -125,7 +129,10 @@ def _slots(plan: list[tuple[int, tuple[tuple[int, int], ...]]]) -> dict[int, tup
 
 
 # Fixed values of the tokenizer: its pieces, and the printable stand-ins of bytes that byte-level BPE works on.
-_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+_SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+_PIECES = regex.compile(_SPLIT)
+_NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]}
+_PRE_TOKENIZER = {"type": "Sequence", "pretokenizers": [{"type": "Split", "pattern": {"Regex": _SPLIT}, "behavior": "Removed", "invert": True}, {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False}]}
 _PLAIN = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
 _STAND_IN = {b: chr(b) for b in _PLAIN} | {b: chr(0x100 + i) for i, b in enumerate(b for b in range(256) if b not in set(_PLAIN))}
 
@@ -144,9 +151,20 @@ def _tokenizer(path: str):
     return Tokenizer.from_file(path)
 
 
+@functools.cache
+def _splits_as_here(path: str) -> bool:
+    """Whether a tokenizer prepares and splits text as ``WordTokens`` does; one that does not is given whole texts."""
+    told = json.loads(Path(path).read_text(encoding="utf-8"))
+    special = all("<|" in t["content"] for t in told.get("added_tokens", []))
+    return special and told.get("normalizer") == _NORMALIZER and told.get("pre_tokenizer") == _PRE_TOKENIZER and told["model"].get("type") == "BPE"
+
+
 class WordTokens:
     """Ids of whole texts through a bounded memo of words; exact because the tokenizer never joins over white space.
 
+    That holds for tokenizers that split as the fixed values above say (``_splits_as_here``); with any other one, every text
+    goes through the whole tokenizer.
+
     A new word of Latin letters is split into the tokenizer's pieces here and each new piece goes to its BPE model; any
     other word, and one that may hold a special token, goes through the whole tokenizer.
     """
@@ -154,13 +172,16 @@ class WordTokens:
     def __init__(self, path: str):
         self.tokenizer = _tokenizer(path)
         self.model = self.tokenizer.model
+        self.plain = _splits_as_here(path)
         self.memo: dict[bytes, bytes] = {}
         self.pieces: dict[str, bytes] = {}
+        self.held = 0
         self.byte_map = str.maketrans({chr(b): c for b, c in _STAND_IN.items()})
 
     def _piece(self, piece: str) -> bytes:
         tokens = self.model.tokenize(piece.encode().decode("latin-1").translate(self.byte_map))
         self.pieces[piece] = out = _little(array("I", [t.id for t in tokens]))
+        self.held += 4 * len(piece) + _ENTRY_BYTES
         return out
 
     def _whole(self, text: str) -> bytes:
@@ -168,15 +189,15 @@ class WordTokens:
 
     def learn(self, words: set[bytes]) -> None:
         new = words.difference(self.memo)
-        if len(self.memo) + len(new) > _MEMO_WORDS:
+        if self.held > _MEMO_BYTES:
             self.memo.clear()
-            new = words
-        if len(self.pieces) > _MEMO_WORDS:
             self.pieces.clear()
+            self.held, new = 0, words
         if not new:
             return
         # Words hold no line feed, so all new ones are decoded and lower-cased in one go.
         joined = b"\n".join(new).decode("utf-8", "replace")
+        self.held += 2 * len(joined) + _ENTRY_BYTES * len(new)
         memo, known, piece = self.memo, self.pieces.get, self._piece
         for word, text, low in zip(new, joined.split("\n"), joined.lower().split("\n"), strict=True):
             if "<|" in text or not text.isascii() and max(text) >= "\u0250":
@@ -191,6 +212,9 @@ class WordTokens:
 
     def ids(self, texts: list[str]) -> Iterator[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
+        if not self.plain:
+            yield from (self._whole(t) for t in texts)
+            return
         step = 256
         for i in range(0, len(texts), step):
             split = [words_of(t) for t in texts[i : i + step]]

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.llm.common import materialize, read_table, tidy
+from skewroute.llm.common import bitmap_of, in_bitmap, materialize, read_table, tidy
 from skewroute.llm.components import connected_components
 
 SEED = 42
@@ -31,8 +31,8 @@ DISTANCE = 3
 #: Fingerprints of a slice; more where there would be over ``MAX_SLICES`` of them, so that their nodes are of bounded size.
 SLICE = 4096
 MAX_SLICES = 1 << 16
-LEAF = 16
-FAN = 16
+LEAF = 4
+FAN = 8
 #: Pairs of nodes or leaves that are looked at in one go; bounds memory only.
 _MEET = 1 << 12
 _STEP = 1 << 14
@@ -402,12 +402,19 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _least_of(docs: DataFrame, rooted: DataFrame) -> DataFrame:
-    """One row of each root of ``rooted(doc_id, k, r, root)``: that with the smallest id (null ids last). Whole repeats of it are kept once."""
+    """One row of each root of ``rooted(doc_id, k, r, root)``: that with the smallest id (null ids last). Whole repeats of it are kept once.
+
+    Texts that stay and are there once pass where they are scanned; only rows that a bitmap of the others' keys points out are dealt out.
+    """
     order = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "k", "r")
-    keep = rooted.groupBy("root").agg(F.min(order).alias("x")).select(F.col("x.k").alias("__k"), F.col("x.r").alias("__r"))
+    keep = rooted.groupBy("root").agg(F.min(order).alias("x")).select(F.col("x.k").alias("k"), F.col("x.r").alias("r")).distinct()
+    keep = materialize(keep, "keep")
+    rows = rooted.groupBy("k", "r").agg(F.count("*").alias("c")).join(keep.withColumn("stays", F.lit(True)), ["k", "r"], "left")
+    unsure = bitmap_of(rows.where("c > 1 OR stays IS NULL").select(F.xxhash64("k", "r").alias("a")))
     k, r = _row_key("doc_id", "text")
-    keyed = docs.select(F.struct(*docs.columns).alias("row"), k.alias("__k"), r.alias("__r"))
-    kept = keyed.join(keep.distinct(), ["__k", "__r"], "left_semi").dropDuplicates(["__k", "__r"])
+    keyed = docs.select(F.struct(*docs.columns).alias("row"), k.alias("__k"), r.alias("__r")).withColumn("__a", F.xxhash64("__k", "__r"))
+    met = in_bitmap(keyed, unsure, "__a").join(keep.select(F.col("k").alias("__k"), F.col("r").alias("__r")), ["__k", "__r"], "left_semi").dropDuplicates(["__k", "__r"])
+    kept = in_bitmap(keyed, unsure, "__a", there=False).select("row").unionByName(met.select("row"))
     return kept.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
 
 

@@ -24,17 +24,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import input_partitions, materialize, read_table, scratch_path, tidy, words_of
+from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, in_bitmap, input_partitions, join_counted, materialize, read_table, scratch_path, tidy, words_of
 
 WINDOW = 50
 GRAM = 25
 FAN_IN = 4
 #: Batches that a whole table is fed in: more than ``FAN_IN``, so that runs are compacted on the way.
 BATCHES = 6
-#: Size of the bitmaps that scans are sent; more anchors or documents cost more false hits, nothing else.
-BITMAP_BITS = 1 << 26
-#: A key with more than one in so many of all rows is joined by broadcast: there are at most so many such keys.
-HOT_KEYS = 4096
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -122,10 +118,10 @@ def _window_rows(keyed: DataFrame, documents: np.ndarray, anchors: np.ndarray, w
         owners, bits = shared.value
         for b in batches:
             found: dict[tuple[int, int, int], np.ndarray] = {}
-            for t in b.filter(pa.array(_bit_set(owners, b.column("k").to_numpy().view(np.uint64)))).column("t").to_pylist():
+            for t in b.filter(pa.array(bit_set(owners, b.column("k").to_numpy().view(np.uint64)))).column("t").to_pylist():
                 words = words_of(t)
                 p, n, a = segments(_word_hashes(words), window, gram)
-                hit = np.flatnonzero(_bit_set(bits, a)) if len(p) else ()
+                hit = np.flatnonzero(bit_set(bits, a)) if len(p) else ()
                 if not len(hit):
                     continue
                 laid = _Words(words)
@@ -142,42 +138,6 @@ def _window_rows(keyed: DataFrame, documents: np.ndarray, anchors: np.ndarray, w
     return keyed.select(F.xxhash64("d").alias("k"), "t").mapInArrow(tidy(run), "a long, s long, s2 long, ws array<struct<w: long, w2: long>>")
 
 
-def _bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
-    at = a & np.uint64(64 * len(bitmap) - 1)
-    return (bitmap[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
-
-
-def _in_bitmap(rows: DataFrame, bitmap: np.ndarray, key: str = "a", there: bool = True) -> DataFrame:
-    """Rows whose key may be in the bitmap; a join with the keys themselves must follow. Or those whose key is not (``there=False``)."""
-    shared = rows.sparkSession.sparkContext.broadcast(bitmap)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            yield b.filter(pa.array(_bit_set(shared.value, b.column(key).to_numpy().view(np.uint64)) == there))
-
-    return rows.mapInArrow(run, rows.schema)
-
-
-def _bitmap(keys: DataFrame, bits: int, key: str = "a") -> np.ndarray:
-    """A bit per key in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver, as Arrow columns."""
-    at = F.col(key).bitwiseAND(F.lit(bits - 1))
-    words = keys.select(F.shiftright(at, 6).alias("w"), F.expr(f"shiftleft(1L, int({key} & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
-    out = np.zeros(bits // 64, np.uint64)
-    out[words.column("w").to_numpy()] = words.column("v").to_numpy().view(np.uint64)
-    return out
-
-
-def _join_counted(left: DataFrame, right: DataFrame, keys: list[str], total: int) -> DataFrame:
-    """Inner join with ``right``, one row a key, whose ``c`` tells how many of ``total`` rows of the left have the key.
-
-    Keys with more than one in ``HOT_KEYS`` of the rows, so at most ``HOT_KEYS`` of them, are broadcast; a task of the other
-    join gets no more than that part of one key's rows.
-    """
-    hot = F.col("c") * HOT_KEYS > total
-    few, many = F.broadcast(right.where(hot)), right.where(~hot)
-    return left.join(few, keys).unionByName(left.join(few.select(*keys), keys, "left_anti").join(many, keys))
-
-
 @dataclass
 class WindowIndex:
     """Runs of segment rows in the shared folder. ``append`` takes batches in ascending order of document id.
@@ -248,16 +208,16 @@ class WindowIndex:
 
         # Anchors that two documents share, and of these the ones that the new batch has: the others were settled before.
         anchors = materialize(self._shared_anchors(), "anchors")
-        mine = materialize(_in_bitmap(own, _bitmap(anchors, self.bitmap_bits)), "mine")
+        mine = materialize(in_bitmap(own, bitmap_of(anchors, self.bitmap_bits)), "mine")
         counted = materialize(mine.groupBy(*key).agg(F.count("*").alias("c")), "counted")
         wanted = materialize(anchors.join(counted.select("a").distinct(), "a", "left_semi"), "wanted")
         rows = wanted.agg(F.sum("c")).first()[0] or 0
-        common = _join_counted(_in_bitmap(self.history(), _bitmap(wanted, self.bitmap_bits)), wanted, ["a"], rows)
+        common = join_counted(in_bitmap(self.history(), bitmap_of(wanted, self.bitmap_bits)), wanted, ["a"], rows)
         shared = common.groupBy(*key).agg(F.min("d").alias("d0"), F.first("several").alias("several"))
         shared = materialize(shared.join(counted, key, "left").fillna(0, ["c"]), "shared")
 
         early = self._early_windows(shared.where("several").select(*key, "d0"), key)
-        told = _join_counted(mine, shared, key, mine.count())
+        told = join_counted(mine, shared, key, mine.count())
         whole = told.where("d > d0").select("d", "r", "p", "n")
         # Segments that start here may still hold windows that smaller documents have elsewhere.
         partial = told.where("several AND d = d0").join(early, key).select("d", "r", "p", F.explode("js").alias("j"))
@@ -269,14 +229,14 @@ class WindowIndex:
     def _early_windows(self, several: DataFrame, key: list[str]) -> DataFrame:
         """``(a, s, s2, js)``: which windows of the segments ``(a, s, s2, d0)`` a smaller document has in another segment."""
         texts = _keyed(self.corpus, self.id_col, self.text_col)
-        owners = _bitmap(several.select(F.xxhash64("d0").alias("k")), self.bitmap_bits, "k")
-        hashed = _window_rows(texts, owners, _bitmap(several, self.bitmap_bits), self.window, self.gram)
+        owners = bitmap_of(several.select(F.xxhash64("d0").alias("k")), self.bitmap_bits, "k")
+        hashed = _window_rows(texts, owners, bitmap_of(several, self.bitmap_bits), self.window, self.gram)
         arrays = materialize(several.join(hashed.groupBy(*key).agg(F.first("ws").alias("ws")), key), "windows")
         at = ["a", "w", "w2"]
         each = arrays.select(*key, "d0", F.posexplode("ws").alias("j", "x")).select(*key, "d0", "j", "x.w", "x.w2")
         held = materialize(each.groupBy(*at).agg(F.min("d0").alias("m"), F.max("d0").alias("top"), F.count("*").alias("c")).where("m < top").drop("top"), "least")
         total = arrays.agg(F.sum(F.size("ws"))).first()[0] or 0
-        return _join_counted(each, held, at, total).where("m < d0").groupBy(*key).agg(F.collect_list("j").alias("js"))
+        return join_counted(each, held, at, total).where("m < d0").groupBy(*key).agg(F.collect_list("j").alias("js"))
 
 
 def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col: str, window: int, keep: list[str], digest: bool, bitmap_bits: int = BITMAP_BITS) -> DataFrame:
@@ -287,10 +247,10 @@ def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col:
     bitmap of their ids, are dealt out to meet them; the others are settled where they are scanned.
     """
     spans = materialize(repeated.groupBy("d", "r").agg(F.collect_set(F.struct("p", "n")).alias("_spans")), "spans")
-    bitmap = _bitmap(spans.select(F.xxhash64("d").alias("k")), bitmap_bits, "k")
+    bitmap = bitmap_of(spans.select(F.xxhash64("d").alias("k")), bitmap_bits, "k")
     keyed = docs.select(F.struct(*keep).alias("row"), F.col(id_col).cast("long").alias("_d"), F.xxhash64(text_col).alias("_r"), F.col(text_col).alias("_t"), F.xxhash64(F.col(id_col).cast("long")).alias("_k"))
-    touched = _in_bitmap(keyed, bitmap, "_k").join(spans.select(F.col("d").alias("_d"), F.col("r").alias("_r"), "_spans"), ["_d", "_r"], "left").select("row", "_t", "_spans")
-    clean = _in_bitmap(keyed, bitmap, "_k", there=False).withColumn("_spans", F.lit(None).cast(touched.schema["_spans"].dataType)).select("row", "_t", "_spans")
+    touched = in_bitmap(keyed, bitmap, "_k").join(spans.select(F.col("d").alias("_d"), F.col("r").alias("_r"), "_spans"), ["_d", "_r"], "left").select("row", "_t", "_spans")
+    clean = in_bitmap(keyed, bitmap, "_k", there=False).withColumn("_spans", F.lit(None).cast(touched.schema["_spans"].dataType)).select("row", "_t", "_spans")
     last = "kept_sha256" if digest else "kept"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -1,12 +1,14 @@
 """Telephony audio columns: G.711 mu-law and A-law by lookup tables, IMA ADPCM blocks by numpy across blocks, PCM.
 
 Samples live in WAVE containers (format 7 mu-law, 6 A-law, 17 IMA ADPCM, 1 PCM). Companded bytes are kept as they are, so a
-mu-law or A-law payload is stored without loss; PCM is what decoding and resampling give.
+mu-law or A-law payload is stored without loss; PCM is what decoding and resampling give. Both are written as columns of Zstandard
+Parquet and read back before anything is told about them.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 import struct
 import zlib
 from collections.abc import Iterator
@@ -17,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import read_table, tidy
+from skewroute.llm.common import read_table, scratch_path, tidy
 
 PCM, ALAW, MULAW, IMA = 1, 6, 7, 17
 RATE = 8000
@@ -148,6 +150,29 @@ def resample(pcm: np.ndarray, rate: int, to: int) -> np.ndarray:
     return ((2 * (x[i] * (to - part) + nxt * part) + to) // (2 * to)).astype(np.int16)
 
 
+def band_limited(pcm: np.ndarray, rate: int, to: int, half: int = 16) -> np.ndarray:
+    """Resampling by a windowed sinc of ``half`` zero crossings a side, cut off at the lower of the two Nyquist rates.
+
+    One row of 15-bit coefficients for each of the positions that outputs take between two inputs; sums are integers.
+    """
+    if rate == to or not len(pcm):
+        return pcm
+    common = math.gcd(rate, to)
+    up, down, cut = to // common, rate // common, min(1.0, to / rate)
+    reach = math.ceil(half / cut)
+    offset = np.arange(1 - reach, reach + 1)
+    away = offset[None, :] - np.arange(up)[:, None] / up
+    weight = np.sinc(away * cut) * np.where(np.abs(away) <= reach, 0.5 + 0.5 * np.cos(np.pi * away / reach), 0)
+    taps = np.rint(weight / weight.sum(axis=1, keepdims=True) * 32768).astype(np.int64)
+    n = -(-len(pcm) * up // down)
+    out, x = np.empty(n, np.int16), np.pad(pcm.astype(np.int64), reach, mode="edge")
+    for lo in range(0, n, 1 << 14):
+        at = np.arange(lo, min(n, lo + (1 << 14)), dtype=np.int64) * down
+        sums = (x[(at // up)[:, None] + offset[None, :] + reach] * taps[at % up]).sum(axis=1)
+        out[lo : lo + len(at)] = np.clip((sums + 16384) >> 15, -32768, 32767)
+    return out
+
+
 def pcm_features(pcm: np.ndarray, rate: int) -> str:
     """Duration, level, peak, zero crossings and the loudest frame, in integers so that they never differ by platform."""
     x = pcm.astype(np.int64)
@@ -162,46 +187,109 @@ def pad(text: str | None, unit: int = FRAME) -> tuple[int, bytes]:
     return len(raw), raw + b"\xff" * (max(unit, -(-len(raw) // unit) * unit) - len(raw))
 
 
-def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", law: int = MULAW, rate: int = RATE) -> DataFrame:
-    """``(doc_id, n_bytes, media)``: texts as companded samples in a WAVE file; null and empty texts are one frame."""
+#: Bytes of media that a Python worker holds at a time.
+_STEP_BYTES = 8 << 20
+_ZSTD = {"compression": "zstd", "parquet.compression.codec.zstd.level": "12", "parquet.page.size": str(8 << 20)}
+
+
+def _law(payload: bytes) -> int:
+    """Which of the two laws a payload goes under where none is named: by its own bits, so that equal texts agree."""
+    return ALAW if zlib.crc32(payload) & 1 else MULAW
+
+
+def _slices(b: pa.RecordBatch, column: str, limit: int = _STEP_BYTES) -> Iterator[pa.RecordBatch]:
+    """A batch in parts of at most ``limit`` bytes of a column (one row at least)."""
+    sizes = np.array([0 if not v.is_valid else v.as_buffer().size for v in b.column(column)], np.int64)
+    at = np.cumsum(sizes) // limit
+    cuts = [0, *(np.flatnonzero(at[1:] != at[:-1]) + 1).tolist(), b.num_rows]
+    yield from (b.slice(lo, hi - lo) for lo, hi in zip(cuts, cuts[1:], strict=False) if hi > lo)
+
+
+def written(media: DataFrame, name: str) -> DataFrame:
+    """Store media columns and read them back."""
+    path = scratch_path(media.sparkSession, name)
+    media.write.options(**_ZSTD).parquet(path)
+    return media.sparkSession.read.schema(media.schema).parquet(path)
+
+
+def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", law: int | None = None, rate: int = RATE) -> DataFrame:
+    """``(doc_id, n_bytes, media)``: texts as companded samples in a WAVE file; null and empty texts are one frame.
+
+    ``law``: mu-law, A-law, or None for either of them by the payload.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             padded = [pad(t) for t in b.column("t").to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column("i"), pa.array([n for n, _ in padded], pa.int64()), pa.array([wave(p, law, rate) for _, p in padded], pa.binary())], ["doc_id", "n_bytes", "media"])
+            yield pa.RecordBatch.from_arrays([b.column("i"), pa.array([n for n, _ in padded], pa.int64()), pa.array([wave(p, law or _law(p), rate) for _, p in padded], pa.binary())], ["doc_id", "n_bytes", "media"])
 
     return docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), "doc_id long, n_bytes long, media binary")
 
 
-def resampled(media: DataFrame, to: int, media_col: str = "media") -> DataFrame:
-    """Add ``pcm``: a 16-bit PCM WAVE file at ``to`` Hz of each stored file (null: null)."""
+def resampled(media: DataFrame, to: int, media_col: str = "media", sinc: bool = False) -> DataFrame:
+    """Add ``pcm``: a 16-bit PCM WAVE file at ``to`` Hz of each stored file (null: null), by lines or (``sinc``) band-limited."""
+    change = band_limited if sinc else resample
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (part for whole in batches for part in _slices(whole, media_col)):
             out = []
             for f in b.column(media_col).to_pylist():
                 rate, pcm = decode(f) if f is not None else (to, None)
-                out.append(None if pcm is None else wave(resample(pcm, rate, to).astype("<i2").tobytes(), PCM, to, 16, 2))
+                out.append(None if pcm is None else wave(change(pcm, rate, to).astype("<i2").tobytes(), PCM, to, 16, 2))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.binary())], [*b.schema.names, "pcm"])
 
-    return media.mapInArrow(run, T.StructType([*media.schema.fields, T.StructField("pcm", T.BinaryType())]))
+    return media.mapInArrow(tidy(run), T.StructType([*media.schema.fields, T.StructField("pcm", T.BinaryType())]))
 
 
-def read_back(media: DataFrame, to: int = 2 * RATE) -> DataFrame:
-    """Digests of the payload as decoded from the stored bytes, of the stored bytes, and features of the resampled PCM."""
+_TOLD = ["payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256"]
+
+
+def described(media: DataFrame) -> DataFrame:
+    """Digests of the payload as read from stored files, and of the files, in place of ``media`` (null: null); other columns stay."""
+    kinds, rest = (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string()), [c for c in media.columns if c != "media"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (part for whole in batches for part in _slices(whole, "media")):
             rows = []
             for f in b.column("media").to_pylist():
-                form, rate, _, data = unwave(f)
-                pcm = resample(expand(data, form), rate, to)
-                rows.append((len(data), hashlib.sha256(data).hexdigest(), zlib.crc32(data[-32:]), len(f), hashlib.sha256(f).hexdigest(), pcm_features(pcm, to)))
-            kinds = (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string())
-            columns = zip(*rows, strict=True) if rows else [()] * 6
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("n_bytes"), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"])
-
-    return media.mapInArrow(run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+                data = None if f is None else unwave(f)[3]
+                rows.append((None,) * 5 if f is None else (len(data), hashlib.sha256(data).hexdigest(), zlib.crc32(data[-32:]), len(f), hashlib.sha256(f).hexdigest()))
+            columns = zip(*rows, strict=True) if rows else [()] * 5
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in rest), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], [*rest, *_TOLD])
+
+    kept = T.StructType([f for f in media.schema.fields if f.name != "media"])
+    return media.mapInArrow(tidy(run), T.StructType([*kept.fields, *T._parse_datatype_string("payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string").fields]))
+
+
+def featured(pcm: DataFrame) -> DataFrame:
+    """``feature`` of stored PCM files, in place of ``pcm`` (null: null); other columns stay."""
+    rest = [c for c in pcm.columns if c != "pcm"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in (part for whole in batches for part in _slices(whole, "pcm")):
+            found = []
+            for f in b.column("pcm").to_pylist():
+                rate, x = decode(f) if f is not None else (0, None)
+                found.append(None if x is None else pcm_features(x, rate))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in rest), pa.array(found, pa.string())], [*rest, "feature"])
+
+    kept = [f for f in pcm.schema.fields if f.name != "pcm"]
+    return pcm.mapInArrow(tidy(run), T.StructType([*kept, T.StructField("feature", T.StringType())]))
+
+
+def read_back(media: DataFrame, to: int = 2 * RATE) -> DataFrame:
+    """Store ``(doc_id, n_bytes, media)``, tell what the stored bytes hold, store the PCM they give at ``to`` Hz, and describe that.
+
+    Rows without media have nulls for all that is told of it.
+    """
+    held = written(media, "media")
+    pcm = written(described_with_pcm(held, to), "pcm")
+    return featured(pcm).select("doc_id", "n_bytes", *_TOLD, "feature")
+
+
+def described_with_pcm(media: DataFrame, to: int) -> DataFrame:
+    """Stored media once read: digests and resampled PCM side by side."""
+    return described(resampled(media, to))
 
 
 def op9_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:

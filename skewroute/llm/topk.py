@@ -12,11 +12,11 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from skewroute.llm.common import materialize, read_table
+from skewroute.llm.common import materialize, read_table, scratch_path
 
 K = 5
 SCALE = 256
@@ -33,14 +33,16 @@ def quantized(df: DataFrame, id_col: str, vec_col: str, scale: int) -> DataFrame
     return df.where(F.col(id_col).isNotNull() & whole).select(F.col(id_col).cast("long").alias("id"), F.transform(x, lambda c: F.floor(F.lit(scale) * c.cast("double"))).alias("v"))
 
 
-def _matrix(vectors: list, dims: int) -> np.ndarray:
-    """Rows as one int64 matrix; shorter vectors count as zero beyond their end."""
-    lengths = np.fromiter((len(v) for v in vectors), np.int64, len(vectors))
-    if len(vectors) and (lengths == dims).all():
-        return np.array(vectors, np.int64)
+def _matrix(vectors: pa.Array, dims: int) -> np.ndarray:
+    """Rows of an Arrow list column as one int64 matrix; shorter vectors count as zero beyond their end, longer ones end at ``dims``."""
+    vectors = vectors.combine_chunks() if isinstance(vectors, pa.ChunkedArray) else vectors
+    ends, flat = vectors.offsets.to_numpy(), vectors.values.to_numpy()
+    lengths = np.diff(ends)
+    if (lengths == dims).all():
+        return flat[ends[0] : ends[-1]].reshape(len(vectors), dims)
     out = np.zeros((len(vectors), dims), np.int64)
-    for row, v in zip(out, vectors, strict=True):
-        row[: len(v)] = v
+    for row, lo, n in zip(out, ends.tolist(), np.minimum(lengths, dims).tolist(), strict=False):
+        row[:n] = flat[lo : lo + n]
     return out
 
 
@@ -95,38 +97,49 @@ def exact_top_k(rows: DataFrame, queries: DataFrame, k: int = K, id_col: str = "
     """``(query_id, rank, vec_id, score)``: the k highest integer inner products of each query, ties to smaller ids.
 
     Rows with a null id take no part; a row with the query's own id is no candidate of it. Repeated ids: each row is
-    a candidate, and equal queries are answered once. Vectors of differing length count as zero beyond their end. An
-    empty table gives an empty table. Other columns are not read.
+    a candidate, and of the query rows with one id the least vector asks. Vectors of differing length count as zero
+    beyond their end. An empty table gives an empty table. Other columns are not read.
+
+    One block of queries at a time is broadcast; its answers are written before the next one goes out, so that neither the
+    plan nor what is held grows with the number of queries.
     """
     spark = rows.sparkSession
     base = quantized(rows, id_col, vec_col, scale)
-    asked = materialize(quantized(queries, id_col, vec_col, scale).dropDuplicates(["id"]), "queries")
+    asked = materialize(quantized(queries, id_col, vec_col, scale).groupBy("id").agg(F.min("v").alias("v")), "queries")
     count, dims = asked.agg(F.count("*"), F.max(F.size("v"))).first()
     if not count:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     rounds = -(-count * max(dims, 1) * 8 // query_bytes)
-    out = None
-    for r in range(rounds):
-        block = asked.where(F.pmod(F.xxhash64("id"), F.lit(rounds)) == r).toPandas()
-        ids = block["id"].to_numpy(np.int64)
-        shared = spark.sparkContext.broadcast((ids, _matrix(block["v"].tolist(), dims)))
-
-        def run(batches: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:
-            search = BlockSearch(*shared.value, k, dim_block)
-            for b in batches:
-                cand, vectors = b["id"].to_numpy(np.int64), b["v"].tolist()
-                for i in range(0, len(cand), row_block):
-                    search.add(cand[i : i + row_block], _matrix([v[:dims] for v in vectors[i : i + row_block]], dims))
-            parts = [pd.DataFrame({"query_id": q, "vec_id": i, "score": s}) for q, (s, i) in zip(search.ids, search.best, strict=True) if len(i)]
-            if parts:
-                yield pd.concat(parts)
-
-        found = base.mapInPandas(run, "query_id long, vec_id long, score long")
-        out = found if out is None else out.unionByName(found)
+    found = [_answers(spark, base, asked.where(F.pmod(F.xxhash64("id"), F.lit(rounds)) == r), dims, k, dim_block, row_block) for r in range(rounds)]
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    out = spark.read.schema(_FOUND).parquet(*found)
     return out.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
+_FOUND = "query_id long, vec_id long, score long"
+
+
+def _answers(spark: SparkSession, base: DataFrame, block: DataFrame, dims: int, k: int, dim_block: int, row_block: int) -> str:
+    """Where the best k of each partition for one block of queries have been written."""
+    held = block.toArrow()
+    shared = spark.sparkContext.broadcast((held.column("id").to_numpy(), _matrix(held.column("v"), dims)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        search = BlockSearch(*shared.value, k, dim_block)
+        for b in batches:
+            for i in range(0, b.num_rows, row_block):
+                part = b.slice(i, row_block)
+                search.add(part.column("id").to_numpy(), _matrix(part.column("v"), dims))
+        for q, (score, i) in zip(search.ids.tolist(), search.best, strict=True):
+            if len(i):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(i), q)), pa.array(i), pa.array(score)], ["query_id", "vec_id", "score"])
+
+    path = scratch_path(spark, "answers")
+    base.mapInArrow(run, _FOUND).write.parquet(path)
+    shared.destroy()
+    return path
+
+
 def op10_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     return exact_top_k(rows, rows.where("vec_id % 50 = 0"))

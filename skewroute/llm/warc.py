@@ -9,6 +9,7 @@ can hold them; ``export_files`` makes files on a shared mount and ``read_files``
 from __future__ import annotations
 
 import base64
+import hashlib
 import io
 import struct
 import uuid
@@ -41,7 +42,7 @@ def record(page_id: int, url: str | None, payload: bytes, digest: str, refers_to
     head = [
         "WARC/1.1",
         f"WARC-Type: {'response' if refers_to is None else 'revisit'}",
-        f"WARC-Record-ID: <{_URN}{page_id}>",
+        f"WARC-Record-ID: <{f'{_URN}{page_id}' if page_id is not None else uuid.uuid4().urn}>",
         f"WARC-Date: {date}",
         f"WARC-Target-URI: {quote(url, safe=':/?#[]@!$&()*+,;=%~') if url is not None else 'about:blank'}",
         f"WARC-Payload-Digest: sha1:{digest}",
@@ -177,12 +178,22 @@ def write_archives(pages: DataFrame, least_bytes: int = 0, level: int = 3, archi
 
 
 def _describe(headers: dict[str, str], block: bytes) -> tuple:
-    """The page id, payload length, digest, type and target of one record, and its payload (null in a revisit)."""
+    """The page id, payload length, digest, type and target of one record, and its payload (null in a revisit).
+
+    Length and digest of a response are those of the payload that was read; a record whose headers say otherwise is damaged. A
+    revisit holds no payload: what its headers say is ``check_revisits``' to compare with the response.
+    """
     head, _, body = block.partition(b"\r\n\r\n")
     length = next(int(line.partition(b":")[2]) for line in head.split(b"\r\n") if line.lower().startswith(b"content-length:"))
-    page, target = (headers.get(h, "").strip("<>").removeprefix(_URN) for h in ("warc-record-id", "warc-refers-to"))
-    kind = headers["warc-type"]
-    return None if page in ("", "None") else int(page), length, headers["warc-payload-digest"].partition(":")[2], kind, int(target) if target else None, body if kind == "response" else None
+    page, target = (headers.get(h, "").strip("<>") for h in ("warc-record-id", "warc-refers-to"))
+    kind, digest = headers["warc-type"], headers["warc-payload-digest"].partition(":")[2]
+    if kind == "response":
+        found = base64.b32encode(hashlib.sha1(body).digest()).decode()
+        if found != digest or len(body) != length:
+            raise ValueError(f"the payload of {page} is not what its record says")
+        length, digest = len(body), found
+    own = int(page.removeprefix(_URN)) if page.startswith(_URN) else None
+    return own, length, digest, kind, int(target.removeprefix(_URN)) if target else None, body if kind == "response" else None
 
 
 _ROW = ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "payload"]
@@ -246,8 +257,22 @@ def read_files(spark: SparkSession, path: str) -> DataFrame:
     return files.select("content").mapInArrow(run, _SCHEMA)
 
 
+def check_revisits(records: DataFrame) -> None:
+    """Fail where a revisit's length and digest are not those of a payload that was read from the record it refers to.
+
+    What is compared is a row for each page that has revisits, found by an aggregate, whatever their number.
+    """
+    what = ["payload_digest", "payload_bytes"]
+    asked = records.where("record_type = 'revisit'").select(F.col("refers_to").alias("page_id"), *what).distinct()
+    lost = asked.join(records.where("record_type = 'response'").select("page_id", *what), ["page_id", *what], "left_anti").count()
+    if lost:
+        raise ValueError(f"{lost} payloads that revisits refer to are not in the archives")
+
+
 def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return read_archives(write_archives(read_table(spark, sf_dir, "pages"))).drop("payload")
+    records = materialize(read_archives(write_archives(read_table(spark, sf_dir, "pages"))).drop("payload"), "records")
+    check_revisits(records)
+    return records
 
 
 ORACLE = """
