@@ -8,7 +8,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from skewroute.sources.scratch import materialize, scratch_path
@@ -86,12 +86,13 @@ def bitmap_of(keys: DataFrame, bits: int = BITMAP_BITS, key: str = "a") -> np.nd
     return out
 
 
-def join_counted(left: DataFrame, right: DataFrame, keys: list[str], total: int) -> DataFrame:
+def join_counted(left: DataFrame, right: DataFrame, keys: list[str], total: int, small: Column | None = None) -> DataFrame:
     """Inner join with ``right``, one row a key, whose ``c`` tells how many of ``total`` rows of the left have the key.
 
-    Keys with more than one in ``HOT_KEYS`` of the rows, so at most ``HOT_KEYS`` of them, are broadcast; a task of the other
-    join gets no more than that part of one key's rows.
+    Keys with more than one in ``HOT_KEYS`` of the rows, so at most ``HOT_KEYS`` of them, are broadcast, those alone whose row is ``small``
+    where rows are not narrow anyway; a task of the other join gets no more than that part of one key's rows.
     """
     hot = F.col("c") * HOT_KEYS > total
+    hot = hot if small is None else hot & small
     few, many = F.broadcast(right.where(hot)), right.where(~hot)
     return left.join(few, keys).unionByName(left.join(few.select(*keys), keys, "left_anti").join(many, keys))

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.llm.common import bitmap_of, in_bitmap, materialize, read_table, tidy
+from skewroute.llm.common import bit_set, bitmap_of, in_bitmap, join_counted, materialize, read_table, tidy
 from skewroute.llm.components import connected_components
 
 SEED = 42
@@ -95,67 +95,117 @@ def bands(grams: np.ndarray) -> np.ndarray:
     return np.fromiter((xxhash.xxh64_intdigest(r.tobytes(), k) for k, r in enumerate(rows)), np.uint64, BANDS)
 
 
+def _set_hash(grams: np.ndarray) -> int:
+    return int(np.int64(np.uint64(xxhash.xxh64_intdigest(grams.tobytes(), SEED))))
+
+
 def _signatures(docs: DataFrame) -> DataFrame:
-    """``(doc_id, k, r, fp, n, bands)``: also a hash of the shingle set and its bands, null for texts without words."""
+    """``(doc_id, k, r, fp, n, m, bands)``: also a hash of the shingle set, its size and its bands, null for texts without words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = b.column("t").to_pylist()
             fp = np.fromiter((fingerprint(t) for t in texts), np.uint64, b.num_rows)
             sets = [shingle_set(t) for t in texts]
-            n = pa.array([int(np.int64(np.uint64(xxhash.xxh64_intdigest(s.tobytes(), SEED)))) if len(s) else None for s in sets], pa.int64())
+            n, m = pa.array([_set_hash(s) if len(s) else None for s in sets], pa.int64()), pa.array([len(s) or None for s in sets], pa.int32())
             band = pa.array([bands(s).view(np.int64) if len(s) else None for s in sets], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "k", "r")), pa.array(fp.view(np.int64)), n, band], ["doc_id", "k", "r", "fp", "n", "bands"])
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "k", "r")), pa.array(fp.view(np.int64)), n, m, band], ["doc_id", "k", "r", "fp", "n", "m", "bands"])
 
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *_row_key("doc_id", "text"), F.col("text").alias("t"))
-    return source.mapInArrow(tidy(run), "doc_id long, k long, r long, fp long, n long, bands array<long>")
+    return source.mapInArrow(tidy(run), "doc_id long, k long, r long, fp long, n long, m int, bands array<long>")
+
+
+def _sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """``(n, grams)`` of the shingle sets ``wanted(n, k, r)``, each from one row that has it; other texts are passed over."""
+    rows = bitmap_of(wanted.select(F.xxhash64("k", "r").alias("a")))
+    shared = docs.sparkSession.sparkContext.broadcast(rows)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            seen: dict[int, np.ndarray] = {}
+            for t in b.filter(pa.array(bit_set(shared.value, b.column("a").to_numpy().view(np.uint64)))).column("t").to_pylist():
+                if len(grams := shingle_set(t)):
+                    seen.setdefault(_set_hash(grams), grams)
+            if seen:
+                ends = np.cumsum([0, *map(len, seen.values())]).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(list(seen.values())).view(np.int64)))], ["n", "grams"])
+
+    k, r = _row_key("doc_id", "text")
+    found = docs.select(F.xxhash64(k, r).alias("a"), F.col("text").alias("t")).mapInArrow(tidy(run), "n long, grams array<long>")
+    return materialize(found.join(wanted.select("n"), "n", "left_semi").dropDuplicates(["n"]), "sets")
 
 
 def _similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """Those of the pairs ``(u, v)`` whose ``sets(n, grams)`` reach the similarity."""
+    """Those of the pairs ``(u, v)`` whose ``sets(n, grams)`` reach the similarity. ``u`` may be in many pairs, ``v`` in few."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            hit = []
-            for x, y in zip(b.column("x"), b.column("y"), strict=True):
-                x, y = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
-                low, high = sorted((len(x), len(y)))
-                both = len(np.intersect1d(x, y, assume_unique=True)) if low * JACCARD[1] >= high * JACCARD[0] else 0
-                hit.append(both * JACCARD[1] >= (low + high - both) * JACCARD[0])
+            (xs, x_at), (ys, y_at) = ((c.values.to_numpy().view(np.uint64), c.offsets.to_numpy()) for c in (b.column("x"), b.column("y")))
+            hit = np.zeros(b.num_rows, bool)
+            for i in range(b.num_rows):
+                x, y = xs[x_at[i] : x_at[i + 1]], ys[y_at[i] : y_at[i + 1]]
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                hit[i] = both * JACCARD[1] >= (len(x) + len(y) - both) * JACCARD[0]
             yield pa.RecordBatch.from_arrays([b.column("u"), b.column("v")], ["u", "v"]).filter(pa.array(hit, pa.bool_()))
 
-    held = pairs.join(sets.select(F.col("n").alias("u"), F.col("grams").alias("x")), "u").join(sets.select(F.col("n").alias("v"), F.col("grams").alias("y")), "v")
-    return held.select("u", "v", "x", "y").mapInArrow(tidy(run), "u long, v long")
+    pairs = materialize(pairs, "pairs")
+    many = pairs.groupBy("u").agg(F.count("*").alias("c"))
+    left = sets.select(F.col("n").alias("u"), F.col("grams").alias("x")).join(many, "u")
+    half = pairs.join(sets.select(F.col("n").alias("v"), F.col("grams").alias("y")), "v")
+    held = join_counted(half, left, ["u"], pairs.count(), F.size("x") <= 2048)
+    return materialize(held.select("u", "v", "x", "y").mapInArrow(tidy(run), "u long, v long"), "near")
+
+
+def _fits(low, high):
+    """Whether sets of these sizes can be similar at all."""
+    return low * JACCARD[1] >= high * JACCARD[0]
 
 
 def _set_classes(docs: DataFrame, prints: DataFrame) -> DataFrame:
-    """``(node, root)`` of the shingle sets that links connect: every pair with a band in common is settled.
+    """``(node, root)`` of the shingle sets that links connect: every pair with a band in common is settled, most without being met.
 
-    In each bucket all sets are first held against the least one; then, where a bucket still has sets of several
-    components, all of its pairs across components. So a large group of near copies never meets itself in full.
+    In each bucket all sets are first held against its hub, the set that meets most others over all bands: near copies of one text meet
+    that text. What is left are buckets with sets of several components. There a shingle counts for a set only if a set of
+    another component has it too: with ``s`` such shingles at most ``s`` can be in common, which rules out most sets by themselves, and most
+    pairs by their sizes. Pairs that no bound rules out are compared.
     """
-    nodes = prints.where("n IS NOT NULL").groupBy("n").agg(F.first("bands").alias("bands"), F.min(F.struct("k", "r")).alias("x"))
-    routed = nodes.select("n", F.explode("bands").alias("b"))
-    shared = routed.join(routed.groupBy("b").agg(F.min("n").alias("hub"), F.count("*").alias("m")).where("m > 1"), "b")
-    shared = materialize(shared.select("b", "n", "hub"), "buckets")
+    nodes = materialize(prints.where("n IS NOT NULL").groupBy("n").agg(F.first("m").alias("m"), F.first("bands").alias("bands"), F.min(F.struct("k", "r")).alias("x")), "nodes")
+    routed = nodes.select("n", "m", F.explode("bands").alias("b"))
+    sizes = materialize(routed.groupBy("b").agg(F.count("*").alias("c")).where("c > 1"), "sizes")
+    shared = materialize(join_counted(routed, sizes, ["b"], nodes.count() * BANDS), "buckets")
+    total = shared.count()
+    popular = shared.groupBy("n").agg(F.sum("c").alias("pop"))
+    hubs = shared.join(popular, "n").groupBy("b").agg(F.max(F.struct("pop", "n", "m")).alias("h"), F.first("c").alias("c")).select("b", "c", F.col("h.n").alias("hub"), F.col("h.m").alias("hub_m"))
+    met = join_counted(shared.drop("c"), materialize(hubs, "hubs"), ["b"], total)
+    first = met.where((F.col("n") != F.col("hub")) & _fits(F.least("m", "hub_m"), F.greatest("m", "hub_m"))).select(F.col("hub").alias("u"), F.col("n").alias("v")).distinct()
     wanted = nodes.join(shared.select("n").distinct(), "n", "left_semi").select("n", F.col("x.k").alias("k"), F.col("x.r").alias("r"))
+    sets = _sets_of(docs, wanted)
+    near = _similar(first, sets)
+    roots = materialize(connected_components(near), "roots")
+    told = materialize(shared.drop("c").join(roots.withColumnRenamed("node", "n"), "n", "left").select("b", "n", "m", F.coalesce("root", "n").alias("root")), "told")
+    return connected_components(near.unionByName(_similar(_across(_open(told), sets), sets)))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column("n"), pa.array([shingle_set(t).tobytes() for t in b.column("t").to_pylist()], pa.binary())], ["n", "grams"])
 
-    texts = docs.select(*_row_key("doc_id", "text"), F.col("text").alias("t")).join(wanted, ["k", "r"]).select("n", "t")
-    sets = materialize(texts.mapInArrow(tidy(run), "n long, grams binary").dropDuplicates(["n"]), "sets")
-    near = materialize(_similar(shared.where("n <> hub").select(F.col("hub").alias("u"), F.col("n").alias("v")).distinct(), sets), "near")
-    roots = materialize(connected_components(near), "roots")
-    told = shared.join(roots.withColumnRenamed("node", "n"), "n", "left").select("b", "n", F.coalesce("root", "n").alias("root"))
-    open_ = told.groupBy("b").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("b")
-    rest = materialize(told.join(open_, "b"), "open")
-    pairs = rest.select("b", F.col("n").alias("u"), F.col("root").alias("ru")).join(rest.select("b", F.col("n").alias("v"), F.col("root").alias("rv")), "b")
-    # The buckets' least sets have been held against the others already.
-    tried = shared.select(F.col("hub").alias("u"), F.col("n").alias("v")).distinct()
-    across = pairs.where("u < v AND ru <> rv").select("u", "v").distinct().join(tried, ["u", "v"], "left_anti")
-    return connected_components(near.unionByName(_similar(across, sets)))
+def _open(told: DataFrame) -> DataFrame:
+    """Rows ``(b, n, m, root, ...)`` of buckets with several components."""
+    several = told.groupBy("b").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("c")).where("lo <> hi").select("b", "c")
+    several = materialize(several, "several")
+    return materialize(join_counted(told, several, ["b"], several.agg(F.sum("c")).first()[0] or 0).drop("c"), "open")
+
+
+def _across(rest: DataFrame, sets: DataFrame) -> DataFrame:
+    """Pairs ``(u, v)`` of different components that share a bucket and that no bound rules out."""
+    each = rest.select("n", "root").distinct().join(sets, "n").select("n", "root", F.explode("grams").alias("g"))
+    each = materialize(each, "grams")
+    contested = materialize(each.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("c")).where("lo <> hi").select("g", "c"), "contested")
+    held = join_counted(each.select("n", "g"), contested, ["g"], each.count()).groupBy("n").agg(F.count("*").cast("int").alias("s"))
+    # A set is out if even all of another one lay within what it may share; and out of a bucket if the least set there is too large for it.
+    left = rest.join(held, "n").where(_fits(F.col("s"), F.col("m")))
+    least = materialize(left.groupBy("b").agg(F.min("m").alias("lm"), F.count("*").alias("c")), "least")
+    left = materialize(join_counted(materialize(left, "left"), least, ["b"], rest.count()).where(_fits(F.col("s"), F.col("m") + F.col("lm") - F.col("s"))).drop("lm", "c"), "left")
+    a, b = (_open(left).select("b", *(F.col(c).alias(c + t) for c in ("n", "m", "s", "root"))) for t in "xy")
+    s = F.least("sx", "sy")
+    return a.join(b, "b").where((F.col("nx") < F.col("ny")) & (F.col("rootx") != F.col("rooty")) & _fits(s, F.col("mx") + F.col("my") - s)).select(F.col("nx").alias("u"), F.col("ny").alias("v")).distinct()
 
 
 def _row_key(id_col: str, text_col: str) -> tuple:
@@ -427,7 +477,7 @@ def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each component, of links as op4 has them and links by sets of five-word shingles."""
     prints = materialize(_signatures(docs), "prints")
-    rooted = prints.drop("bands").join(_classes(prints, DISTANCE, SLICE), "fp")
+    rooted = prints.drop("bands", "m").join(_classes(prints, DISTANCE, SLICE), "fp")
     sets = _set_classes(docs, prints).select(F.col("node").alias("n"), F.col("root").alias("set_root"))
     rooted = materialize(rooted.join(sets, "n", "left").select("doc_id", "k", "r", "root", F.coalesce("set_root", "n").alias("c")), "rooted")
     least = rooted.where("c IS NOT NULL").groupBy("c").agg(F.min("root").alias("u"), F.max("root").alias("top")).where("u <> top").select("c", "u")
