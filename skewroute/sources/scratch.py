@@ -44,4 +44,19 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write and read back: routed rows that several measures use are routed once."""
     path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._scratch_path = path
+    return out
+
+
+def delete_path(spark: SparkSession, path: str) -> None:
+    """Delete a folder of any file system that Spark writes to."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete materialised tables that nothing will read again."""
+    for t in tables:
+        if path := getattr(t, "_scratch_path", None):
+            delete_path(t.sparkSession, path)
