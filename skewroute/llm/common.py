@@ -8,12 +8,13 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.sources.scratch import materialize, scratch_path
+from skewroute.sources.scratch import delete_path, discard, materialize, scratch_path
 
-__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "in_bitmap", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
+__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "in_bitmap", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
 
 #: A word is a maximal run of characters other than space and U+0009..U+000D, so ``bytes.split()`` finds exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -66,24 +67,26 @@ def bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
     return (bitmap[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
 
 
-def in_bitmap(rows: DataFrame, bitmap: np.ndarray, key: str = "a", there: bool = True) -> DataFrame:
+def in_bitmap(rows: DataFrame, bitmap: Broadcast, key: str = "a", there: bool = True) -> DataFrame:
     """Rows whose key may be in the bitmap; a join with the keys themselves must follow. Or those whose key is not (``there=False``)."""
-    shared = rows.sparkSession.sparkContext.broadcast(bitmap)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield b.filter(pa.array(bit_set(shared.value, b.column(key).to_numpy().view(np.uint64)) == there))
+            yield b.filter(pa.array(bit_set(bitmap.value, b.column(key).to_numpy().view(np.uint64)) == there))
 
     return rows.mapInArrow(run, rows.schema)
 
 
-def bitmap_of(keys: DataFrame, bits: int = BITMAP_BITS, key: str = "a") -> np.ndarray:
-    """A bit per key in ``bits`` bits (a power of two). At most ``bits / 64`` rows reach the driver, as Arrow columns."""
+def bitmap_of(keys: DataFrame, limit: int = BITMAP_BITS, key: str = "a") -> Broadcast:
+    """A bit per key, sent out: 16 bits or more a key up to ``limit`` bits in all (a power of two). At most ``limit / 64`` rows reach the driver, as
+    Arrow columns. Destroy it once what reads it has been written."""
+    spark, n = keys.sparkSession, keys.count()
+    bits = min(limit, 1 << max(6, (16 * n).bit_length()))
     at = F.col(key).bitwiseAND(F.lit(bits - 1))
     words = keys.select(F.shiftright(at, 6).alias("w"), F.expr(f"shiftleft(1L, int({key} & 63))").alias("v")).groupBy("w").agg(F.bit_or("v").alias("v")).toArrow()
     out = np.zeros(bits // 64, np.uint64)
     out[words.column("w").to_numpy()] = words.column("v").to_numpy().view(np.uint64)
-    return out
+    return spark.sparkContext.broadcast(out)
 
 
 def join_counted(left: DataFrame, right: DataFrame, keys: list[str], total: int, small: Column | None = None) -> DataFrame:

@@ -117,8 +117,7 @@ def _signatures(docs: DataFrame) -> DataFrame:
 
 def _sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     """``(n, grams)`` of the shingle sets ``wanted(n, k, r)``, each from one row that has it; other texts are passed over."""
-    rows = bitmap_of(wanted.select(F.xxhash64("k", "r").alias("a")))
-    shared = docs.sparkSession.sparkContext.broadcast(rows)
+    shared = bitmap_of(wanted.select(F.xxhash64("k", "r").alias("a")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:

@@ -20,11 +20,12 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, in_bitmap, input_partitions, join_counted, materialize, read_table, scratch_path, tidy, words_of
+from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, delete_path, discard, in_bitmap, input_partitions, join_counted, materialize, read_table, scratch_path, tidy, words_of
 
 WINDOW = 50
 GRAM = 25
@@ -109,13 +110,12 @@ def segment_rows(keyed: DataFrame, window: int, gram: int) -> DataFrame:
     return keyed.mapInArrow(tidy(run), "d long, r long, p int, n int, a long, s long, s2 long")
 
 
-def _window_rows(keyed: DataFrame, documents: np.ndarray, anchors: np.ndarray, window: int, gram: int) -> DataFrame:
+def _window_rows(keyed: DataFrame, documents: Broadcast, anchors: Broadcast, window: int, gram: int) -> DataFrame:
     """``(a, s, s2, ws)``: the digests of the windows of segments whose anchor is in the one bitmap, in texts whose document is in the
     other, each segment once a batch. Other texts are passed over unread."""
-    shared = keyed.sparkSession.sparkContext.broadcast((documents, anchors))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        owners, bits = shared.value
+        owners, bits = documents.value, anchors.value
         for b in batches:
             found: dict[tuple[int, int, int], np.ndarray] = {}
             for t in b.filter(pa.array(bit_set(owners, b.column("k").to_numpy().view(np.uint64)))).column("t").to_pylist():
@@ -138,6 +138,17 @@ def _window_rows(keyed: DataFrame, documents: np.ndarray, anchors: np.ndarray, w
     return keyed.select(F.xxhash64("d").alias("k"), "t").mapInArrow(tidy(run), "a long, s long, s2 long, ws array<struct<w: long, w2: long>>")
 
 
+def _combined(own: DataFrame) -> DataFrame:
+    """``(a, s, s2, low, high)``: distinct segments of each batch of rows, with the least and the last document."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            each = pa.Table.from_batches([b]).group_by(["a", "s", "s2"]).aggregate([("d", "min"), ("d", "max")])
+            yield from each.select(["a", "s", "s2", "d_min", "d_max"]).rename_columns(["a", "s", "s2", "low", "high"]).to_batches()
+
+    return own.select("a", "s", "s2", "d").mapInArrow(run, "a long, s long, s2 long, low long, high long")
+
+
 @dataclass
 class WindowIndex:
     """Runs of segment rows in the shared folder. ``append`` takes batches in ascending order of document id.
@@ -157,6 +168,7 @@ class WindowIndex:
     #: Buckets of every run, fixed for the life of an index (None: the partitions of the first corpus, 8 at least).
     buckets: int | None = None
     runs: list[str] = field(default_factory=list)
+    paths: dict[str, str] = field(default_factory=dict)
     compactions: int = 0
 
     def __post_init__(self) -> None:
@@ -164,8 +176,9 @@ class WindowIndex:
 
     def _write_run(self, rows: DataFrame) -> str:
         """An immutable run of ``(a, s, s2, d)``; rows come dealt by anchor, so each bucket is one sorted file."""
-        table = f"skewroute_run_{uuid.uuid4().hex}"
-        rows.write.format("parquet").bucketBy(self.buckets, "a").sortBy("a").option("path", scratch_path(self.spark, "run")).saveAsTable(table)
+        table, path = f"skewroute_run_{uuid.uuid4().hex}", scratch_path(self.spark, "run")
+        rows.write.format("parquet").bucketBy(self.buckets, "a").sortBy("a").option("path", path).saveAsTable(table)
+        self.paths[table] = path
         return table
 
     def history(self) -> DataFrame | None:
@@ -173,11 +186,12 @@ class WindowIndex:
         return None if not self.runs else self.spark.sql(" UNION ALL ".join(f"SELECT a, s, s2, d FROM {r}" for r in self.runs))
 
     def _drop(self, tables: list[str]) -> None:
-        for t in tables:  # the catalogue's entry; files stay for readers that have begun
+        for t in tables:
             self.spark.sql(f"DROP TABLE IF EXISTS {t}")
+            delete_path(self.spark, self.paths.pop(t))
 
     def compact(self) -> None:
-        """Merge all runs into one, bucket by bucket; of a segment the least document stays. Old files are not touched."""
+        """Merge all runs into one, bucket by bucket; of a segment the least document stays. The old runs go when the new one is there."""
         if len(self.runs) > 1:
             old = self.runs
             self.runs = [self._write_run(self.history().groupBy("a", "s", "s2").agg(F.min("d").alias("d")))]
@@ -185,7 +199,7 @@ class WindowIndex:
             self.compactions += 1
 
     def close(self) -> None:
-        """Forget the runs' tables."""
+        """Drop the runs."""
         self._drop(self.runs)
         self.runs = []
 
@@ -201,20 +215,20 @@ class WindowIndex:
         """
         key = ["a", "s", "s2"]
         own = materialize(segment_rows(_keyed(batch, self.id_col, self.text_col), self.window, self.gram), "segments")
-        # Copies meet map-side: what is dealt out is a row a distinct segment and task, and one more where documents differ.
-        ends = own.groupBy(*key).agg(F.min("d").alias("low"), F.max("d").alias("high"))
-        firsts = ends.select(*key, F.explode(F.array_distinct(F.array("low", "high"))).alias("d"))
-        self.runs.append(self._write_run(firsts.repartition(self.buckets, "a")))
+        # Copies meet where they were scanned; of a distinct segment a row is kept, and one more where documents differ.
+        ends = _combined(own).repartition(self.buckets, "a").groupBy(*key).agg(F.min("low").alias("low"), F.max("high").alias("high"))
+        self.runs.append(self._write_run(ends.select(*key, F.explode(F.array_distinct(F.array("low", "high"))).alias("d"))))
 
         # Anchors that two documents share, and of these the ones that the new batch has: the others were settled before.
         anchors = materialize(self._shared_anchors(), "anchors")
-        mine = materialize(in_bitmap(own, bitmap_of(anchors, self.bitmap_bits)), "mine")
+        shared_bits = bitmap_of(anchors, self.bitmap_bits)
+        mine = materialize(in_bitmap(own, shared_bits), "mine")
         counted = materialize(mine.groupBy(*key).agg(F.count("*").alias("c")), "counted")
         wanted = materialize(anchors.join(counted.select("a").distinct(), "a", "left_semi"), "wanted")
-        rows = wanted.agg(F.sum("c")).first()[0] or 0
-        common = join_counted(in_bitmap(self.history(), bitmap_of(wanted, self.bitmap_bits)), wanted, ["a"], rows)
-        shared = common.groupBy(*key).agg(F.min("d").alias("d0"), F.first("several").alias("several"))
-        shared = materialize(shared.join(counted, key, "left").fillna(0, ["c"]), "shared")
+        rows, wanted_bits = wanted.agg(F.sum("c")).first()[0] or 0, bitmap_of(wanted, self.bitmap_bits)
+        common = join_counted(in_bitmap(self.history(), wanted_bits), wanted, ["a"], rows)
+        held = common.groupBy(*key).agg(F.min("d").alias("d0"), F.first("several").alias("several"))
+        shared = materialize(held.join(counted, key, "left").fillna(0, ["c"]), "shared")
 
         early = self._early_windows(shared.where("several").select(*key, "d0"), key)
         told = join_counted(mine, shared, key, mine.count())
@@ -222,6 +236,9 @@ class WindowIndex:
         # Segments that start here may still hold windows that smaller documents have elsewhere.
         partial = told.where("several AND d = d0").join(early, key).select("d", "r", "p", F.explode("js").alias("j"))
         found = materialize(whole.unionByName(partial.select("d", "r", (F.col("p") + F.col("j")).alias("p"), F.lit(1).alias("n"))), "repeated")
+        discard(own, anchors, mine, counted, wanted, shared, early)
+        for bits in (shared_bits, wanted_bits):
+            bits.destroy()
         if len(self.runs) >= self.fan_in:
             self.compact()
         return found
@@ -229,14 +246,18 @@ class WindowIndex:
     def _early_windows(self, several: DataFrame, key: list[str]) -> DataFrame:
         """``(a, s, s2, js)``: which windows of the segments ``(a, s, s2, d0)`` a smaller document has in another segment."""
         texts = _keyed(self.corpus, self.id_col, self.text_col)
-        owners = bitmap_of(several.select(F.xxhash64("d0").alias("k")), self.bitmap_bits, "k")
-        hashed = _window_rows(texts, owners, bitmap_of(several, self.bitmap_bits), self.window, self.gram)
+        owners, anchors = bitmap_of(several.select(F.xxhash64("d0").alias("k")), self.bitmap_bits, "k"), bitmap_of(several, self.bitmap_bits)
+        hashed = _window_rows(texts, owners, anchors, self.window, self.gram)
         arrays = materialize(several.join(hashed.groupBy(*key).agg(F.first("ws").alias("ws")), key), "windows")
         at = ["a", "w", "w2"]
         each = arrays.select(*key, "d0", F.posexplode("ws").alias("j", "x")).select(*key, "d0", "j", "x.w", "x.w2")
-        held = materialize(each.groupBy(*at).agg(F.min("d0").alias("m"), F.max("d0").alias("top"), F.count("*").alias("c")).where("m < top").drop("top"), "least")
+        least = materialize(each.groupBy(*at).agg(F.min("d0").alias("m"), F.max("d0").alias("top"), F.count("*").alias("c")).where("m < top").drop("top"), "least")
         total = arrays.agg(F.sum(F.size("ws"))).first()[0] or 0
-        return join_counted(each, held, at, total).where("m < d0").groupBy(*key).agg(F.collect_list("j").alias("js"))
+        early = materialize(join_counted(each, least, at, total).where("m < d0").groupBy(*key).agg(F.collect_list("j").alias("js")), "early")
+        discard(arrays, least)
+        for bits in (owners, anchors):
+            bits.destroy()
+        return early
 
 
 def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col: str, window: int, keep: list[str], digest: bool, bitmap_bits: int = BITMAP_BITS) -> DataFrame:
