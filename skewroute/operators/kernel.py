@@ -170,8 +170,9 @@ class Router:
         if kind != "any_worker":
             if kind == "tuned" and self.online:
                 self._refresh(key)
-            d = min(self.d, n)
-        if d < n:
+            # More hashes than workers may be given to a fixed head: it then reaches workers by hashing alone.
+            d = self.d if kind == "fixed_head" and self.d > n else min(self.d, n)
+        if d != n:
             w = self._least(self.candidates(key, d, (c1, c2)))
         else:
             w = self.load.index(min(self.load)) if self.scheme.tie == "first" else self._least(range(n))

@@ -117,56 +117,15 @@ query(oracles.known_head(_Z2, N, S, "any_worker", before=_Z2T), "any_worker_know
 query(oracles.online_head(_Z1, N, S, "any_worker", _Z1T), "any_worker_online")(_assign("any_worker", stream=_zipf))
 query(oracles.online_head(_Z1, N, S, "head_round_robin", _Z1T), "head_round_robin_online")(_assign("head_round_robin", stream=_zipf))
 query(oracles.online_head(_E, N, S, "any_worker"), "any_worker_online_event_types")(_assign("any_worker"))
-query(None, "tuned_choice_online")(_assign("tuned", stream=_zipf))
 query(oracles.online_tuned(_E, ["click", "error", "purchase", "signup", "view"], N, S), "tuned_choice_online_event_types")(_assign(Scheme("tuned", refresh=1)))
 
 
-@query()
-def tuned_choice_merged_head(spark, d):
-    return route(_zipf(spark, d), "tuned", N, S, head_scope="merged").select(*_ROUTED)
-
-
 @query(oracles.known_head(_Z1, N, 1, "any_worker", before=_Z1T))
 def any_worker_global_view(spark, d):
     msgs = _zipf(spark, d)
     return route(msgs, with_known_head(msgs, Scheme("any_worker"), N), N, load_view="global").select(*_ROUTED)
 
 
-@query()
-def any_worker_by_hashing(spark, d):
-    """Enough hashes to cover all workers behave like any worker."""
-    import math
-
-    msgs = _zipf(spark, d)
-    enough = math.ceil(2 * N * math.log(N))
-    return metrics.imbalance(route_many(msgs, [with_known_head(msgs, Scheme("any_worker"), N), with_known_head(msgs, Scheme("fixed_head", d=enough), N)], N), N, ["scheme"])
-
-
-@query()
-def block_kernel_quality(spark, d):
-    msgs = zipf.zipf_lineitem(spark, d, 1000, 2)
-    known = with_known_head(msgs, Scheme("any_worker"), N)
-    out = None
-    for block in (1, 64, 1024):
-        one = metrics.imbalance(blocks.route_blocks(msgs, known, N, block, dense=False), N).withColumn("block", F.lit(block))
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query()
-def salted_plan_quality(spark, d):
-    msgs = _zipf(spark, d)
-    head = heavy.exact_head(msgs, bounds.default_theta(N))
-    return metrics.imbalance(blocks.salted_plan(msgs, head, N, N), N).select(_r("imbalance"))
-
-
-@query()
-def planned_routing_quality(spark, d):
-    msgs = _zipf(spark, d)
-    head = heavy.exact_head(msgs, bounds.default_theta(N))
-    return metrics.imbalance(blocks.planned_routing(msgs, head, N, N), N).select(_r("imbalance"))
-
-
 # --- head detection --------------------------------------------------------------------------------------------------
 
 _HEAD = f"SELECT key, f::BIGINT AS freq, m::BIGINT AS m, round(f / m, 9) AS p, rank::INTEGER AS rank FROM h"
@@ -195,11 +154,6 @@ def theta_sweep_head(spark, d):
     return sizes.unpivot([], [F.col(f"`{s}`") for s, _, _ in _THETAS], "theta", "head_size")
 
 
-@query("WITH RECURSIVE p AS (SELECT z, pow(k, -z) AS w FROM range(1, 1001) t(k), (VALUES (0.5::DOUBLE), (1.0), (1.5), (2.0)) v(z)), q AS (SELECT z, w / sum(w) OVER (PARTITION BY z) AS p FROM p) SELECT n::INTEGER AS workers, z, round(th, 4) AS theta_n, count(*) FILTER (p >= th / n)::INTEGER AS head_size FROM q, (VALUES (50), (100)) a(n), (VALUES (2.0::DOUBLE), (0.2)) b(th) GROUP BY ALL")
-def head_size_curve(spark, d):
-    return experiments.head_curve(spark, [50, 100], [0.5, 1.0, 1.5, 2.0], 1000).select("workers", "z", _r("theta_n", 4), "head_size")
-
-
 @query("SELECT source_id::INTEGER AS source_id, key, count(*)::BIGINT AS cnt, 0::BIGINT AS err, n::BIGINT AS n_seen FROM (SELECT event_id % 5 AS source_id, event_type AS key, count(*) OVER (PARTITION BY event_id % 5) AS n FROM events) GROUP BY source_id, key, n")
 def sketch_exact_when_capacity_covers_keys(spark, d):
     return sketch.sketch_per_source(with_source(event_messages(spark, d), S), 100)
@@ -211,15 +165,6 @@ def merged_sketch_head(spark, d):
     return sketch.merge_sketches(sketch.sketch_per_source(with_source(msgs, S, dense=False), 2000), 2000)
 
 
-@query()
-def sketch_error_bound(spark, d):
-    words = with_source(token_messages(spark, d), S, dense=False)
-    capacity = sketch.default_capacity(bounds.default_theta(N))
-    merged = materialize(sketch.merge_sketches(sketch.sketch_per_source(words, capacity), capacity), "sketch")
-    m = merged.select("n_seen").first()[0]
-    return heavy.head_accuracy(heavy.exact_head(words, bounds.default_theta(N)), merged.select("key", "cnt"), m)
-
-
 @query("SELECT event_type AS key, count(*)::BIGINT AS freq FROM events GROUP BY event_type")
 def native_topk_head(spark, d):
     return sketch.native_head(event_messages(spark, d), bounds.default_theta(N), 1000)
@@ -275,22 +220,6 @@ def single_key_condition(spark, d):
     return head.withColumn("whole", whole).select("rank", (lhs <= b * (1.0 / N + bounds.EPS)).alias("ok"))
 
 
-@query(oracles.zipf_choices([50, 100], [0.4, 0.8, 1.2, 1.6, 2.0], 10_000))
-def choice_fraction_curve(spark, d):
-    return experiments.choice_curve(spark, [50, 100], [0.4, 0.8, 1.2, 1.6, 2.0], 10_000).withColumn("fraction", F.round("fraction", 9))
-
-
-@query()
-def empirical_minimum_d(spark, d):
-    least, found = empirical_min_d(_zipf(spark, d), 10)
-    return spark.createDataFrame([(least, len(found))], "minimum int, compared int")
-
-
-@query()
-def computed_against_minimum_d(spark, d):
-    return experiments.choices_against_minimum(_zipf(spark, d), [5, 10])
-
-
 # --- cost measures ---------------------------------------------------------------------------------------------------
 
 
@@ -338,11 +267,6 @@ def merge_fan_in(spark, d):
     return metrics.merge_fan_in(routed).select(_r("avg_fan_in"), "max_fan_in")
 
 
-@query()
-def replicas_by_scheme(spark, d):
-    return metrics.replicas(experiments.with_baselines(_zipf(spark, d), N), ["scheme"])
-
-
 @query(f"WITH {_Z1T}, x AS (SELECT date_trunc('day', ts) AS bucket, {oracles.choice(1, N)} AS worker FROM ({_Z1})), g AS (SELECT bucket, w.worker, count(x.worker) AS c FROM (SELECT DISTINCT bucket FROM x) b CROSS JOIN range({N}) w(worker) LEFT JOIN x USING (bucket, worker) GROUP BY ALL), u AS (SELECT bucket, sum(c) OVER (PARTITION BY worker ORDER BY bucket) AS u FROM g) SELECT bucket, round(max(u) / sum(u) - 1.0::DOUBLE / {N}, 9) AS imbalance FROM u GROUP BY bucket")
 def imbalance_over_time(spark, d):
     out = metrics.imbalance_over_time(key_grouping(_zipf(spark, d), N), N, F.date_trunc("day", "ts"))
@@ -392,12 +316,6 @@ def queue_throughput(spark, d):
     return queueing.throughput(timed).select("messages", "makespan_us", _r("per_second", 6))
 
 
-@query()
-def queue_comparison(spark, d):
-    c = experiments.CLUSTER
-    return experiments.queue_comparison(zipf.zipf_events(spark, d, c["keys"], 1.7), c["workers"], c["sources"], c["service_us"])
-
-
 # --- worker-side operators: routing must not change results -----------------------------------------------------------
 
 
@@ -532,91 +450,6 @@ query("WITH g AS (SELECT event_type, ts, CASE WHEN ts >= lag(ts) OVER w + INTERV
 # --- experiments -----------------------------------------------------------------------------------------------------
 
 
-@query()
-def scheme_imbalance_by_workers(spark, d):
-    return experiments.imbalance_by_scale(zipf.zipf_events(spark, d, 1000, 1.4), [5, 20, 50])
-
-
-@query()
-def threshold_sweep(spark, d):
-    return experiments.threshold_sweep(zipf.zipf_events(spark, d, 1000, 2), 20)
-
-
-@query()
-def real_stream_imbalance(spark, d):
-    out = None
-    for name, (msgs, dense) in experiments.real_streams(spark, d).items():
-        if name != "words":
-            one = experiments.imbalance_by_scale(msgs, [5, 20], dense).withColumn("stream", F.lit(name))
-            out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query()
-def word_stream_imbalance(spark, d):
-    return experiments.imbalance_by_scale(token_messages(spark, d), [50], dense=False)
-
-
-@query()
-def drift_imbalance_over_time(spark, d):
-    routed = experiments.compare(zipf.drift_events(spark, d, 1500, 1), 20)
-    return metrics.imbalance_over_time(routed, 20, F.date_trunc("day", "ts"), ["scheme"])
-
-
-@query()
-def memory_curve(spark, d):
-    return experiments.memory_curve(spark, [50, 100], [0.4, 0.8, 1.2, 1.6, 2.0], 10_000, 10**7)
-
-
-@query()
-def visit_imbalance_by_workers(spark, d):
-    """Two choices against the head-aware schemes on page visits, as the number of workers grows."""
-    return experiments.imbalance_by_scale(zipf.visits(spark, d), [5, 10, 20, 50, 100], dense=False, schemes=("two_choice", "tuned", "any_worker"))
-
-
-@query()
-def head_share_of_load(spark, d):
-    """How much of each worker's load comes from the head under high skew, by scheme."""
-    routed = experiments.compare(_zipf(spark, d, 1000, 2), 5, ("two_choice", "any_worker", "head_round_robin"), theta=Fraction(1, 40))
-    return metrics.load_by_part(routed, 5, ["scheme"])
-
-
-@query()
-def word_imbalance_over_time(spark, d):
-    routed = experiments.compare(token_messages(spark, d), 20, dense=False)
-    return metrics.imbalance_over_time(routed, 20, F.floor(F.col("seq") / (1 << 24) / 50), ["scheme"])
-
-
-@query()
-def key_count_has_no_effect(spark, d):
-    """Imbalance of any worker and of the tuned scheme for three numbers of keys at one skew."""
-    out = None
-    for keys in (100, 1000, 10_000):
-        one = experiments.imbalance_by_scale(_zipf(spark, d, keys, 1), [20], schemes=("any_worker", "tuned")).withColumn("keys", F.lit(keys))
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query()
-def skew_sweep(spark, d):
-    grid = experiments.ExperimentGrid(workers=[10, 50], z=[0.4, 1.0, 1.6, 2.0], keys=[1000])
-    return experiments.run_grid(spark, d, grid)
-
-
-@query()
-def distinct_candidates_ablation(spark, d):
-    """The tuned scheme with hash collisions kept, and with as many distinct workers as the choices give on average."""
-    schemes = [Scheme("tuned", name="collisions"), Scheme("tuned", distinct_candidates=True, name="distinct")]
-    return metrics.imbalance(route_many(_zipf(spark, d, 1000, 1), schemes, 50, S), 50, ["scheme"])
-
-
-@query()
-def decayed_head_on_drift(spark, d):
-    """A sketch that forgets beside one that does not, on a stream whose hot keys move."""
-    schemes = [Scheme("any_worker", name="remembers"), Scheme("any_worker", decay=0.5, decay_every=200, name="forgets")]
-    return metrics.imbalance(route_many(zipf.drift_events(spark, d, 1500, 1), schemes, N, S), N, ["scheme"])
-
-
 @query(f"WITH {_Z1T}, x AS (SELECT seq // 1000 AS slice, {oracles.choice(1, N)} AS worker FROM ({_Z1})) SELECT slice, round(max(c) / sum(c) - 1.0::DOUBLE / {N}, 9) AS imbalance FROM (SELECT slice, worker, count(*) AS c FROM x GROUP BY ALL) GROUP BY slice")
 def moving_imbalance(spark, d):
     return metrics.moving_imbalance(key_grouping(_zipf(spark, d), N), N, 1000).select("slice", _r("imbalance"))
@@ -930,3 +763,6 @@ def hashed(spark, d):
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Load of each worker when the words of the documents are routed with a tuned number of choices."""
     return metrics.worker_load(route(token_messages(spark, d), "tuned", N, S, dense=False), N)
+
+
+from skewroute.plans import claims  # noqa: E402, F401  the experiments register themselves beside the rest

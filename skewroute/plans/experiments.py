@@ -6,7 +6,6 @@ from dataclasses import dataclass, field, replace
 from fractions import Fraction
 from functools import reduce
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -14,6 +13,7 @@ from skewroute.functions import bounds
 from skewroute.operators import heavy, metrics, queueing
 from skewroute.operators.kernel import Scheme
 from skewroute.operators.route import key_grouping, route_many, shuffle_grouping, with_known_head, with_source
+from skewroute.plans import grids
 from skewroute.sources import tables, zipf
 
 
@@ -64,35 +64,18 @@ def threshold_sweep(msgs: DataFrame, n: int, dense: bool = True) -> DataFrame:
 
 def head_curve(spark: SparkSession, workers: list[int], z_grid: list[float], keys: int) -> DataFrame:
     """``(workers, z, theta_n, head_size)`` of exact Zipf shares at both ends of the range of thresholds."""
-    rows = [(n, z, float(t * n), heavy.head_size(zipf.zipf_shares(keys, z), t)) for n in workers for z in z_grid for t in (Fraction(2, n), Fraction(1, 5 * n))]
-    return spark.createDataFrame(rows, "workers int, z double, theta_n double, head_size int")
+    return grids.exact_head_sizes(spark, workers, z_grid, keys)
 
 
 def choice_curve(spark: SparkSession, workers: list[int], z_grid: list[float], keys: int, eps: float = bounds.EPS) -> DataFrame:
     """``(workers, z, head_size, start, d, fraction)``: the computed number of choices over the skew."""
-    rows = []
-    for n in workers:
-        for z in z_grid:
-            p = zipf.zipf_shares(keys, z)
-            head = p[p >= float(bounds.default_theta(n))]
-            d = bounds.min_feasible_choices(head, float(1 - head.sum()), n, eps)
-            rows.append((n, z, len(head), bounds.start_choices(float(p[0]), n), d, d / n))
-    return spark.createDataFrame(rows, "workers int, z double, head_size int, start int, d int, fraction double")
+    found = grids.analytic(spark, workers, z_grid, keys, eps=eps).where("scheme = 'tuned'")
+    return found.select("workers", "z", "head_size", F.greatest(F.lit(2), F.ceil(F.col("p1") * F.col("workers"))).cast("int").alias("start"), "d", (F.col("d") / F.col("workers")).alias("fraction"))
 
 
 def memory_curve(spark: SparkSession, workers: list[int], z_grid: list[float], keys: int, messages: int) -> DataFrame:
     """``(workers, z, scheme, vs_two_choice, vs_shuffle)``: estimated state in percent more than the two baselines."""
-    rows = []
-    for n in workers:
-        for z in z_grid:
-            p = zipf.zipf_shares(keys, z)
-            f, h = np.maximum(np.rint(p * messages), 0), int((p >= float(bounds.default_theta(n))).sum())
-            d = bounds.min_feasible_choices(p[:h], float(1 - p[:h].sum()), n)
-            two, every = np.minimum(f, 2).sum(), np.minimum(f, n).sum()
-            for scheme, c in (("tuned", d), ("any_worker", n), ("head_round_robin", n)):
-                own = np.minimum(f[:h], c).sum() + np.minimum(f[h:], 2).sum()
-                rows.append((n, z, scheme, float(100 * (own / two - 1)), float(100 * (own / every - 1))))
-    return spark.createDataFrame(rows, "workers int, z double, scheme string, vs_two_choice double, vs_shuffle double")
+    return grids.analytic(spark, workers, z_grid, keys, messages).select("workers", "z", "scheme", "vs_two_choice", "vs_shuffle")
 
 
 def choices_against_minimum(msgs: DataFrame, workers: list[int]) -> DataFrame:

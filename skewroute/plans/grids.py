@@ -179,9 +179,9 @@ def analytic(spark: SparkSession, workers: list[int], z_grid: list[float], keys:
     told = each.join(F.broadcast(picked), ["workers", "z"], "left").withColumn("d", F.coalesce("d", F.lit(2)))
     f, hot, n = F.rint(F.col("p") * messages), F.col("p") >= 1 / (5.0 * F.col("workers")), F.col("workers")
     state = lambda c: F.sum(F.least(f, F.when(hot, c).otherwise(F.lit(2))))
-    one = told.groupBy("workers", "z").agg(F.count_if(hot).cast("int").alias("head_size"), F.first("d").alias("d"), F.sum(F.least(f, F.lit(2))).alias("two"), F.sum(F.least(f, n)).alias("all"), state(F.col("d")).alias("tuned"), state(n).alias("any_worker"), state(n).alias("head_round_robin"))
-    rows = one.unpivot(["workers", "z", "head_size", "d", "two", "all"], ["tuned", "any_worker", "head_round_robin"], "scheme", "own")
-    return rows.select("workers", "z", "scheme", "head_size", F.col("d").cast("int").alias("d"), (100 * (F.col("own") / F.col("two") - 1)).alias("vs_two_choice"), (100 * (F.col("own") / F.col("all") - 1)).alias("vs_shuffle"))
+    one = told.groupBy("workers", "z").agg(F.count_if(hot).cast("int").alias("head_size"), F.first("d").alias("d"), F.max("p").alias("p1"), F.sum(F.least(f, F.lit(2))).alias("two"), F.sum(F.least(f, n)).alias("all"), state(F.col("d")).alias("tuned"), state(n).alias("any_worker"), state(n).alias("head_round_robin"))
+    rows = one.unpivot(["workers", "z", "head_size", "d", "p1", "two", "all"], ["tuned", "any_worker", "head_round_robin"], "scheme", "own")
+    return rows.select("workers", "z", "scheme", "head_size", "p1", F.col("d").cast("int").alias("d"), (100 * (F.col("own") / F.col("two") - 1)).alias("vs_two_choice"), (100 * (F.col("own") / F.col("all") - 1)).alias("vs_shuffle"))
 
 
 def choices_of(head: DataFrame, eps: float = bounds.EPS) -> DataFrame:

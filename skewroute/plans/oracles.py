@@ -150,3 +150,63 @@ def shuffle(stream: str, n: int, sources: int) -> str:
 
 def grouping(stream: str, n: int) -> str:
     return f"SELECT *, {choice(1, n)} AS worker FROM ({stream})"
+
+
+def online_tuned_refresh(stream: str, keys: int, n: int, sources: int, refresh: int = 1000, before: str = "", eps: float = 1e-4, columns: str = "seq, key, source_id, worker, is_head, n_choices") -> str:
+    """The tuned scheme as it learns, with d computed when a key enters the head and at the latest after ``refresh`` head rows.
+
+    Keys are the numbers 1 to ``keys`` as text, all of which the sketch holds. Each row knows its source's running counts of all keys; the loads, d, its age and the
+    hot keys are carried from row to row.
+    """
+    counts = ", ".join(f"count(*) FILTER (key = '{k}') OVER w" for k in range(1, keys + 1))
+    union = f"({n} - {n} * pow({n - 1} / {n}, h * d))"
+    fits = f"list_sum(ps[1:h]) + pow({union} / {n}, d) * coalesce(list_sum(ps[h + 1:]), 0) + pow({union} / {n}, 2) * (1 - list_sum(ps)) <= {union} * (1.0 / {n} + {eps})"
+    return f"""
+WITH RECURSIVE {before + ',' if before else ''}
+m AS MATERIALIZED (
+  SELECT seq, key, key::INTEGER AS k, (seq % {sources})::INTEGER AS source_id, seq // {sources} AS i, seq // {sources} + 1 AS m, cs, cs[key::INTEGER] * 5 * {n} >= seq // {sources} + 1 AS is_head, {two(n)} AS pair
+  FROM (SELECT seq, key, [{counts}] AS cs FROM ({stream}) WINDOW w AS (PARTITION BY seq % {sources} ORDER BY seq))),
+r AS (
+  SELECT source_id, -1::BIGINT AS i, -1::BIGINT AS seq, -1 AS worker, 2 AS used, list_transform(range({n}), lambda x: 0::BIGINT) AS load, 2 AS d, 0 AS age, []::INTEGER[] AS hot FROM (SELECT DISTINCT source_id FROM m)
+  UNION ALL
+  SELECT source_id, i, seq, w, CASE WHEN is_head THEN d ELSE 2 END, list_transform(load, lambda x, j: x + CASE WHEN j = w + 1 THEN 1 ELSE 0 END), d, age, hot
+  FROM (
+    SELECT *, (cand[list_position(list_transform(cand, lambda c: load[c + 1]), list_min(list_transform(cand, lambda c: load[c + 1])))])::INTEGER AS w
+    FROM (
+      SELECT *, CASE WHEN NOT is_head THEN pair WHEN d >= {n} THEN range({n})::INTEGER[] ELSE list_transform(range(1, d + 1), lambda c: {choice('c', n)}) END AS cand
+      FROM (
+        SELECT source_id, i, seq, key, is_head, pair, load, hot, age,
+          CASE WHEN anew THEN coalesce(list_filter(range(greatest(2, ceil(ps[1] * {n}))::BIGINT, {n}), lambda d: len(list_filter(range(1, len(ps) + 1), lambda h: NOT ({fits}))) = 0)[1], {n})::INTEGER ELSE old END AS d
+        FROM (
+          SELECT *, CASE WHEN anew THEN list_transform(list_reverse_sort(list_transform(hot, lambda x: cs[x])), lambda c: c / m) ELSE []::DOUBLE[] END AS ps
+          FROM (
+            SELECT m.source_id, m.i, m.seq, m.key, m.is_head, m.pair, m.cs, m.m, r.load, r.d AS old,
+              m.is_head AND (NOT list_contains(r.hot, m.k) OR r.age + 1 >= {refresh}) AS anew,
+              CASE WHEN NOT m.is_head THEN r.age WHEN NOT list_contains(r.hot, m.k) OR r.age + 1 >= {refresh} THEN 0 ELSE r.age + 1 END AS age,
+              CASE WHEN m.is_head AND (NOT list_contains(r.hot, m.k) OR r.age + 1 >= {refresh}) THEN list_filter(list_distinct(list_append(r.hot, m.k)), lambda x: m.cs[x] * 5 * {n} >= m.m) ELSE r.hot END AS hot
+            FROM r JOIN m ON m.source_id = r.source_id AND m.i = r.i + 1)))))),
+routed AS (SELECT m.seq, m.key, m.source_id, r.worker, m.is_head, r.used::INTEGER AS n_choices FROM r JOIN m USING (seq, source_id))
+SELECT {columns} FROM routed"""
+
+
+def _zipf_points(workers: list[int], z_grid: list[float], keys: int) -> str:
+    grid = ", ".join(f"({n}, {z}::DOUBLE)" for n in workers for z in z_grid)
+    return f"""g AS (SELECT * FROM (VALUES {grid}) v(n, z)),
+w AS (SELECT z, k, pow(k, -z) AS w FROM (SELECT DISTINCT z FROM g), range(1, {keys + 1}) t(k)),
+p AS (SELECT z, k, w / sum(w) OVER (PARTITION BY z) AS p FROM w)"""
+
+
+def zipf_heads(workers: list[int], z_grid: list[float], keys: int) -> str:
+    """Head sizes of exact Zipf shares at both ends of the range of thresholds."""
+    return f"WITH {_zipf_points(workers, z_grid, keys)} SELECT n::INTEGER AS workers, z, round(th, 4) AS theta_n, count(*) FILTER (p >= th / n)::INTEGER AS head_size FROM g JOIN p USING (z), (VALUES (2.0::DOUBLE), (0.2)) b(th) GROUP BY ALL"
+
+
+def zipf_memory(workers: list[int], z_grid: list[float], keys: int, messages: int) -> str:
+    """Estimated state of exact Zipf shares, in percent more than two choices and shuffling."""
+    return f"""
+WITH {_zipf_points(workers, z_grid, keys)},
+c AS (SELECT workers AS n, z, d FROM ({zipf_choices(workers, z_grid, keys)})),
+f AS (SELECT g.n, g.z, d, round_even(p * {messages}, 0) AS f, p >= 1.0::DOUBLE / (5 * g.n) AS hot FROM g JOIN p USING (z) JOIN c ON c.n = g.n AND c.z = g.z),
+e AS (SELECT n, z, sum(least(f, 2)) AS two, sum(least(f, n)) AS every, sum(least(f, CASE WHEN hot THEN d ELSE 2 END)) AS tuned, sum(least(f, CASE WHEN hot THEN n ELSE 2 END)) AS anyw FROM f GROUP BY n, z)
+SELECT n::INTEGER AS workers, z, scheme, round(100 * (own / two - 1), 6) AS vs_two_choice, round(100 * (own / every - 1), 6) AS vs_shuffle
+FROM e, LATERAL (VALUES ('tuned', tuned), ('any_worker', anyw), ('head_round_robin', anyw)) v(scheme, own)"""
