@@ -366,15 +366,40 @@ def pair_patterns(spark, d):
     """Pairs of parts that are ordered together; an order has a handful of lines."""
     rows = read_table(spark, d, "lineitem").select("l_orderkey", "l_partkey")
     pairs = rows.alias("a").join(rows.alias("b"), (F.col("a.l_orderkey") == F.col("b.l_orderkey")) & (F.col("a.l_partkey") < F.col("b.l_partkey")))
-    msgs = pairs.select(F.concat_ws("-", "a.l_partkey", "b.l_partkey").alias("key")).withColumn("seq", F.xxhash64("key"))
-    return aggregate.merge_agg(aggregate.partial_agg(key_grouping(msgs, 8), {"n": ("count", "seq")}), {"n": ("count", "seq")})
+    msgs = pairs.select(F.concat_ws("-", "a.l_partkey", "b.l_partkey").alias("key"), F.xxhash64("a.l_orderkey", "a.l_partkey", "b.l_partkey").alias("seq"))
+    return aggregate.balanced_agg(route(msgs, "tuned", 8, S, dense=False), 8, {"n": ("count", "seq")})
+
+
+@query("WITH t AS (SELECT doc_id, generate_subscripts(w, 1) AS p, unnest(w) AS x FROM (SELECT doc_id, string_split(text, ' ') AS w FROM documents)) SELECT a.x || ' ' || b.x AS key, count(*)::BIGINT AS n FROM t a JOIN t b ON a.doc_id = b.doc_id AND b.p BETWEEN a.p + 1 AND a.p + 4 GROUP BY ALL")
+def token_pairs(spark, d):
+    """Pairs of words at most four apart in a document."""
+    place = Window.partitionBy("doc_id").orderBy("pos")
+    near = tokens(spark, d).select("doc_id", "pos", "key", F.filter(F.array(*(F.lead("key", i).over(place) for i in range(1, 5))), lambda x: x.isNotNull()).alias("after"))
+    pairs = near.select("doc_id", "pos", "key", F.posexplode("after").alias("i", "next"))
+    msgs = pairs.select((F.col("doc_id") * (1 << 27) + F.col("pos") * 4 + F.col("i")).alias("seq"), F.concat_ws(" ", "key", "next").alias("key"))
+    return aggregate.balanced_agg(route(msgs, "tuned", 8, S, dense=False), 8, {"n": ("count", "seq")})
 
 
 @query("SELECT label, i::INTEGER AS i, round(sum(x), 3) AS total FROM (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS i FROM embeddings) GROUP BY ALL")
 def vector_sum_by_label(spark, d):
     parts = read_table(spark, d, "embeddings").select("vec_id", "label", F.posexplode("embedding").alias("i", "x"))
-    salted = parts.groupBy("label", "i", F.pmod("vec_id", F.lit(8)).alias("worker")).agg(F.sum(F.col("x").cast("double")).alias("part"))
-    return salted.groupBy("label", "i").agg(F.round(F.sum("part"), 3).alias("total"))
+    msgs = parts.select((F.col("vec_id") * 4096 + F.col("i")).alias("seq"), tables.composite_key("label", "i").alias("key"), F.col("x").cast("double").alias("x"))
+    sums = aggregate.balanced_agg(route(msgs, "any_worker", 8, S, dense=False), 8, {"total": ("sum", "x")})
+    at = F.split("key", "[|]")
+    return sums.select(at[0].cast("int").alias("label"), at[1].cast("int").alias("i"), _r("total", 3))
+
+
+@query("SELECT key, count(*)::BIGINT AS n FROM (SELECT unnest(string_split(text, ' ')) AS key FROM benchmark) GROUP BY key")
+def benchmark_word_count(spark, d):
+    msgs = tokens(spark, d, "benchmark", "item_id").select((F.col("item_id") * (1 << 24) + F.col("pos")).alias("seq"), "key")
+    return aggregate.balanced_agg(route(msgs, "tuned", 8, S, dense=False), 8, {"n": ("count", "seq")})
+
+
+@query("SELECT n_name AS key, round(sum(s_acctbal), 4) AS balance, count(*)::BIGINT AS suppliers FROM supplier JOIN nation ON s_nationkey = n_nationkey GROUP BY n_name")
+def supplier_balance_by_nation(spark, d):
+    rows = read_table(spark, d, "supplier").join(F.broadcast(read_table(spark, d, "nation")), F.col("s_nationkey") == F.col("n_nationkey"))
+    msgs = rows.select(F.col("s_suppkey").alias("seq"), F.col("n_name").alias("key"), "s_acctbal")
+    return aggregate.balanced_agg(route(msgs, "two_choice", 8, S, dense=False), 8, {"balance": ("sum", "s_acctbal"), "suppliers": ("count", "seq")}).select("key", _r("balance", 4), "suppliers")
 
 
 @query("SELECT p_brand, count(*)::BIGINT AS lines, round(sum(l_quantity), 4) AS quantity FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY p_brand")

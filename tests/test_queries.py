@@ -8,10 +8,10 @@ from pyspark.sql import functions as F
 
 from skewroute.functions import bounds
 from skewroute.functions.hashing import md5_choice, xx_choice
-from skewroute.operators import aggregate, blocks, heavy, metrics, sketch
+from skewroute.operators import aggregate, blocks, heavy, metrics, queueing, sketch
 from skewroute.operators.kernel import Scheme
 from skewroute.operators.route import route, route_many, with_known_head, with_source
-from skewroute.plans import catalog, experiments
+from skewroute.plans import catalog, experiments, grids
 from skewroute.sources import scratch, tables, zipf
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -170,6 +170,39 @@ def test_queue_model_orders_the_schemes(spark):
     assert rows["any_worker"]["p99_us"] < 0.4 * rows["two_choice"]["p99_us"]
 
 
+@pytest.mark.parametrize("slice_us", [1, 900, 10**9])
+def test_queue_by_slices_equals_message_by_message(spark, slice_us):
+    rows = route(zipf.zipf_range(spark, 3000, 50, 1.2), "two_choice", 5, 2)
+    timed = queueing.simulate(queueing.arrivals(rows, 9000), 400, slice_us=slice_us).select("seq", "worker", "arrival_us", "finish_us", "latency_us").orderBy("seq").collect()
+    free = [0] * 5
+    for r in timed:
+        free[r["worker"]] = max(free[r["worker"]], r["arrival_us"]) + 400
+        assert (r["finish_us"], r["latency_us"]) == (free[r["worker"]], free[r["worker"]] - r["arrival_us"])
+    assert len(timed) == 3000
+
+
+def test_grid_equals_routing_one_by_one(spark):
+    """The grid's kernel gives the loads that ``route`` gives, stream by stream and point by point."""
+    streams = grids.zipf_streams(spark, 2000, [(100, 1.0), (300, 1.6)])
+    points = grids.every(("two_choice", "tuned", "any_worker", "head_round_robin"), [5, 20])
+    got = {(r["stream"], r["workers"], r["scheme"]): r["imbalance"] for r in grids.imbalances(grids.loads(streams, points, 3)).collect()}
+    assert len(got) == 16
+    for k, z in ((100, 1.0), (300, 1.6)):
+        msgs = zipf.zipf_range(spark, 2000, k, z)
+        assert sorted(msgs.collect()) == sorted(streams.where(F.col("stream") == f"{k}/{z}").select("seq", "key").collect())
+        for n in (5, 20):
+            for r in metrics.imbalance(route_many(msgs, [s for m, s in points if m == n], n, 3, dense=False), n, ["scheme"]).collect():
+                assert got[f"{k}/{z}", n, r["scheme"]] == pytest.approx(r["imbalance"], abs=1e-12)
+
+
+def test_loads_by_slice_add_up(spark):
+    streams = grids.zipf_streams(spark, 1000, [(50, 1.2)])
+    parts = grids.loads(streams, [(6, Scheme("any_worker"))], 2, F.floor(F.col("seq") / 250)).cache()
+    assert parts.groupBy("slice").agg(F.sum("messages").alias("n")).where("n = 250").count() == 4
+    last = grids.imbalances_upto(parts).where("slice = 3").first()["imbalance"]
+    assert last == pytest.approx(grids.imbalances(parts).first()["imbalance"], abs=1e-12)
+
+
 def test_balanced_join_equals_the_plain_one(spark):
     big = spark.createDataFrame([("hot", i) for i in range(300)] + [(str(i), i) for i in range(50)] + [(None, 1)], "key string, v int")
     small = spark.createDataFrame([("hot", 1), ("3", 2), (None, 3)], "key string, w int")
