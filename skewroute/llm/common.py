@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from skewroute.sources.scratch import delete_path, discard, materialize, scratch_path
 
-__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "in_bitmap", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
+__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "in_bitmap", "input_bytes", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
 
 #: A word is a maximal run of characters other than space and U+0009..U+000D, so ``bytes.split()`` finds exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -39,6 +39,13 @@ def input_partitions(df: DataFrame) -> int:
     return max(1, df.rdd.getNumPartitions())
 
 
+def input_bytes(df: DataFrame) -> int | None:
+    """What the tables behind a plan take where they are stored, as Spark's planner knows it; None where it does not (rows made by hand)."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    sizes = [int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.size())]
+    return None if max(sizes, default=0) >= 1 << 60 else sum(sizes)
+
+
 @functools.cache
 def _trim() -> Callable[[int], int] | None:
     return getattr(ctypes.CDLL(None), "malloc_trim", None)

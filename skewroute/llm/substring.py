@@ -25,11 +25,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, delete_path, discard, in_bitmap, input_partitions, join_counted, materialize, read_table, scratch_path, tidy, words_of
+from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, delete_path, discard, in_bitmap, input_bytes, join_counted, materialize, read_table, scratch_path, tidy, words_of
 
 WINDOW = 50
 GRAM = 25
 FAN_IN = 4
+#: Bytes of stored text whose segments share a bucket, and the most buckets that a run is cut into.
+BUCKET_BYTES = 32 << 20
+MOST_BUCKETS = 1 << 16
 #: Batches that a whole table is fed in: more than ``FAN_IN``, so that runs are compacted on the way.
 BATCHES = 6
 _BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -165,14 +168,14 @@ class WindowIndex:
     gram: int = GRAM
     fan_in: int = FAN_IN
     bitmap_bits: int = BITMAP_BITS
-    #: Buckets of every run, fixed for the life of an index (None: the partitions of the first corpus, 8 at least).
+    #: Buckets of every run, fixed for the life of an index (None: by the bytes of the first corpus).
     buckets: int | None = None
     runs: list[str] = field(default_factory=list)
     paths: dict[str, str] = field(default_factory=dict)
     compactions: int = 0
 
     def __post_init__(self) -> None:
-        self.buckets = self.buckets or max(8, input_partitions(self.corpus))
+        self.buckets = self.buckets or min(MOST_BUCKETS, max(8, (input_bytes(self.corpus) or 0) // BUCKET_BYTES))
 
     def _write_run(self, rows: DataFrame) -> str:
         """An immutable run of ``(a, s, s2, d)``; rows come dealt by anchor, so each bucket is one sorted file."""
@@ -305,7 +308,7 @@ def repeated_windows(docs: DataFrame, batches: int = BATCHES, window: int = WIND
     spark, key = docs.sparkSession, F.col(id_col).cast("long")
     cuts = docs.agg(F.percentile_approx(key, [(i + 1) / batches for i in range(batches - 1)], 1000)).first()[0] if batches > 1 else None
     cuts = sorted(set(cuts or []))
-    index, out = WindowIndex(spark, docs, id_col, text_col, window, gram), None
+    index, out = WindowIndex(spark, docs, id_col, text_col, window, gram), None  # buckets for the whole table
     for low, high in zip([None, *cuts], [*cuts, None], strict=True):
         index.corpus = docs if high is None else docs.where(key <= high)
         found = index.append(index.corpus if low is None else index.corpus.where(key > low))
