@@ -3,8 +3,8 @@
 Every window of ``window`` words falls to its anchor, the least hash of its ``gram``-word grams; equal windows have equal
 anchors. Consecutive windows with one anchor form a segment. The index holds one narrow row per distinct segment, ``(a, s, s2,
 d)``: its anchor, 128 bits of SHA-256 over its very words, and the least document that has it. Rows lie in immutable runs,
-tables bucketed by anchor and sorted by it, so that a new batch meets all runs, and runs are compacted into one, bucket by
-bucket: history is never exchanged again. Segments of equal anchor and digest are equal window for window. Where an anchor has
+tables bucketed by anchor and sorted by it, so that a new batch's run is merge-joined with each older one, bucket by
+bucket: an append exchanges no old run. Every few batches the runs are compacted into one. Segments of equal anchor and digest are equal window for window. Where an anchor has
 several digests, the texts of the documents that own those segments are read again, and each window's own words are digested
 and compared. So a match is never taken on the word of the rolling hashes that found it. Bitmaps of fixed size, of anchors and
 of documents, thin the runs and tell the scans which texts and segments to look at; a join drops their false hits.
@@ -16,6 +16,7 @@ import hashlib
 import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -185,8 +186,8 @@ class WindowIndex:
         return table
 
     def history(self) -> DataFrame | None:
-        """All runs side by side, still dealt by anchor."""
-        return None if not self.runs else self.spark.sql(" UNION ALL ".join(f"SELECT a, s, s2, d FROM {r}" for r in self.runs))
+        """All runs side by side. They lie dealt by anchor, but their union does not: deal it out before grouping by it."""
+        return None if not self.runs else reduce(DataFrame.unionByName, map(self.spark.table, self.runs))
 
     def _drop(self, tables: list[str]) -> None:
         for t in tables:
@@ -194,10 +195,10 @@ class WindowIndex:
             delete_path(self.spark, self.paths.pop(t))
 
     def compact(self) -> None:
-        """Merge all runs into one, bucket by bucket; of a segment the least document stays. The old runs go when the new one is there."""
+        """Merge all runs into one; of a segment the least document stays. The old runs go when the new one is there."""
         if len(self.runs) > 1:
             old = self.runs
-            self.runs = [self._write_run(self.history().groupBy("a", "s", "s2").agg(F.min("d").alias("d")))]
+            self.runs = [self._write_run(self.history().repartition(self.buckets, "a").groupBy("a", "s", "s2").agg(F.min("d").alias("d")))]
             self._drop(old)
             self.compactions += 1
 
@@ -206,10 +207,23 @@ class WindowIndex:
         self._drop(self.runs)
         self.runs = []
 
+    def _anchors_of(self, run: str) -> DataFrame:
+        """One row an anchor of a run, where its bucket lies."""
+        ends = (f(c).alias(f.__name__ + c) for c in ("d", "s", "s2") for f in (F.min, F.max))
+        return self.spark.table(run).groupBy("a").agg(F.count("*").alias("c"), *ends)
+
     def _shared_anchors(self) -> DataFrame:
-        """``(a, c, several)`` of anchors that two documents have, with their number of rows, from the runs alone, the newest included: no exchange."""
-        merged = self.history().groupBy("a").agg(F.min("d").alias("dmin"), F.max("d").alias("dmax"), F.count("*").alias("c"), *(f(c).alias(f.__name__ + c) for f in (F.min, F.max) for c in ("s", "s2")))
-        return merged.where("dmax > dmin").selectExpr("a", "c", "mins < maxs OR mins2 < maxs2 AS several")
+        """``(a, c, several)`` of the newest run's anchors that two documents have, with their number of rows in all runs.
+
+        The newest run is merge-joined with each older one, bucket by bucket: no run is exchanged.
+        """
+        own = self._anchors_of(self.runs[-1])
+        for run in self.runs[:-1]:
+            old = self._anchors_of(run).select("a", *(F.col(c).alias(f"o_{c}") for c in own.columns[1:]))
+            both = own.join(old.hint("merge"), "a", "left")
+            low, high = (lambda c: F.least(c, f"o_{c}").alias(c)), (lambda c: F.greatest(c, f"o_{c}").alias(c))
+            own = both.select("a", (F.col("c") + F.coalesce("o_c", F.lit(0))).alias("c"), *((low if c.startswith("min") else high)(c) for c in own.columns[2:]))
+        return own.where("maxd > mind").selectExpr("a", "c", "mins < maxs OR mins2 < maxs2 AS several")
 
     def append(self, batch: DataFrame) -> DataFrame:
         """Index a batch and give its repeated windows: ``(d, r, p, n)``, ``n`` windows from word ``p`` on.
@@ -222,14 +236,12 @@ class WindowIndex:
         ends = _combined(own).repartition(self.buckets, "a").groupBy(*key).agg(F.min("low").alias("low"), F.max("high").alias("high"))
         self.runs.append(self._write_run(ends.select(*key, F.explode(F.array_distinct(F.array("low", "high"))).alias("d"))))
 
-        # Anchors that two documents share, and of these the ones that the new batch has: the others were settled before.
+        # Anchors of the new batch that two documents share; those that it lacks were settled before.
         anchors = materialize(self._shared_anchors(), "anchors")
-        shared_bits = bitmap_of(anchors, self.bitmap_bits)
-        mine = materialize(in_bitmap(own, shared_bits), "mine")
+        rows, bits = anchors.agg(F.sum("c")).first()[0] or 0, bitmap_of(anchors, self.bitmap_bits)
+        mine = materialize(in_bitmap(own, bits), "mine")
         counted = materialize(mine.groupBy(*key).agg(F.count("*").alias("c")), "counted")
-        wanted = materialize(anchors.join(counted.select("a").distinct(), "a", "left_semi"), "wanted")
-        rows, wanted_bits = wanted.agg(F.sum("c")).first()[0] or 0, bitmap_of(wanted, self.bitmap_bits)
-        common = join_counted(in_bitmap(self.history(), wanted_bits), wanted, ["a"], rows)
+        common = join_counted(in_bitmap(self.history(), bits), anchors, ["a"], rows)
         held = common.groupBy(*key).agg(F.min("d").alias("d0"), F.first("several").alias("several"))
         shared = materialize(held.join(counted, key, "left").fillna(0, ["c"]), "shared")
 
@@ -239,9 +251,8 @@ class WindowIndex:
         # Segments that start here may still hold windows that smaller documents have elsewhere.
         partial = told.where("several AND d = d0").join(early, key).select("d", "r", "p", F.explode("js").alias("j"))
         found = materialize(whole.unionByName(partial.select("d", "r", (F.col("p") + F.col("j")).alias("p"), F.lit(1).alias("n"))), "repeated")
-        discard(own, anchors, mine, counted, wanted, shared, early)
-        for bits in (shared_bits, wanted_bits):
-            bits.destroy()
+        discard(own, anchors, mine, counted, shared, early)
+        bits.destroy()
         if len(self.runs) >= self.fan_in:
             self.compact()
         return found
