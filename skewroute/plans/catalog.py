@@ -10,10 +10,10 @@ from pyspark.sql import functions as F
 
 from skewroute.functions import bounds
 from skewroute.functions.hashing import candidates, hash_choice
-from skewroute.operators import aggregate, blocks, heavy, metrics, queueing, sketch
+from skewroute.operators import aggregate, heavy, metrics, queueing, sketch
 from skewroute.operators.kernel import Scheme
-from skewroute.operators.route import empirical_min_d, key_grouping, route, route_many, shuffle_grouping, with_known_head, with_source
-from skewroute.plans import experiments, oracles, udtf
+from skewroute.operators.route import key_grouping, route, shuffle_grouping, with_known_head, with_source
+from skewroute.plans import oracles, udtf
 from skewroute.sources import tables, zipf
 from skewroute.sources.scratch import materialize, scratch_path
 from skewroute.sources.tables import event_messages, read_table, token_messages, tokens

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from skewroute.functions import bounds
-from skewroute.operators import heavy, metrics, queueing
+from skewroute.operators import metrics, queueing
 from skewroute.operators.kernel import Scheme
 from skewroute.operators.route import key_grouping, route_many, shuffle_grouping, with_known_head, with_source
 from skewroute.plans import grids
@@ -100,15 +100,12 @@ def queue_comparison(msgs: DataFrame, n: int, sources: int, service_us: int, uti
     return queueing.throughput(timed, ["scheme"]).join(queueing.latency_summary(timed, ["scheme"]), "scheme")
 
 
-def run_grid(spark: SparkSession, folder: str, grid: ExperimentGrid, carrier: str = "events") -> DataFrame:
-    """``(dataset, z, k, workers, scheme, sources, imbalance)`` over synthetic streams on the rows of a table."""
-    parts = []
-    for z in grid.z:
-        for k in grid.keys:
-            msgs = zipf.zipf_events(spark, folder, k, z) if carrier == "events" else zipf.zipf_lineitem(spark, folder, k, z)
-            out = imbalance_by_scale(msgs, grid.workers, dense=carrier == "events")
-            parts.append(out.select(F.lit(f"zipf_{carrier}").alias("dataset"), F.lit(z).alias("z"), F.lit(k).alias("k"), "workers", "scheme", F.lit(grid.sources).alias("sources"), "imbalance"))
-    return reduce(DataFrame.unionByName, parts)
+def run_grid(spark: SparkSession, grid: ExperimentGrid, schemes=COMPARED) -> DataFrame:
+    """``(k, z, workers, scheme, messages, imbalance)`` of the whole grid in one job."""
+    streams = grids.zipf_streams(spark, grid.messages, [(k, z) for k in grid.keys for z in grid.z])
+    found = grids.imbalances(grids.loads(streams, [(n, Scheme(k, eps=grid.eps)) for n in grid.workers for k in schemes], grid.sources))
+    name = F.split("stream", "/")
+    return found.select(name[0].cast("int").alias("k"), name[1].cast("double").alias("z"), "workers", "scheme", "messages", "imbalance")
 
 
 def real_streams(spark: SparkSession, folder: str) -> dict[str, tuple[DataFrame, bool]]:

@@ -195,6 +195,13 @@ def test_grid_equals_routing_one_by_one(spark):
                 assert got[f"{k}/{z}", n, r["scheme"]] == pytest.approx(r["imbalance"], abs=1e-12)
 
 
+def test_grid_of_published_parameters(spark):
+    full = experiments.ExperimentGrid()
+    assert (len(full.z), full.keys, full.workers, full.messages) == (20, [10**4, 10**5, 10**6], [5, 10, 20, 50, 100], 10**7)
+    small = experiments.run_grid(spark, experiments.ExperimentGrid(workers=[5, 10], z=[0.5, 2.0], keys=[100], messages=500))
+    assert small.count() == 16 and small.where("messages <> 500").count() == 0
+
+
 def test_loads_by_slice_add_up(spark):
     streams = grids.zipf_streams(spark, 1000, [(50, 1.2)])
     parts = grids.loads(streams, [(6, Scheme("any_worker"))], 2, F.floor(F.col("seq") / 250)).cache()
