@@ -2,7 +2,6 @@
 
 import hashlib
 import random
-import zlib
 from collections import Counter
 
 import numpy as np
@@ -11,8 +10,8 @@ from pyspark.sql import functions as F
 
 from skewroute.llm import mixing, packing, simhash, substring, telephony, topk, warc
 from skewroute.llm.common import read_table
-from tests.llm.conftest import SCHEMA, prose
-from tests.llm.test_documents import slow_components, slow_removal
+from tests.llm.conftest import prose
+from tests.llm.test_documents import slow_removal
 
 DATA = "/root/testdata/sf0.01"
 
