@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import ctypes
 import functools
+import gc
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -14,7 +15,7 @@ from pyspark.sql import functions as F
 
 from skewroute.sources.scratch import delete_path, discard, materialize, scratch_path
 
-__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "in_bitmap", "input_bytes", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
+__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "free_shuffles", "in_bitmap", "input_bytes", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
 
 #: A word is a maximal run of characters other than space and U+0009..U+000D, so ``bytes.split()`` finds exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -46,6 +47,13 @@ def input_bytes(df: DataFrame) -> int | None:
     return None if max(sizes, default=0) >= 1 << 60 else sum(sizes)
 
 
+def free_shuffles(spark: SparkSession) -> None:
+    """Let go of the shuffle files of plans that nothing refers to any more: Spark drops them when the driver's collector finds the plans gone, which on
+    a driver with little to collect may be long after."""
+    gc.collect()
+    spark.sparkContext._jvm.java.lang.System.gc()
+
+
 @functools.cache
 def _trim() -> Callable[[int], int] | None:
     return getattr(ctypes.CDLL(None), "malloc_trim", None)

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.llm.common import bit_set, bitmap_of, in_bitmap, join_counted, materialize, read_table, tidy
+from skewroute.llm.common import bit_set, bitmap_of, free_shuffles, in_bitmap, join_counted, materialize, read_table, tidy
 from skewroute.llm.components import connected_components
 
 SEED = 42
@@ -171,7 +171,9 @@ def _set_classes(docs: DataFrame, prints: DataFrame) -> DataFrame:
     nodes = materialize(prints.where("n IS NOT NULL").groupBy("n").agg(F.first("m").alias("m"), F.first("bands").alias("bands"), F.min(F.struct("k", "r")).alias("x")), "nodes")
     routed = nodes.select("n", "m", F.explode("bands").alias("b"))
     sizes = materialize(routed.groupBy("b").agg(F.count("*").alias("c")).where("c > 1"), "sizes")
-    shared = materialize(join_counted(routed, sizes, ["b"], nodes.count() * BANDS), "buckets")
+    # Most bands are one set's alone: a bitmap of the others thins them before they are joined.
+    met = in_bitmap(routed, bitmap_of(sizes, key="b"), "b")
+    shared = materialize(join_counted(met, sizes, ["b"], sizes.agg(F.sum("c")).first()[0] or 0), "buckets")
     total = shared.count()
     popular = shared.groupBy("n").agg(F.sum("c").alias("pop"))
     hubs = shared.join(popular, "n").groupBy("b").agg(F.max(F.struct("pop", "n", "m")).alias("h"), F.first("c").alias("c")).select("b", "c", F.col("h.n").alias("hub"), F.col("h.m").alias("hub_m"))
@@ -181,6 +183,7 @@ def _set_classes(docs: DataFrame, prints: DataFrame) -> DataFrame:
     sets = _sets_of(docs, wanted)
     near = _similar(first, sets)
     roots = materialize(connected_components(near), "roots")
+    free_shuffles(docs.sparkSession)
     told = materialize(shared.drop("c").join(roots.withColumnRenamed("node", "n"), "n", "left").select("b", "n", "m", F.coalesce("root", "n").alias("root")), "told")
     return connected_components(near.unionByName(_similar(_across(_open(told), sets), sets)))
 
@@ -477,6 +480,7 @@ def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     """One document of each component, of links as op4 has them and links by sets of five-word shingles."""
     prints = materialize(_signatures(docs), "prints")
     rooted = prints.drop("bands", "m").join(_classes(prints, DISTANCE, SLICE), "fp")
+    free_shuffles(spark)
     sets = _set_classes(docs, prints).select(F.col("node").alias("n"), F.col("root").alias("set_root"))
     rooted = materialize(rooted.join(sets, "n", "left").select("doc_id", "k", "r", "root", F.coalesce("set_root", "n").alias("c")), "rooted")
     least = rooted.where("c IS NOT NULL").groupBy("c").agg(F.min("root").alias("u"), F.max("root").alias("top")).where("u <> top").select("c", "u")

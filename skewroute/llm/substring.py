@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, delete_path, discard, in_bitmap, input_bytes, join_counted, materialize, read_table, scratch_path, tidy, words_of
+from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, delete_path, discard, free_shuffles, in_bitmap, input_bytes, join_counted, materialize, read_table, scratch_path, tidy, words_of
 
 WINDOW = 50
 GRAM = 25
@@ -323,6 +323,7 @@ def repeated_windows(docs: DataFrame, batches: int = BATCHES, window: int = WIND
         index.corpus = docs if high is None else docs.where(key <= high)
         found = index.append(index.corpus if low is None else index.corpus.where(key > low))
         out = found if out is None else out.unionByName(found)
+        free_shuffles(spark)
     index.close()
     return out
 
