@@ -12,6 +12,7 @@ import math
 import struct
 import zlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -19,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import read_table, scratch_path, tidy
+from skewroute.llm.common import discard, materialize, read_table, scratch_path, tidy
 
 PCM, ALAW, MULAW, IMA = 1, 6, 7, 17
 RATE = 8000
@@ -189,7 +190,9 @@ def pad(text: str | None, unit: int = FRAME) -> tuple[int, bytes]:
 
 #: Bytes of media that a Python worker holds at a time.
 _STEP_BYTES = 8 << 20
-_ZSTD = {"compression": "zstd", "parquet.compression.codec.zstd.level": "12", "parquet.page.size": str(8 << 20)}
+_ZSTD = {"compression": "zstd", "parquet.page.size": str(8 << 20)}
+#: Parts that a whole table is stored and read back in, so that the files of one part alone take room at a time.
+PARTS = 4
 
 
 def _law(payload: bytes) -> int:
@@ -209,7 +212,9 @@ def written(media: DataFrame, name: str) -> DataFrame:
     """Store media columns and read them back."""
     path = scratch_path(media.sparkSession, name)
     media.write.options(**_ZSTD).parquet(path)
-    return media.sparkSession.read.schema(media.schema).parquet(path)
+    out = media.sparkSession.read.schema(media.schema).parquet(path)
+    out._scratch_path = path
+    return out
 
 
 def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", law: int | None = None, rate: int = RATE) -> DataFrame:
@@ -282,9 +287,23 @@ def read_back(media: DataFrame, to: int = 2 * RATE) -> DataFrame:
 
     Rows without media have nulls for all that is told of it.
     """
+    return _read_back(media, to)[0]
+
+
+def _read_back(media: DataFrame, to: int) -> tuple[DataFrame, list[DataFrame]]:
     held = written(media, "media")
     pcm = written(described_with_pcm(held, to), "pcm")
-    return featured(pcm).select("doc_id", "n_bytes", *_TOLD, "feature")
+    return featured(pcm).select("doc_id", "n_bytes", *_TOLD, "feature"), [held, pcm]
+
+
+def in_parts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", parts: int = PARTS, to: int = 2 * RATE) -> DataFrame:
+    """``read_back`` of all texts, stored part by part (by a hash of the text); a part's files go when they have been read back and described."""
+    told = []
+    for i in range(parts):
+        found, files = _read_back(store(docs.where(F.pmod(F.xxhash64(text_col), F.lit(parts)) == i), id_col, text_col), to)
+        told.append(materialize(found, "features"))
+        discard(*files)
+    return reduce(DataFrame.unionByName, told)
 
 
 def described_with_pcm(media: DataFrame, to: int) -> DataFrame:
@@ -293,4 +312,4 @@ def described_with_pcm(media: DataFrame, to: int) -> DataFrame:
 
 
 def op9_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return read_back(store(read_table(spark, sf_dir, "documents")))
+    return in_parts(read_table(spark, sf_dir, "documents"))

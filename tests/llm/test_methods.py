@@ -260,6 +260,12 @@ def test_audio_of_both_laws_is_stored(spark, odd):
     assert any(r["feature"] is None and r["media_bytes"] is None for r in lost)
 
 
+def test_parts_are_the_whole(spark, odd, empty):
+    whole = Counter(map(str, telephony.read_back(telephony.store(odd)).collect()))
+    assert Counter(map(str, telephony.in_parts(odd, parts=3).collect())) == whole
+    assert telephony.in_parts(empty).count() == 0
+
+
 def test_adpcm_texts_and_features(spark, odd_rows):
     """Payloads as IMA ADPCM blocks of their own unit: stored, read back and decoded."""
     payloads = [telephony.pad(r[1])[1] for r in odd_rows]
