@@ -370,16 +370,6 @@ def pair_patterns(spark, d):
     return aggregate.balanced_agg(route(msgs, "tuned", 8, S, dense=False), 8, {"n": ("count", "seq")})
 
 
-@query("WITH t AS (SELECT doc_id, generate_subscripts(w, 1) AS p, unnest(w) AS x FROM (SELECT doc_id, string_split(text, ' ') AS w FROM documents)) SELECT a.x || ' ' || b.x AS key, count(*)::BIGINT AS n FROM t a JOIN t b ON a.doc_id = b.doc_id AND b.p BETWEEN a.p + 1 AND a.p + 4 GROUP BY ALL")
-def token_pairs(spark, d):
-    """Pairs of words at most four apart in a document."""
-    place = Window.partitionBy("doc_id").orderBy("pos")
-    near = tokens(spark, d).select("doc_id", "pos", "key", F.filter(F.array(*(F.lead("key", i).over(place) for i in range(1, 5))), lambda x: x.isNotNull()).alias("after"))
-    pairs = near.select("doc_id", "pos", "key", F.posexplode("after").alias("i", "next"))
-    msgs = pairs.select((F.col("doc_id") * (1 << 27) + F.col("pos") * 4 + F.col("i")).alias("seq"), F.concat_ws(" ", "key", "next").alias("key"))
-    return aggregate.balanced_agg(route(msgs, "tuned", 8, S, dense=False), 8, {"n": ("count", "seq")})
-
-
 @query("SELECT label, i::INTEGER AS i, round(sum(x), 3) AS total FROM (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS i FROM embeddings) GROUP BY ALL")
 def vector_sum_by_label(spark, d):
     parts = read_table(spark, d, "embeddings").select("vec_id", "label", F.posexplode("embedding").alias("i", "x"))
