@@ -367,7 +367,7 @@ def pair_patterns(spark, d):
     rows = read_table(spark, d, "lineitem").select("l_orderkey", "l_partkey")
     pairs = rows.alias("a").join(rows.alias("b"), (F.col("a.l_orderkey") == F.col("b.l_orderkey")) & (F.col("a.l_partkey") < F.col("b.l_partkey")))
     msgs = pairs.select(F.concat_ws("-", "a.l_partkey", "b.l_partkey").alias("key"), F.xxhash64("a.l_orderkey", "a.l_partkey", "b.l_partkey").alias("seq"))
-    return aggregate.balanced_agg(route(msgs, "tuned", 8, S, dense=False), 8, {"n": ("count", "seq")})
+    return aggregate.balanced_agg(route(msgs, "two_choice", 8, S, dense=False), 8, {"n": ("count", "seq")})
 
 
 @query("SELECT label, i::INTEGER AS i, round(sum(x), 3) AS total FROM (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS i FROM embeddings) GROUP BY ALL")
