@@ -4,11 +4,15 @@ import hashlib
 from fractions import Fraction
 
 import numpy as np
+import pytest
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 from skewroute.operators import sketch
 from skewroute.operators.kernel import Fleet, Router, Scheme
 from skewroute.operators.route import with_source
+from skewroute.plans import catalog, grids
+from skewroute.sources import tables, zipf
 
 
 def test_spilled_counters_are_exact_beyond_their_capacity(spark):
@@ -36,3 +40,24 @@ def test_fleet_gives_the_loads_of_routers_that_run_alone():
         assert heads == np.bincount([x for x, is_head in zip(w, hot, strict=True) if is_head], minlength=n).tolist(), (n, s)
         if alone.online:
             assert (alone.sketch.counts, alone.sketch.total) == (r.sketch.counts, r.sketch.total)
+
+
+@pytest.mark.parametrize("name", ["expected_union", "head_size_curve", "choice_fraction_curve", "choice_prefixes_ablation", "memory_claims", "memory_curve", "computed_against_minimum_d", "distinct_candidates_ablation", "key_count_has_no_effect", "saturated_cluster", "skew_sweep"])
+def test_query_follows_its_table(spark, tmp_path, name):
+    """Without the given table there is nothing to compute."""
+    with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
+        catalog.QUERIES[name](spark, f"file://{tmp_path}").collect()
+
+
+def test_rows_are_dealt_over_the_streams_whole(spark, folder):
+    grid = [(100, 1.0), (1000, 1.4), (50, 0.3)]
+    streams = grids.table_streams(spark, folder, grid)
+    assert streams.count() == tables.read_table(spark, folder, "lineitem").count()
+    assert {r["stream"] for r in streams.select("stream").distinct().collect()} == {f"{k}/{z}" for k, z in grid}
+
+
+def test_drawn_counts_are_those_of_the_stream(spark, folder):
+    counts = grids.drawn_counts(spark, folder, 100, [1.0, 1.4])
+    for z in (1.0, 1.4):
+        want = {int(r["key"]): r["count"] for r in zipf.zipf_events(spark, folder, 100, z).groupBy("key").count().collect()}
+        assert {r["key"]: r["f"] for r in counts.where(F.col("z") == z).collect()} == want
