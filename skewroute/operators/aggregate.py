@@ -51,6 +51,11 @@ def balanced_agg(routed: DataFrame, n: int, aggs: dict[str, tuple[str, str]]) ->
     return merge_agg(partial_agg(place(routed, n), aggs), aggs)
 
 
+def combined_agg(routed: DataFrame, aggs: dict[str, tuple[str, str]]) -> DataFrame:
+    """The same where rows are too many to be sent: every task combines what it has for a worker and key, and only that is exchanged. Workers' parts meet by (worker, key)."""
+    return merge_agg(partial_agg(routed, aggs), aggs)
+
+
 def apply_worker(routed: DataFrame, n: int, fn: Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]], schema: str) -> DataFrame:
     """Costly work on each worker's rows, in their partition."""
     return place(routed, n).mapInPandas(fn, schema)

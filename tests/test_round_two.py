@@ -61,3 +61,10 @@ def test_drawn_counts_are_those_of_the_stream(spark, folder):
     for z in (1.0, 1.4):
         want = {int(r["key"]): r["count"] for r in zipf.zipf_events(spark, folder, 100, z).groupBy("key").count().collect()}
         assert {r["key"]: r["f"] for r in counts.where(F.col("z") == z).collect()} == want
+
+
+def test_token_pairs_are_combined_before_they_are_exchanged(spark, folder):
+    plan = catalog.token_pairs(spark, folder)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == plan.count("Exchange") == 3 and "Window" not in plan
+    after = plan[: plan.index("MapInArrow")]  # a plan is printed from its end
+    assert after.count("partial_count") == 1 and "seq" not in after[: after.index("partial_count")].split("Exchange")[-1].split("\n")[0]
