@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from skewroute.sources.scratch import delete_path, discard, materialize, scratch_path
 
-__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "free_shuffles", "in_bitmap", "input_bytes", "input_partitions", "join_counted", "materialize", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
+__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "free_shuffles", "in_bitmap", "input_bytes", "input_partitions", "join_counted", "materialize", "portions", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
 
 #: A word is a maximal run of characters other than space and U+0009..U+000D, so ``bytes.split()`` finds exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -23,6 +23,8 @@ WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 BITMAP_BITS = 1 << 26
 #: A key with more than one in so many of all rows is joined by broadcast: there are at most so many such keys.
 HOT_KEYS = 4096
+#: Rows whose texts a Python worker unpacks at a time.
+PORTION = 512
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -77,6 +79,12 @@ def tidy(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
     return wrapped
 
 
+def portions(batches: Iterator[pa.RecordBatch], rows: int = PORTION) -> Iterator[pa.RecordBatch]:
+    """The batches in slices of at most ``rows`` rows: a batch of 10,000 long texts need not be there as Python strings at once."""
+    for b in batches:
+        yield from (b.slice(at, rows) for at in range(0, b.num_rows, rows))
+
+
 def bit_set(bitmap: np.ndarray, a: np.ndarray) -> np.ndarray:
     at = a & np.uint64(64 * len(bitmap) - 1)
     return (bitmap[at >> np.uint64(6)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
@@ -89,7 +97,7 @@ def in_bitmap(rows: DataFrame, bitmap: Broadcast, key: str = "a", there: bool =
         for b in batches:
             yield b.filter(pa.array(bit_set(bitmap.value, b.column(key).to_numpy().view(np.uint64)) == there))
 
-    return rows.mapInArrow(run, rows.schema)
+    return rows.mapInArrow(tidy(run), rows.schema)
 
 
 def bitmap_of(keys: DataFrame, limit: int = BITMAP_BITS, key: str = "a") -> Broadcast:

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, delete_path, discard, free_shuffles, in_bitmap, input_bytes, join_counted, materialize, read_table, scratch_path, tidy, words_of
+from skewroute.llm.common import BITMAP_BITS, bit_set, bitmap_of, delete_path, discard, free_shuffles, in_bitmap, input_bytes, join_counted, materialize, portions, read_table, scratch_path, tidy, words_of
 
 WINDOW = 50
 GRAM = 25
@@ -99,7 +99,7 @@ def segment_rows(keyed: DataFrame, window: int, gram: int) -> DataFrame:
     """``(d, r, p, n, a, s, s2)`` of every segment of every text: ``n`` windows from word ``p`` on."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in portions(batches):
             parts = []
             for d, r, t in zip(*(b.column(c).to_pylist() for c in ("d", "r", "t")), strict=True):
                 words = words_of(t)
@@ -121,16 +121,17 @@ def _window_rows(keyed: DataFrame, documents: Broadcast, anchors: Broadcast, win
         owners, bits = documents.value, anchors.value
         for b in batches:
             found: dict[tuple[int, int, int], np.ndarray] = {}
-            for t in b.filter(pa.array(bit_set(owners, b.column("k").to_numpy().view(np.uint64)))).column("t").to_pylist():
-                words = words_of(t)
-                p, n, a = segments(_word_hashes(words), window, gram)
-                hit = np.flatnonzero(bit_set(bits, a)) if len(p) else ()
-                if not len(hit):
-                    continue
-                laid = _Words(words)
-                for i, anchor, (s, s2) in zip(hit.tolist(), a[hit].view(np.int64).tolist(), laid.digests(p[hit], n[hit] + window - 1).tolist(), strict=True):
-                    if (anchor, s, s2) not in found:
-                        found[anchor, s, s2] = laid.digests(np.arange(p[i], p[i] + n[i]), window)
+            for part in portions([b]):
+                for t in part.filter(pa.array(bit_set(owners, part.column("k").to_numpy().view(np.uint64)))).column("t").to_pylist():
+                    words = words_of(t)
+                    p, n, a = segments(_word_hashes(words), window, gram)
+                    hit = np.flatnonzero(bit_set(bits, a)) if len(p) else ()
+                    if not len(hit):
+                        continue
+                    laid = _Words(words)
+                    for i, anchor, (s, s2) in zip(hit.tolist(), a[hit].view(np.int64).tolist(), laid.digests(p[hit], n[hit] + window - 1).tolist(), strict=True):
+                        if (anchor, s, s2) not in found:
+                            found[anchor, s, s2] = laid.digests(np.arange(p[i], p[i] + n[i]), window)
             if found:
                 keys = np.array(list(found), np.int64)
                 ends = np.cumsum([0, *map(len, found.values())]).astype(np.int32)
@@ -149,7 +150,7 @@ def _combined(own: DataFrame) -> DataFrame:
             each = pa.Table.from_batches([b]).group_by(["a", "s", "s2"]).aggregate([("d", "min"), ("d", "max")])
             yield from each.select(["a", "s", "s2", "d_min", "d_max"]).rename_columns(["a", "s", "s2", "low", "high"]).to_batches()
 
-    return own.select("a", "s", "s2", "d").mapInArrow(run, "a long, s long, s2 long, low long, high long")
+    return own.select("a", "s", "s2", "d").mapInArrow(tidy(run), "a long, s long, s2 long, low long, high long")
 
 
 @dataclass
@@ -284,13 +285,13 @@ def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col:
     bitmap = bitmap_of(spans.select(F.xxhash64("d").alias("k")), bitmap_bits, "k")
     keyed = docs.select(F.struct(*keep).alias("row"), F.col(id_col).cast("long").alias("_d"), F.xxhash64(text_col).alias("_r"), F.col(text_col).alias("_t"), F.xxhash64(F.col(id_col).cast("long")).alias("_k"))
     touched = in_bitmap(keyed, bitmap, "_k").join(spans.select(F.col("d").alias("_d"), F.col("r").alias("_r"), "_spans"), ["_d", "_r"], "left").select("row", "_t", "_spans")
-    clean = in_bitmap(keyed, bitmap, "_k", there=False).withColumn("_spans", F.lit(None).cast(touched.schema["_spans"].dataType)).select("row", "_t", "_spans")
     last = "kept_sha256" if digest else "kept"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in portions(batches):
             total, removed, kept = [], [], []
-            for t, spans in zip(b.column("_t").to_pylist(), b.column("_spans").to_pylist(), strict=True):
+            each = b.column("_spans").to_pylist() if "_spans" in b.schema.names else [None] * b.num_rows
+            for t, spans in zip(b.column("_t").to_pylist(), each, strict=True):
                 words, gone = words_of(t), 0
                 if spans:
                     edge = np.zeros(len(words) + 1, np.int64)
@@ -309,8 +310,12 @@ def remove_repeats(docs: DataFrame, repeated: DataFrame, id_col: str, text_col:
                     kept.append(b" ".join(words).decode("utf-8", "replace") if gone else None)
             yield pa.RecordBatch.from_arrays([b.column("row"), pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], ["row", "n_words", "n_removed", last])
 
+    def untouched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # Passed over and settled by one worker: a filter of its own would hold the texts in a second one beside it.
+        yield from run(b.filter(pa.array(~bit_set(bitmap.value, b.column("_k").to_numpy().view(np.uint64)))) for b in portions(batches))
+
     schema = T.StructType([keyed.schema["row"], T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField(last, T.StringType())])
-    return clean.mapInArrow(tidy(run), schema).unionByName(touched.mapInArrow(tidy(run), schema))
+    return keyed.select("row", "_t", "_k").mapInArrow(tidy(untouched), schema).unionByName(touched.mapInArrow(tidy(run), schema))
 
 
 def repeated_windows(docs: DataFrame, batches: int = BATCHES, window: int = WINDOW, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
