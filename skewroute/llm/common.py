@@ -5,17 +5,20 @@ from __future__ import annotations
 import ctypes
 import functools
 import gc
+import itertools
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewroute.sources.scratch import delete_path, discard, materialize, scratch_path
+from skewroute.sources import scratch
+from skewroute.sources.scratch import delete_path, discard, scratch_path
 
-__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "free_shuffles", "in_bitmap", "input_bytes", "input_partitions", "join_counted", "materialize", "portions", "read_table", "release_memory", "scratch_path", "tidy", "words_of"]
+__all__ = ["BITMAP_BITS", "HOT_KEYS", "WORD_PATTERN", "bit_set", "bitmap_of", "delete_path", "discard", "free_shuffles", "in_bitmap", "input_bytes", "input_partitions", "join_counted", "materialize", "portions", "read_table", "release_memory", "scratch_path", "tidy", "trim_driver", "words_of"]
 
 #: A word is a maximal run of characters other than space and U+0009..U+000D, so ``bytes.split()`` finds exactly these.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -25,6 +28,8 @@ BITMAP_BITS = 1 << 26
 HOT_KEYS = 4096
 #: Rows whose texts a Python worker unpacks at a time.
 PORTION = 512
+#: Tables that are written and read back between two times that the driver lets go of their plans.
+FREE_EVERY = 8
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -49,11 +54,37 @@ def input_bytes(df: DataFrame) -> int | None:
     return None if max(sizes, default=0) >= 1 << 60 else sum(sizes)
 
 
+def trim_driver(spark: SparkSession) -> str | None:
+    """Have the driver's JVM give the system back what its native code has freed (what threads, compilers and codecs took by malloc), which would stay
+    beside the heap for good. Told by the JVM's own diagnostic command; one that has no such command keeps what it has (None)."""
+    jvm = spark.sparkContext._jvm
+    args = spark.sparkContext._gateway.new_array(jvm.java.lang.Object, 4)
+    try:
+        # By reflection: the server's own class is not exported.
+        invoke = next(m for m in jvm.java.lang.Class.forName("javax.management.MBeanServer").getMethods() if m.getName() == "invoke")
+        args[0], args[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        return str(invoke.invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), args))
+    except Py4JError:
+        return None
+
+
 def free_shuffles(spark: SparkSession) -> None:
     """Let go of the shuffle files of plans that nothing refers to any more: Spark drops them when the driver's collector finds the plans gone, which on
-    a driver with little to collect may be long after."""
+    a driver with little to collect may be long after. What the driver has freed goes back to the system."""
     gc.collect()
     spark.sparkContext._jvm.java.lang.System.gc()
+    trim_driver(spark)
+
+
+_written = itertools.count(1)
+
+
+def materialize(df: DataFrame, name: str) -> DataFrame:
+    """Write and read back, as ``scratch.materialize``; after every ``FREE_EVERY`` tables the driver lets go of what planned and ran them."""
+    out = scratch.materialize(df, name)
+    if next(_written) % FREE_EVERY == 0:
+        free_shuffles(df.sparkSession)
+    return out
 
 
 @functools.cache

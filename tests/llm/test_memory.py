@@ -26,3 +26,12 @@ def test_texts_pass_one_worker_where_they_are_scanned(spark):
     told = {r["row"]["doc_id"]: (r["n_words"], r["n_removed"]) for r in out.collect()}
     assert len(told) == len(rows) and {d for d, (_, gone) in told.items() if gone} == {400, 800, 1200}
     assert all(told[d] == (90, 60) for d in (400, 800, 1200)) and told[0] == (90, 0) and told[None] == (60, 0) and told[2000] == (0, 0)
+
+
+def test_driver_lets_go_between_tables(spark, monkeypatch):
+    freed = []
+    monkeypatch.setattr(common, "free_shuffles", freed.append)
+    for _ in range(2 * common.FREE_EVERY):
+        common.materialize(spark.range(1), "few")
+    assert len(freed) == 2
+    assert (told := common.trim_driver(spark)) is None or "rim" in told
